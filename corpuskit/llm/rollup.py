@@ -18,6 +18,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -111,8 +112,9 @@ def _count(paths: dict[str, str]):
                     else:
                         model = fertility_model(path)
                         words = [x.split() for x in texts]
-                        numbers = iter((model.at[1:] - model.at[:-1])[model.numbers(words)].tolist()) if words else iter(())
-                        counts = [sum(next(numbers) for _ in ws) for ws in words]
+                        numbers = model.numbers(words)
+                        upto = np.r_[0, np.cumsum(model.at[numbers + 1] - model.at[numbers])]
+                        counts = np.diff(upto[np.r_[0, np.cumsum([len(ws) for ws in words])]])
                     n = batch.num_rows
                     yield pa.RecordBatch.from_arrays(
                         [batch.column("doc_id"), pa.array([version] * n, pa.string()), batch.column("source"), batch.column("lang"), batch.column("copy"), pa.array(counts, pa.int64()), chars],
