@@ -68,7 +68,8 @@ def features(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 class Ordinal:
     """Weights and ordered thresholds, fitted by full-batch adaptive gradient steps."""
 
-    def __init__(self, numbers: np.ndarray, first: np.ndarray, grades: np.ndarray, steps: int = STEPS):
+    def __init__(self, numbers: np.ndarray, first: np.ndarray, grades: np.ndarray, rated: np.ndarray | None = None, steps: int = STEPS):
+        """rated: how many documents have each grade in all; the sample's documents stand for so many."""
         n = len(grades)
         self.weights, self.thresholds = np.zeros(1 << BITS), np.zeros(0)
         if not n:
@@ -78,12 +79,14 @@ class Ordinal:
         keep = frequent[numbers]
         own, inverse = np.unique(numbers[keep], return_inverse=True)
         doc = doc[keep]
-        share = np.bincount(grades, minlength=GRADES) + 1.0
+        sampled = np.maximum(np.bincount(grades, minlength=GRADES), 1)
+        share = np.maximum(sampled if rated is None else rated, 1).astype(float)
         below = np.cumsum(share)[:-1] / share.sum()
         start = np.log(below / (1 - below))
         pars = np.r_[np.zeros(len(own)), start[0], np.log(np.maximum(np.diff(start), 1e-2))]
         m1, m2 = np.zeros_like(pars), np.zeros_like(pars)
-        level = (share.sum() / (GRADES * share))[grades]  # grades weigh the same
+        level = (share / sampled)[grades]
+        level /= level.mean()
         for step in range(1, steps + 1):
             slope = self._slope(pars, own, inverse, doc, grades, level, n)
             m1 = 0.9 * m1 + 0.1 * slope
@@ -134,6 +137,7 @@ def fit(docs: DataFrame, labels: DataFrame, per_grade: int = PER_GRADE) -> Ordin
     ship(docs.sparkSession)
     grade = F.when(F.col("toxic") == 1, 0).when(F.col("quality") == 0, 1).otherwise(2).cast("int")
     rated = labels.filter("doc_id is not null and quality is not null and toxic is not null").select(F.col("doc_id").cast("long"), grade.alias("grade"), F.xxhash64("doc_id").alias("turn"))
+    of_grade = dict(rated.groupBy("grade").count().collect())
     order = Window.partitionBy("grade").orderBy("turn", "doc_id")
     # PER_GRADE rows for each of three grades at most
     chosen = rated.distinct().withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= per_grade).drop("rank")
@@ -143,7 +147,8 @@ def fit(docs: DataFrame, labels: DataFrame, per_grade: int = PER_GRADE) -> Ordin
     lists = [np.frombuffer(x, "<i4") for x in rows.column("numbers").to_pylist()]
     first = np.r_[0, np.cumsum([len(x) for x in lists])].astype(np.int64)
     numbers = np.concatenate(lists).astype(np.int64) if lists else np.zeros(0, np.int64)
-    return Ordinal(numbers, first, rows.column("grade").to_numpy().astype(np.int64))
+    counts = np.array([of_grade.get(g, 0) for g in range(GRADES)])
+    return Ordinal(numbers, first, rows.column("grade").to_numpy().astype(np.int64), counts)
 
 
 def _judge_batches(model: Broadcast):
