@@ -1,0 +1,99 @@
+"""The narrow phases, deduplication and windows on streams. Every query has a batch twin with the same result."""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from corpuskit.functions.text import content_key
+from corpuskit.operators import neardup
+from corpuskit.session import new_path, ship
+
+
+def shards(df: DataFrame, key: str, n: int = 4) -> str:
+    """Cut a table into n files, dealt by a hash of the key; returns the folder."""
+    path = new_path(df.sparkSession, "shards")
+    df.repartition(n, F.pmod(F.xxhash64(key), F.lit(n))).write.parquet(path)
+    return path
+
+
+def read(spark: SparkSession, path: str, schema, per_trigger: int = 1) -> DataFrame:
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", per_trigger).parquet(path)
+
+
+def run(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None, out: str | None = None) -> DataFrame:
+    """Run a stream over what is there and return its whole output. Update and complete modes go through foreachBatch,
+    each batch to a folder of its own, so a retried batch overwrites itself; `batch` tells them apart."""
+    spark = stream.sparkSession
+    out = out or new_path(spark, f"stream-{name}")
+    checkpoint = checkpoint or new_path(spark, f"state-{name}")
+
+    def write(df: DataFrame, batch: int) -> None:
+        df.withColumn("batch", F.lit(batch)).write.mode("overwrite").parquet(f"{out}/batch={batch:06d}")
+
+    query = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(write).start()
+    query.awaitTermination()
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in stream.schema)
+    return spark.read.schema(f"{fields}, batch int").parquet(out)
+
+
+def latest(rows: DataFrame, *key: str) -> DataFrame:
+    """The last emission of each key."""
+    rest = [c for c in rows.columns if c not in (*key, "batch")]
+    return rows.groupBy(*key).agg(F.max_by(F.struct(*rest), "batch").alias("x")).select(*key, "x.*")
+
+
+def exact_dedup(docs: DataFrame) -> DataFrame:
+    """One row for each content key, whichever came first; state holds the keys."""
+    return docs.withColumn("content_key", content_key(F.col("text"))).dropDuplicates(["content_key"]).select("content_key")
+
+
+def exact_dedup_within(docs: DataFrame, arrival: str, horizon: str = "1 hour") -> DataFrame:
+    """The same with state bounded by a horizon: repeats that come later than that pass."""
+    keyed = docs.withColumn("content_key", content_key(F.col("text"))).withWatermark(arrival, horizon)
+    return keyed.dropDuplicatesWithinWatermark(["content_key"]).select("content_key", arrival)
+
+
+def first_seen(docs: DataFrame) -> DataFrame:
+    """(content_key, doc_id, retracts): the least doc_id of each key so far; a lesser one that comes late retracts the last."""
+    ship(docs.sparkSession)
+
+    def update(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        had = state.get[0] if state.exists else None
+        least = min(int(p["doc_id"].min()) for p in parts)
+        if had is None or least < had:
+            state.update((least,))
+            yield pd.DataFrame({"content_key": [key[0]], "doc_id": [least], "retracts": pd.array([had], dtype="Int64")})
+
+    keyed = docs.select(content_key(F.col("text")).alias("content_key"), "doc_id")
+    return keyed.groupBy("content_key").applyInPandasWithState(update, "content_key string, doc_id long, retracts long", "least long", "update", "NoTimeout")
+
+
+def verify_batch(new_sets: DataFrame, released: DataFrame, index: DataFrame, tau: float = 0.8) -> DataFrame:
+    """(a, b, jaccard): new documents b joined with a released band index, verified against the released sets a."""
+    banded = neardup.bands(neardup.signatures(new_sets)).select(F.col("doc_id").alias("b"), "band", "key")
+    pairs = banded.join(index.select(F.col("doc_id").alias("a"), "band", "key"), ["band", "key"]).select("a", "b").distinct()
+    both = pairs.join(released.toDF("a", "sa"), "a").join(new_sets.toDF("b", "sb"), "b")
+    return both.select("a", "b", neardup.jaccard(F.col("sa"), F.col("sb")).alias("jaccard")).filter(F.col("jaccard") >= tau)
+
+
+def windowed(events: DataFrame, length: str, slide: str | None = None, late: str = "10 minutes") -> DataFrame:
+    w = F.window("ts", length, slide) if slide else F.window("ts", length)
+    grouped = events.withWatermark("ts", late).groupBy(w.alias("w"), "event_type")
+    return grouped.agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("v")).select(F.col("w.start").alias("start"), "event_type", "n", "v")
+
+
+def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "10 minutes") -> DataFrame:
+    grouped = events.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("w"), "user_id")
+    return grouped.agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "user_id", "n")
+
+
+def follows(first: DataFrame, second: DataFrame, seconds: int = 300, late: str = "10 minutes") -> DataFrame:
+    """Stream-stream join: second within `seconds` after first of the same user; both sides bounded by watermarks."""
+    a = first.select(F.col("user_id").alias("ua"), F.col("ts").alias("ta"), F.col("event_id").alias("first_id")).withWatermark("ta", late)
+    b = second.select(F.col("user_id").alias("ub"), F.col("ts").alias("tb"), F.col("event_id").alias("second_id")).withWatermark("tb", late)
+    inside = F.expr(f"ua = ub AND tb > ta AND tb <= ta + INTERVAL {seconds} SECONDS")
+    return a.join(b, inside).select("first_id", "second_id")
