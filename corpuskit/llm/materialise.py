@@ -33,9 +33,13 @@ from corpuskit.llm.batches import mix, pieces
 from corpuskit.llm.vocab import vocab_path, word_bpe
 from corpuskit.session import new_path, ship, staged
 
-LENGTH, END, PAD = 2048, 1, 0
-ROWS, KEY, ROUNDS = 4096, 20_240_607, 6
+LENGTH, END, PAD = 4096, 1, 0
+ROWS, KEY, ROUNDS = 2048, 20_240_607, 6
 STRIDE = 2 * LENGTH + 1
+#: Level of the compression in which sequences wait and travel.
+LEVEL = 5
+#: Input splits whose first numbers are broadcast at most (12 bytes each); those of more splits are joined by a shuffle.
+BROADCAST_PARTS = 1_000_000
 _SPAN = "doc_id long, start long, length int, offset int, ids_crc32 long"
 MANIFEST = "slot long, shard int, byte_offset long, doc_id long, start long, length int, offset int, ids_crc32 long"
 
@@ -75,7 +79,7 @@ def _lay(path: str, length: int):
     pad = np.array([PAD], "<u2").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, press = word_bpe(path), zstandard.ZstdCompressor(3)
+        press = zstandard.ZstdCompressor(LEVEL)
         part, local = TaskContext.get().partitionId(), 0
         held, filled, spans = [], 0, []
         rows: list[tuple] = []
@@ -97,21 +101,22 @@ def _lay(path: str, length: int):
             rows.clear()
             return batch
 
-        for whole in batches:
-            for batch in pieces(whole, "text"):
-                for doc, ids in zip(batch.column("doc_id").to_pylist(), model.ids(batch.column("text").to_pylist()), strict=True):
-                    ids = np.frombuffer(ids, "<u4").astype("<u2").tobytes() + end
-                    at, n = 0, len(ids) // 2
-                    while at < n:
-                        take = min(n - at, length - filled)
-                        own = ids[2 * at : 2 * (at + take)]
-                        spans.append({"doc_id": doc, "start": at, "length": take, "offset": filled, "ids_crc32": zlib.crc32(own)})
-                        held.append(own)
-                        at, filled = at + take, filled + take
-                        if filled == length:
-                            close()
-                if rows:
-                    yield out()
+        with word_bpe(path) as model:
+            for whole in batches:
+                for batch in pieces(whole, "text"):
+                    for doc, ids in zip(batch.column("doc_id").to_pylist(), model.ids(batch.column("text").to_pylist()), strict=True):
+                        ids = np.frombuffer(ids, "<u4").astype("<u2").tobytes() + end
+                        at, n = 0, len(ids) // 2
+                        while at < n:
+                            take = min(n - at, length - filled)
+                            own = ids[2 * at : 2 * (at + take)]
+                            spans.append({"doc_id": doc, "start": at, "length": take, "offset": filled, "ids_crc32": zlib.crc32(own)})
+                            held.append(own)
+                            at, filled = at + take, filled + take
+                            if filled == length:
+                                close()
+                    if rows:
+                        yield out()
         if filled:
             close()
         if rows:
@@ -148,6 +153,7 @@ def write(docs: DataFrame, path: str, length: int = LENGTH, rows: int = ROWS, ke
         return pd.Series(order.slot(index.to_numpy()))
 
     begin = spark.createDataFrame(begins, "part int, begin long")
+    begin = F.broadcast(begin) if len(begins) <= BROADCAST_PARTS else begin
     placed = laid.join(begin, "part").withColumn("slot", slot_of(F.col("begin") + F.col("local"))).withColumn("shard", F.floor(F.col("slot") / F.lit(rows)).cast("int"))
     shards = max(1, -(-n // rows))
     dealt = placed.select("shard", "slot", "packed").repartitionById(shards, F.col("shard")).sortWithinPartitions("slot")
