@@ -23,10 +23,11 @@ def interval_join(left: DataFrame, right: DataFrame, by: str, on: str, seconds:
 
     left and right carry distinct column names but for `by` and `on`; the right time comes out as `{on}_right`.
     """
-    bucket = lambda c: F.floor(F.unix_micros(c) / (seconds * 1_000_000))
+    micros = lambda c: F.unix_micros(c.cast("timestamp"))  # noqa: E731  with or without a zone
+    bucket = lambda c: F.floor(micros(c) / (seconds * 1_000_000))
     a = left.withColumn("__b", F.explode(F.array(bucket(F.col(on)), bucket(F.col(on)) + 1)))
     b = right.withColumnRenamed(on, f"{on}_right").withColumn("__b", bucket(F.col(f"{on}_right")))
-    inside = (F.col(f"{on}_right") > F.col(on)) & (F.unix_micros(F.col(f"{on}_right")) <= F.unix_micros(F.col(on)) + seconds * 1_000_000)
+    inside = (F.col(f"{on}_right") > F.col(on)) & (micros(F.col(f"{on}_right")) <= micros(F.col(on)) + seconds * 1_000_000)
     return a.join(b, [by, "__b"]).filter(inside).drop("__b")
 
 

@@ -99,9 +99,9 @@ def sink_jsonl_zstd(spark, d):
 both("proj_expr", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) AS revenue FROM lineitem")
 
 
-@query("flt_conj", "SELECT p_partkey FROM part WHERE p_size BETWEEN 10 AND 20 AND p_retailprice > 1000")
+@query("flt_conj", "SELECT p_partkey FROM part WHERE p_size BETWEEN 10 AND 20 AND p_retailprice > 950")
 def flt_conj(spark, d):
-    return table(spark, d, "part").filter(F.col("p_size").between(10, 20) & (F.col("p_retailprice") > 1000)).select("p_partkey")
+    return table(spark, d, "part").filter(F.col("p_size").between(10, 20) & (F.col("p_retailprice") > 950)).select("p_partkey")
 
 
 @query("flt_in_like", "SELECT p_partkey, p_type FROM part WHERE p_size IN (1, 5, 9) AND p_type LIKE '%E%'")

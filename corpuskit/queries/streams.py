@@ -19,7 +19,7 @@ def _documents(spark, d):
 
 def _events(spark, d):
     """Events in one file for each trigger, in order of time, so that no row is late."""
-    events = table(spark, d, "events")
+    events = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need it zoned
     path = new_path(spark, "events")
     events.repartitionByRange(3, "ts").sortWithinPartitions("ts").write.parquet(path)
     return S.read(spark, path, events.schema, 100)
@@ -65,23 +65,28 @@ def st_neardup_static(spark, d):
     return spark.read.schema("a long, b long, jaccard double").parquet(out).select("a", "b", F.round("jaccard", 6).alias("jaccard"))
 
 
+def _local(rows):
+    """Times as the tables have them, without a zone."""
+    return rows.withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
 def _window_sql(minutes: int) -> str:
     return f"SELECT time_bucket(INTERVAL {minutes} MINUTE, ts, TIMESTAMP '1970-01-01') AS start, event_type, count(*) AS n, round(sum(value), 4) AS v FROM events GROUP BY 1, 2"
 
 
 @query("st_tumbling", _window_sql(60))
 def st_tumbling(spark, d):
-    return S.latest(S.run(S.windowed(_events(spark, d), "60 minutes"), "tumbling", "update"), "start", "event_type")
+    return _local(S.latest(S.run(S.windowed(_events(spark, d), "60 minutes"), "tumbling", "update"), "start", "event_type"))
 
 
 @query("st_sliding", "SELECT s - INTERVAL 30 MINUTE * k AS start, event_type, count(*) AS n, round(sum(value), 4) AS v FROM (SELECT time_bucket(INTERVAL 30 MINUTE, ts, TIMESTAMP '1970-01-01') AS s, event_type, value FROM events), range(2) r(k) GROUP BY 1, 2")
 def st_sliding(spark, d):
-    return S.latest(S.run(S.windowed(_events(spark, d), "60 minutes", "30 minutes"), "sliding", "update"), "start", "event_type")
+    return _local(S.latest(S.run(S.windowed(_events(spark, d), "60 minutes", "30 minutes"), "sliding", "update"), "start", "event_type"))
 
 
 @query("st_session", "WITH o AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM o) SELECT min(ts) AS start, user_id, count(*) AS n FROM s GROUP BY user_id, g")
 def st_session(spark, d):
-    return S.run(S.sessions(_events(spark, d)), "session", "complete").drop("batch")
+    return _local(S.run(S.sessions(_events(spark, d)), "session", "complete").drop("batch"))
 
 
 @query("st_join_interval", "SELECT a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'error' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 5 MINUTE")
