@@ -29,6 +29,8 @@ WINDOW, MIN_WORDS, MOST_REPEATED = 8, 20, 30
 FENCE = 4.0
 LEAST_WIDTH = {"chars_per_token": 0.2, "byte_share": 0.02, "entropy": 0.25}
 MIN_GROUP = 50
+#: Bands that are broadcast at most; more are joined by a shuffle.
+BROADCAST_BANDS = 100_000
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 _WHITE, _SYMBOLS = " \t\n\v\f\r", "#*$%&|<>"
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_tokens", "n_byte_tokens"]
@@ -71,32 +73,32 @@ def _entropy(ids: np.ndarray, counts: np.ndarray) -> np.ndarray:
 
 def _measure(path: str, names: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = fertility_model(path)
-        for whole in batches:
-            for batch in pieces(whole, "text"):
-                texts = [x or "" for x in batch.column("text").to_pylist()]
-                words = [_WORD.findall(x) for x in texts]
-                n_words = np.fromiter(map(len, words), np.int64, len(words))
-                first = np.r_[0, np.cumsum(n_words)]
-                numbers = model.numbers(words)
-                ids = model.ids_of(numbers)
-                length = model.at[numbers + 1] - model.at[numbers]
-                upto = np.r_[0, np.cumsum(length)][first]
-                fallback = np.r_[0, np.cumsum(model.is_byte[ids])]
-                tokens = np.diff(upto)
-                lines = [[x for x in t.split("\n") if x.strip(_WHITE)] for t in texts]
-                figures = [
-                    n_words,
-                    [len(t) - sum(map(t.count, _WHITE)) for t in texts],
-                    [sum(map(t.count, _SYMBOLS)) for t in texts],
-                    [len(x) - len(set(x)) for x in lines],
-                    _repeated(numbers, first),
-                    tokens,
-                    np.diff(fallback[upto]),
-                ]
-                columns = [batch.column(c) for c in names]
-                columns += [pa.array(x, pa.int64()) for x in figures] + [pa.array(_entropy(ids, tokens), pa.float64())]
-                yield pa.RecordBatch.from_arrays(columns, [*names, *COUNTS, "entropy"])
+        with fertility_model(path) as model:
+            for whole in batches:
+                for batch in pieces(whole, "text"):
+                    texts = [x or "" for x in batch.column("text").to_pylist()]
+                    words = [_WORD.findall(x) for x in texts]
+                    n_words = np.fromiter(map(len, words), np.int64, len(words))
+                    first = np.r_[0, np.cumsum(n_words)]
+                    numbers = model.numbers(words)
+                    ids = model.ids_of(numbers)
+                    length = model.at[numbers + 1] - model.at[numbers]
+                    upto = np.r_[0, np.cumsum(length)][first]
+                    fallback = np.r_[0, np.cumsum(model.is_byte[ids])]
+                    tokens = np.diff(upto)
+                    lines = [[x for x in t.split("\n") if x.strip(_WHITE)] for t in texts]
+                    figures = [
+                        n_words,
+                        [len(t) - sum(map(t.count, _WHITE)) for t in texts],
+                        [sum(map(t.count, _SYMBOLS)) for t in texts],
+                        [len(x) - len(set(x)) for x in lines],
+                        _repeated(numbers, first),
+                        tokens,
+                        np.diff(fallback[upto]),
+                    ]
+                    columns = [batch.column(c) for c in names]
+                    columns += [pa.array(x, pa.int64()) for x in figures] + [pa.array(_entropy(ids, tokens), pa.float64())]
+                    yield pa.RecordBatch.from_arrays(columns, [*names, *COUNTS, "entropy"])
 
     return run
 
@@ -136,12 +138,18 @@ def _fences(rows: DataFrame, by: list[str], figures: list[str]) -> DataFrame:
     return some.select(*by, *out)
 
 
+def _small(fences: DataFrame) -> DataFrame:
+    """Fences to join with: broadcast if they are few, so that rows with their texts stay where they are."""
+    fences = staged(fences, "fences")
+    return F.broadcast(fences) if fences.count() <= BROADCAST_BANDS else fences
+
+
 def judge(figures: DataFrame) -> DataFrame:
-    """figures (read twice) with base_failed and kept."""
+    """figures (read more than once) with base_failed and kept."""
     rows = _with_base(figures)
-    good = rows.filter("not base_failed")
-    a = _fences(good, ["band"], ["chars_per_token", "byte_share"])
-    b = _fences(good, ["band", "length_class"], ["entropy"])
+    slim = _with_base(figures.select("lang", *COUNTS, "entropy")).filter("not base_failed")
+    a = _small(_fences(slim, ["band"], ["chars_per_token", "byte_share"]))
+    b = _small(_fences(slim, ["band", "length_class"], ["entropy"]))
     judged = rows.join(a, "band", "left").join(b, ["band", "length_class"], "left")
     verdict = ~F.col("base_failed")
     for c in LEAST_WIDTH:

@@ -68,23 +68,23 @@ def _cut(path: str, capacity: int):
     end = np.array([END], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = word_bpe(path)
-        for whole in batches:
-            for batch in pieces(whole, "text"):
-                docs, numbers, starts, lengths, sums = [], [], [], [], []
-                for doc, ids in zip(batch.column("doc_id").to_pylist(), model.ids(batch.column("text").to_pylist()), strict=True):
-                    ids += end
-                    for k, s in enumerate(range(0, len(ids), 4 * capacity)):
-                        part = ids[s : s + 4 * capacity]
-                        docs.append(doc)
-                        numbers.append(k)
-                        starts.append(s // 4)
-                        lengths.append(len(part) // 4)
-                        sums.append(zlib.crc32(part))
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(docs, pa.int64()), pa.array(numbers, pa.int32()), *(pa.array(x, pa.int64()) for x in (starts, lengths, sums))],
-                    ["doc_id", "piece", "start", "length", "ids_crc32"],
-                )
+        with word_bpe(path) as model:
+            for whole in batches:
+                for batch in pieces(whole, "text"):
+                    docs, numbers, starts, lengths, sums = [], [], [], [], []
+                    for doc, ids in zip(batch.column("doc_id").to_pylist(), model.ids(batch.column("text").to_pylist()), strict=True):
+                        ids += end
+                        for k, s in enumerate(range(0, len(ids), 4 * capacity)):
+                            part = ids[s : s + 4 * capacity]
+                            docs.append(doc)
+                            numbers.append(k)
+                            starts.append(s // 4)
+                            lengths.append(len(part) // 4)
+                            sums.append(zlib.crc32(part))
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(docs, pa.int64()), pa.array(numbers, pa.int32()), *(pa.array(x, pa.int64()) for x in (starts, lengths, sums))],
+                        ["doc_id", "piece", "start", "length", "ids_crc32"],
+                    )
 
     return run
 

@@ -102,15 +102,15 @@ VERSIONS = ("word_bpe_49k", "piece_bpe_32k")
 
 def _count(paths: dict[str, str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        models = {v: (word_bpe if v == "word_bpe_49k" else fertility_model)(path) for v, path in paths.items()}
         for whole in batches:
             for batch in pieces(whole, "text"):
                 text = pc.fill_null(batch.column("text").cast(pa.large_string()), "")
                 texts, chars = text.to_pylist(), pc.utf8_length(text).cast(pa.int64())
-                for version, path in paths.items():
+                for version, model in models.items():
                     if version == "word_bpe_49k":
-                        counts = [len(x) // 4 for x in word_bpe(path).ids(texts)]
+                        counts = [len(x) // 4 for x in model.ids(texts)]
                     else:
-                        model = fertility_model(path)
                         words = [x.split() for x in texts]
                         numbers = model.numbers(words)
                         upto = np.r_[0, np.cumsum(model.at[numbers + 1] - model.at[numbers])]
@@ -120,6 +120,8 @@ def _count(paths: dict[str, str]):
                         [batch.column("doc_id"), pa.array([version] * n, pa.string()), batch.column("source"), batch.column("lang"), batch.column("copy"), pa.array(counts, pa.int64()), chars],
                         ["doc_id", "tokenizer", "source", "lang", "copy", "n_tokens", "n_chars"],
                     )
+        for model in models.values():
+            model.forget()
 
     return run
 

@@ -21,8 +21,8 @@ import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
-#: Words kept between batches, for each Python worker, and as many parts of words.
-CACHED_WORDS = 800_000
+#: Words kept while a task runs, and as many parts of words.
+CACHED_WORDS = 600_000
 _ODD = re.compile("[\x1c-\x1f]")
 _SIMPLE = re.compile("[!-~\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
 # fixed values: the split pattern of word_bpe_49k for such characters in lower case
@@ -56,7 +56,17 @@ def vocab_path(name: str, folder: str | None = None) -> str:
     return public_tokenizers.path(name)
 
 
-class WordBpe:
+class Kept:
+    """A tokenizer that stays with the Python worker; the words it keeps go when the task that enters it ends."""
+
+    def __enter__(self):
+        return self
+
+    def __exit__(self, *_):
+        self.forget()
+
+
+class WordBpe(Kept):
     """ids(texts): for every text the ids of word_bpe_49k as little-endian unsigned 32-bit bytes, no end token."""
 
     def __init__(self, path: str):
@@ -71,8 +81,10 @@ class WordBpe:
         self.closes[[i for t, i in entries.items() if t.endswith("</w>")]] = True
         # parts hold letters from U+00DF on; what is written for them lies below that or from U+0100 on, so order is free
         self.signs = {chr(i): "".join(_byte_signs()[b] for b in chr(i).encode()) for i in range(128, 256)}
-        self.known: dict[str, bytes] = {}
-        self.known_parts: dict[str, bytes] = {}
+        self.forget()
+
+    def forget(self) -> None:
+        self.known, self.known_parts = {}, {}
 
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [np.asarray(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -86,7 +98,7 @@ class WordBpe:
             found.update(zip(rest, self._encode(rest), strict=True))
         split = [(w,) if w.isalpha() else (w[:-1], w[-1]) if w[-1] in ".,!?" and w[:-1].isalpha() else _PARTS.findall(w) for w in map(str.lower, simple)]
         if len(self.known_parts) > CACHED_WORDS:
-            self.known_parts.clear()
+            self.known_parts = {}
         known = self.known_parts
         parts = list({p for ps in split for p in ps if p not in known})
         if parts:
@@ -127,11 +139,10 @@ class WordBpe:
 
 @cache
 def word_bpe(path: str) -> WordBpe:
-    """One for each worker: kept words outlive tasks."""
     return WordBpe(path)
 
 
-class Fertility:
+class Fertility(Kept):
     """Per-word figures of a public vocabulary with byte fallback: ids, and how many of them are byte pieces."""
 
     def __init__(self, path: str):
@@ -140,18 +151,16 @@ class Fertility:
         self.model = sentencepiece.SentencePieceProcessor(model_file=path)
         size = self.model.get_piece_size()
         self.is_byte = np.fromiter((self.model.is_byte(i) for i in range(size)), bool, size)
-        self.number: dict[str, int] = {}
-        self._clear()
+        self.forget()
 
-    def _clear(self) -> None:
-        self.number.clear()
-        self.rows: list[list[int]] = []
+    def forget(self) -> None:
+        self.number: dict[str, int] = {}
         self.flat, self.at = np.zeros(0, np.int32), np.zeros(1, np.int64)
 
     def numbers(self, docs: list[list[str]]) -> np.ndarray:
         """A number for every word of the documents, in a row; ids_of() takes such numbers until the next call."""
         if len(self.number) > CACHED_WORDS:
-            self._clear()
+            self.forget()
         number = self.number
         new = list({w for ws in docs for w in ws if w not in number})
         if new:
