@@ -41,7 +41,15 @@ class CorpusRun:
         if universe == "partition":  # sources already of one language, with some leakage
             docs = docs.filter((F.col("lang") == config.target) | (F.col("doc_id") % 97 == 0))
         self.config, self.identify, self.skip = config, identify, skip
-        self.raw = with_roles(docs, config)
+        self.docs, self.raw = docs, with_roles(docs, config)
+
+    def without(self, phase: int) -> CorpusRun:
+        """A run that leaves a phase out and shares the stages before it with this one."""
+        other = CorpusRun(self.docs, self.config, self.identify, (*self.skip, phase))
+        for name, of in (("unique", 1), ("cleaned", 2), ("predicted", 3), ("p3_ids", 3), ("near", 4), ("clusters", 4), ("p4_ids", 4), ("scored", 5)):
+            if of < phase:
+                other.__dict__[name] = getattr(self, name)
+        return other
 
     @cached_property
     def unique(self) -> DataFrame:

@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corpuskit.config import Config
 from corpuskit.functions import metrics
 from corpuskit.functions import text as T
 from corpuskit.operators import clean, exact, neardup, quality
@@ -506,7 +507,14 @@ def audit_sample(spark, d):
 
 @query("ablation_counts")
 def ablation_counts(spark, d):
-    return objective.ablation_counts(table(spark, d))
+    return objective.ablation_counts(run_of(spark, d))
+
+
+@query("targets")
+def targets(spark, d):
+    """Final documents with each language as the target."""
+    rows = [(t, C.CorpusRun(table(spark, d), Config(target=t)).corpus.count()) for t in ("de", "en", "es", "fr")]
+    return spark.createDataFrame(rows, "target string, n_docs long")
 
 
 _PARAGRAPHS = f"l AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) - 1 AS place FROM documents), n AS (SELECT *, regexp_replace(lower(trim(regexp_replace(line, '{WS}', ' ', 'g'))), '[0-9]', '0', 'g') AS norm FROM l)"

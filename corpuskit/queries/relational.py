@@ -333,7 +333,7 @@ both("fn_hash", "SELECT doc_id, md5(text) AS m, sha2(text, 256) AS s FROM docume
 both("fn_length_bytes", "SELECT doc_id, length(text) AS chars, octet_length(text) AS bytes FROM documents", "SELECT doc_id, CAST(length(text) AS INTEGER) AS chars, CAST(strlen(text) AS INTEGER) AS bytes FROM documents")
 both("fn_levenshtein", "SELECT a.n_name AS a, b.n_name AS b, levenshtein(a.n_name, b.n_name) AS dist FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey", "SELECT a.n_name AS a, b.n_name AS b, CAST(levenshtein(a.n_name, b.n_name) AS INTEGER) AS dist FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
 both("fn_url", "SELECT page_id, parse_url(url, 'HOST') AS host FROM pages", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS host FROM pages")
-both("fn_date_trunc", "SELECT o_orderkey, date_trunc('MONTH', o_orderdate) AS month FROM orders", "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS TIMESTAMP) AS month FROM orders")
+both("fn_date_trunc", "SELECT o_orderkey, CAST(date_trunc('MONTH', o_orderdate) AS TIMESTAMP_NTZ) AS month FROM orders", "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS TIMESTAMP) AS month FROM orders")
 both("fn_date_arith", "SELECT o_orderkey, datediff(CAST(o_orderdate AS date), DATE '1992-01-01') AS days FROM orders", "SELECT o_orderkey, CAST(date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS days FROM orders")
 both("fn_date_parts", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, day(o_orderdate) AS dd FROM orders", "SELECT o_orderkey, CAST(year(o_orderdate) AS INTEGER) AS y, CAST(month(o_orderdate) AS INTEGER) AS m, CAST(day(o_orderdate) AS INTEGER) AS dd FROM orders")
 both("fn_interval", "SELECT event_id, ts + INTERVAL '90' MINUTE AS later FROM events")

@@ -171,7 +171,7 @@ def charlm_loss(spark, d):
 
 @query("ablation")
 def ablation(spark, d):
-    return objective.ablation(table(spark, d), _english(spark, d), 1000, order=3)
+    return objective.ablation(run_of(spark, d), _english(spark, d), 1000, order=3)
 
 
 @query("obj_loss")

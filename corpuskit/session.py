@@ -10,14 +10,18 @@ import zipfile
 from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
+#: Bytes of an Arrow batch: rows of long texts would else be buffered by tens of megabytes for each task.
+ARROW_BYTES, _ARROW = "8m", "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def ship(spark: SparkSession) -> None:
-    """Make this package importable in Python workers, once for each application.
+    """Ready the session for Python operators: small Arrow batches, and this package importable in the workers.
 
-    Nothing is done where PYTHONPATH already reaches it; else the package goes out as a zip
-    through the driver's own file server.
+    The batch size is set only where it still has its default. The package goes out once for each application, as a
+    zip through the driver's own file server, unless PYTHONPATH already reaches it.
     """
+    if spark.conf.get(_ARROW, None) in ("67108864b", "64m"):
+        spark.conf.set(_ARROW, ARROW_BYTES)
     sc = spark.sparkContext
     if sc.applicationId in _shipped:
         return

@@ -212,6 +212,22 @@ def test_release_round_trip_and_card(spark, run):
     assert "| stage |" in text and run.config.digest() in text
 
 
+def test_runs_without_a_phase_keep_more(run):
+    full = run.corpus.count()
+    assert run.without(5).corpus.count() == run.p4.count() > full
+    assert run.without(3).p3_ids.count() == run.cleaned.count()
+    assert run.without(1).cleaned.count() >= run.cleaned.count()
+
+
+def test_zipped_json_lines(spark):
+    from corpuskit import sources
+
+    path = new_path(spark, "jsonl")
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "source", "text")
+    docs.write.option("compression", "gzip").json(path)
+    assert sorted(sources.read_jsonl(spark, path, parts=3).collect()) == sorted(docs.collect())
+
+
 # language
 
 
