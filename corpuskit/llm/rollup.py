@@ -120,8 +120,6 @@ def _count(paths: dict[str, str]):
                         [batch.column("doc_id"), pa.array([version] * n, pa.string()), batch.column("source"), batch.column("lang"), batch.column("copy"), pa.array(counts, pa.int64()), chars],
                         ["doc_id", "tokenizer", "source", "lang", "copy", "n_tokens", "n_chars"],
                     )
-        for model in models.values():
-            model.forget()
 
     return run
 

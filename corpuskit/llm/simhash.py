@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.llm.batches import pieces
+from corpuskit.llm.vocab import forget_words
 from corpuskit.operators.components import connected
 from corpuskit.session import ship, staged
 
@@ -48,6 +49,7 @@ def shingle_hashes(text: bytes) -> list[int]:
 
 
 def _fingerprint_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    forget_words()
     for whole in batches:
         for batch in pieces(whole, "text"):
             texts = pc.fill_null(batch.column("text").cast(pa.binary()), b"").to_pylist()

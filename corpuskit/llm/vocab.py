@@ -21,8 +21,8 @@ import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
-#: Words kept while a task runs, and as many parts of words.
-CACHED_WORDS = 600_000
+#: Words kept by a Python worker, and as many parts of words.
+CACHED_WORDS = 800_000
 _ODD = re.compile("[\x1c-\x1f]")
 _SIMPLE = re.compile("[!-~\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
 # fixed values: the split pattern of word_bpe_49k for such characters in lower case
@@ -56,14 +56,25 @@ def vocab_path(name: str, folder: str | None = None) -> str:
     return public_tokenizers.path(name)
 
 
+_kept: list[Kept] = []
+
+
 class Kept:
-    """A tokenizer that stays with the Python worker; the words it keeps go when the task that enters it ends."""
+    """A tokenizer that stays with the Python worker. The words it keeps outlive tasks, until the worker turns to another model or operator."""
 
     def __enter__(self):
+        forget_words(self)
         return self
 
     def __exit__(self, *_):
-        self.forget()
+        pass
+
+
+def forget_words(but: Kept | None = None) -> None:
+    """Give up kept words; operators that need memory for other things begin with this."""
+    for model in _kept:
+        if model is not but:
+            model.forget()
 
 
 class WordBpe(Kept):
@@ -82,6 +93,7 @@ class WordBpe(Kept):
         # parts hold letters from U+00DF on; what is written for them lies below that or from U+0100 on, so order is free
         self.signs = {chr(i): "".join(_byte_signs()[b] for b in chr(i).encode()) for i in range(128, 256)}
         self.forget()
+        _kept.append(self)
 
     def forget(self) -> None:
         self.known, self.known_parts = {}, {}
@@ -152,6 +164,7 @@ class Fertility(Kept):
         size = self.model.get_piece_size()
         self.is_byte = np.fromiter((self.model.is_byte(i) for i in range(size)), bool, size)
         self.forget()
+        _kept.append(self)
 
     def forget(self) -> None:
         self.number: dict[str, int] = {}
@@ -159,7 +172,7 @@ class Fertility(Kept):
 
     def numbers(self, docs: list[list[str]]) -> np.ndarray:
         """A number for every word of the documents, in a row; ids_of() takes such numbers until the next call."""
-        if len(self.number) > CACHED_WORDS:
+        if len(self.number) > CACHED_WORDS // 2:
             self.forget()
         number = self.number
         new = list({w for ws in docs for w in ws if w not in number})
