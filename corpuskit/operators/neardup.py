@@ -48,7 +48,7 @@ def hashed(sets: DataFrame, base: str = "md5") -> DataFrame:
 
 
 def classes(sets: DataFrame, column: str = "hashes") -> DataFrame:
-    """(doc_id, representative): documents of equal sets share the least id. Two independent hashes stand for a set."""
+    """(doc_id, representative): documents of equal sets share the least id; a SHA-256 stands for a set."""
     text = F.concat_ws(",", F.col(column))
     keys = sets.select("doc_id", F.sha2(text, 256).alias("key"))
     least = keys.groupBy("key").agg(F.min("doc_id").alias("representative"))
