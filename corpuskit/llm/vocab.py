@@ -10,6 +10,7 @@ not, are encoded whole.
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import os
 import re
@@ -22,7 +23,7 @@ import numpy as np
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 #: Words kept by a Python worker, and as many parts of words.
-CACHED_WORDS = 800_000
+CACHED_WORDS = 400_000
 _ODD = re.compile("[\x1c-\x1f]")
 _SIMPLE = re.compile("[!-~\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
 # fixed values: the split pattern of word_bpe_49k for such characters in lower case
@@ -57,6 +58,7 @@ def vocab_path(name: str, folder: str | None = None) -> str:
 
 
 _kept: list[Kept] = []
+_trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc's way to give freed memory back; elsewhere there is none
 
 
 class Kept:
@@ -75,6 +77,8 @@ def forget_words(but: Kept | None = None) -> None:
     for model in _kept:
         if model is not but:
             model.forget()
+    if _trim is not None:
+        _trim(0)
 
 
 class WordBpe(Kept):
@@ -166,6 +170,9 @@ class Fertility(Kept):
         self.forget()
         _kept.append(self)
 
+    def __exit__(self, *_):
+        self.forget()  # a rules stage is followed by others that need the room
+
     def forget(self) -> None:
         self.number: dict[str, int] = {}
         self.flat, self.at = np.zeros(0, np.int32), np.zeros(1, np.int64)
