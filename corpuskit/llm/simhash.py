@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.llm.batches import pieces
+from corpuskit.llm.resemblance import resembling
 from corpuskit.llm.vocab import forget_words
 from corpuskit.operators.components import connected
 from corpuskit.session import ship, staged
@@ -125,21 +126,29 @@ def links(prints: DataFrame, block: int = BLOCK) -> DataFrame:
     return lists.select("prints").mapInArrow(_link_batches, "a long, b long")
 
 
+def _components(rows: DataFrame, linked: DataFrame, node: str) -> DataFrame:
+    """(node, component_id): the least doc_id of each component of the nodes of rows(doc_id, node)."""
+    classes = rows.groupBy(node).agg(F.min("doc_id").alias("least"))
+    roots = connected(linked).withColumnRenamed("node", "member")
+    member = classes.join(roots, classes[node] == roots["member"], "left").select(classes[node], "least", F.coalesce("root", node).alias("root"))
+    named = member.groupBy("root").agg(F.min("least").alias("component_id"))
+    return member.join(named, "root").select(node, "component_id")
+
+
 def near_duplicates(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs(doc_id, text)."""
     rows = staged(fingerprints(docs), "prints")
-    classes = rows.groupBy("print").agg(F.min("doc_id").alias("least"))
-    roots = connected(links(classes.select("print"), block))
-    member = classes.join(roots, classes["print"] == roots["node"], "left").select(classes["print"], "least", F.coalesce("root", "print").alias("root"))
-    named = member.groupBy("root").agg(F.min("least").alias("component_id"))
-    of = member.join(named, "root").select("print", "component_id")
+    of = _components(rows, links(rows.select("print").distinct(), block), "print")
     return rows.join(of, "print").select("doc_id", F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, block: int = BLOCK) -> DataFrame:
-    """docs without the later documents of each near-duplicate component; the document with the least doc_id stays.
+    """docs without the later documents of each component of texts alike; the document with the least doc_id stays.
 
-    Rows that share a doc_id are one document and stay or go together. Rows without a doc_id stay.
+    Texts are alike at a Jaccard similarity of 0.8 or more over five-word shingles; the three bits bind near_duplicates
+    alone. Rows that share a doc_id are one document and stay or go together. Rows without a doc_id stay.
     """
-    gone = near_duplicates(docs, block).filter("doc_id != component_id").select("doc_id").distinct()
+    rows, alike = resembling(docs, block)
+    named = _components(rows, alike, "node")
+    gone = rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
