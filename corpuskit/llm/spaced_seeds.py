@@ -2,18 +2,23 @@
 
 A seed is a fixed mask over word positions; a window's hash takes only the positions that count, so a substitution
 at an ignored position leaves it whole. Hashes of benchmark windows meet those of training windows; each diagonal
-that was hit is then compared word by word, and an overlap counts if it is long enough and holds few substitutions.
+that was hit is then compared word by word, and any window of it counts that is long enough and holds few substitutions.
+The masks leave no window out: of 13 to 25 words with four fifths equal, however the others lie, each has a hit, and a
+longer window splits into such lengths, one of which has four fifths equal too.
 
 The benchmark goes to the executors in blocks of bounded bytes; every block passes over all documents, so a benchmark
 of any size is searched whole. Words are runs of ASCII letters, digits and non-ASCII bytes of the lower-cased text.
 
 Defined results: null and empty texts hold nothing; items without a word are never found; items with the same words
-are one item, named by the least item_id; an item shorter than a mask is sought as a whole; of one document and item
-the best overlap is reported (longest, then earliest); repeated rows report each; empty tables give an empty result.
+are one item, named by the least item_id; an item shorter than the least window is sought as a whole, with four fifths
+of its words equal; of one document and item the best overlap is reported (longest, then earliest), without the
+substituted words at its ends, so it may be shorter than the window that counted; repeated rows report each; empty
+tables give an empty result.
 """
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 from functools import reduce
 
@@ -28,9 +33,11 @@ from corpuskit.llm.batches import Words, pieces, windows
 from corpuskit.session import ship
 
 #: 1: the position counts, 0: it is ignored.
-MASKS = ("1101011011", "1011100111", "110100110101", "101101001011")
+MASKS = ("1111000010101", "11101111", "110111011", "11010001111", "1010110000111", "1100101111", "1110110101")
 #: Words an overlap needs (or the whole of a shorter item), and the share of them that must be equal.
 MIN_WORDS, MIN_SHARE = 13, 0.8
+#: Equal words that make up for one substitution at this share.
+_PER_SUBSTITUTION = 4
 #: Bytes of benchmark text in one broadcast.
 BLOCK_BYTES = 16_000_000
 _FILTER_BITS = 20
@@ -41,6 +48,13 @@ def _positions(mask: str) -> list[int]:
     return [i for i, c in enumerate(mask) if c == "1"]
 
 
+def _short_masks(n: int) -> list[list[int]]:
+    """Masks over an item of n words, one of which holds no substitution as long as four fifths are equal."""
+    spare = n // (_PER_SUBSTITUTION + 1)
+    parts = [list(map(int, p)) for p in np.array_split(np.arange(n), spare + 2 if spare else 1)]
+    return [sum(chosen, []) for chosen in itertools.combinations(parts, len(parts) - spare)]
+
+
 class Seeds:
     """The hashed benchmark windows of one block."""
 
@@ -55,12 +69,12 @@ class Seeds:
                 seen.add(own.tobytes())
                 self.items.append(own)
                 self.ids.append(item_id)
-        longest = max(map(len, MASKS))
-        whole = {len(x) for x in self.items if len(x) < longest}
-        self.masks = [_positions(m) for m in MASKS] + [list(range(n)) for n in sorted(whole)]
+        short = sorted({len(x) for x in self.items if len(x) < MIN_WORDS})
+        sought = [(_positions(m), None) for m in MASKS] + [(m, n) for n in short for m in _short_masks(n)]
+        self.masks = [m for m, _ in sought]
         self.tables = []
-        for m in self.masks:
-            own = _Row(self.items, only=len(m) if m == list(range(len(m))) else None)
+        for m, only in sought:
+            own = _Row(self.items, only)
             at, keys = windows(own, m)
             order = np.argsort(keys, kind="stable")
             keys, at = keys[order], at[order]
@@ -87,8 +101,8 @@ class Seeds:
             item = self.items[k]
             low, high = max(0, words.first[doc] - diagonal), min(len(item), words.first[doc + 1] - diagonal)
             same = item[low:high] == words.hash[diagonal + low : diagonal + high]
-            s, e, hits = _segment(same)
-            if e - s >= min(MIN_WORDS, len(item)) and hits >= MIN_SHARE * (e - s):
+            s, e, hits = _longest(same, min(MIN_WORDS, len(item)))
+            if hits:
                 found = (e - s, -(diagonal + low + s), low + s, hits)
                 best[doc, k] = max(found, best.get((doc, k), found))
         return [(doc, self.ids[k], int(-w - words.first[doc]), int(i), int(n), int(hits)) for (doc, k), (n, w, i, hits) in best.items()]
@@ -105,13 +119,19 @@ class _Row:
         self.place = np.concatenate([np.arange(n) for n in lengths]) if chosen else np.zeros(0, np.int64)
 
 
-def _segment(same: np.ndarray) -> tuple[int, int, int]:
-    """Start, end and matches of the best run, a match worth 1 and a substitution -2; of equal runs the longest."""
-    sums = np.r_[0, np.cumsum(np.where(same, 1, -2))]
-    least = np.minimum.accumulate(sums)
-    e = len(sums) - 1 - int(np.argmax((sums - least)[::-1]))
-    s = int(np.argmax(sums[: e + 1] == least[e]))
-    return s, e, int(same[s:e].sum())
+def _longest(same: np.ndarray, least: int) -> tuple[int, int, int]:
+    """Start, end and matches of the longest, then earliest window of `least` words or more with enough of them equal.
+
+    Substituted words at its ends are left off. All 0 if there is none.
+    """
+    sums = np.r_[0, np.cumsum(np.where(same, 1, -_PER_SUBSTITUTION))]
+    most = np.maximum.accumulate(sums[::-1])[::-1]  # of all ends from here on
+    length = np.searchsorted(-most, -sums, side="right") - 1 - np.arange(len(sums))
+    s = int(np.argmax(length))
+    inside = s + np.flatnonzero(same[s : s + length[s]])
+    if length[s] < least or not len(inside):
+        return 0, 0, 0
+    return int(inside[0]), int(inside[-1]) + 1, len(inside)
 
 
 def _blocks(benchmark: DataFrame) -> list[Broadcast]:
