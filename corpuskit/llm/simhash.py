@@ -150,5 +150,5 @@ def keep_one(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """
     rows, alike = resembling(docs, block)
     named = _components(rows, alike, "node")
-    gone = rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct()
+    gone = staged(rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct(), "gone")
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
