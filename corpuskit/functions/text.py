@@ -5,7 +5,7 @@ from __future__ import annotations
 import unicodedata
 
 import pandas as pd
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.functions import pandas_udf
 from pyspark.sql.types import StringType
@@ -41,21 +41,26 @@ def content_key(c: Column, mode: str = "normalized") -> Column:
     return F.sha2(collapse_ws(F.lower(c)), 256)
 
 
-def _as_bytes(c: Column) -> Column:
-    """The bytes that were misread as one-byte characters, or null where a character has no such byte."""
-    plain = F.translate(c, _PUNCTUATION_1252, _PLACES_1252)
-    # the guard stands inside the argument: encode() raises on what the charset lacks
-    return F.encode(F.when(~plain.rlike("[^\\x00-\\xFF]"), plain), "ISO-8859-1")
+#: A lead byte and a continuation byte, both misread as characters; windows-1252 shows some of the latter as punctuation.
+_MISREAD = f"[\\xC2-\\xF4][\\x80-\\xBF{_PUNCTUATION_1252}]"
 
 
 def suspicious(c: Column) -> Column:
     """A lead byte followed by a continuation byte, both misread as characters."""
-    return F.translate(c, _PUNCTUATION_1252, _PLACES_1252).rlike("[\\xC2-\\xF4][\\x80-\\xBF]")
+    return c.rlike(_MISREAD)
 
 
-def _one_pass(c: Column) -> Column:
-    again = _as_bytes(c).cast("string")
-    return F.when(suspicious(c) & F.is_valid_utf8(again), again).otherwise(c)
+def _mended(c: Column, passes: int) -> Column:
+    """c, a column or lambda variable, with up to `passes` misreadings undone. A pass that can't be taken ends it."""
+    def reread(plain: Column) -> Column:
+        # the guard stands inside the argument: encode() raises on what the charset lacks
+        return F.encode(F.when(~plain.rlike("[^\\x00-\\xFF]"), plain), "ISO-8859-1").cast("string")
+
+    def judged(again: Column) -> Column:
+        return F.when(F.is_valid_utf8(again), _mended(again, passes - 1) if passes > 1 else again).otherwise(c)
+
+    read = bound(F.translate(c, _PUNCTUATION_1252, _PLACES_1252), reread)
+    return F.when(suspicious(c), bound(read, judged)).otherwise(c)
 
 
 def _segments(text: str | None, passes: int) -> str | None:
@@ -81,22 +86,25 @@ def _segments(text: str | None, passes: int) -> str | None:
     return text
 
 
-def repair_mojibake(c: Column, passes: int = 2, mixed: bool = False) -> Column:
+def repair_mojibake(c: Column, passes: int = 2) -> Column:
     """Undo UTF-8 read as Latin-1 or windows-1252, up to `passes` times over.
 
-    A pass is taken only if the text shows a misread pair and its bytes are valid UTF-8. mixed: also mend texts of
-    which only a part is damaged, in Python and for suspicious rows alone.
+    A pass is taken only if the text shows a misread pair and its bytes are valid UTF-8.
     """
-    out = c
-    for _ in range(passes):
-        out = _one_pass(out)
-    if mixed:
-        @pandas_udf(StringType())
-        def mend(texts: pd.Series) -> pd.Series:
-            return texts.map(lambda t: _segments(t, passes))
+    return bound(c, lambda t: _mended(t, passes)) if passes > 0 else c
+
+
+def repair_mixed(df: DataFrame, column: str, to: str, passes: int = 2) -> DataFrame:
+    """df with `to`, the column repaired where the whole text or only a part of it is misread; parts in Python, for
+    texts that still look misread alone."""
+    whole = computed(df, __whole=repair_mojibake(F.col(column), passes))
+    asked = computed(whole, __asked=F.when(suspicious(F.col("__whole")), F.col("__whole")))
 
-        out = F.when(suspicious(out), mend(F.when(suspicious(out), out))).otherwise(out)
-    return out
+    @pandas_udf(StringType())
+    def mend(texts: pd.Series) -> pd.Series:
+        return texts.map(lambda t: _segments(t, passes))
+
+    return asked.withColumn(to, F.coalesce(mend("__asked"), "__whole")).drop("__whole", "__asked")
 
 
 @pandas_udf(StringType())
@@ -110,8 +118,14 @@ def nfc(c: Column) -> Column:
     return F.when(guarded, _nfc(F.when(guarded, c))).otherwise(c)
 
 
+def nfc_column(df: DataFrame, column: str, to: str) -> DataFrame:
+    """df with `to`, the canonical composition of a column that is named once."""
+    asked = computed(df, __apart=F.when(F.col(column).rlike("[^\\u0000-\\u02FF]"), F.col(column)))
+    return asked.withColumn(to, F.when(F.col("__apart").isNotNull(), _nfc("__apart")).otherwise(F.col(column))).drop("__apart")
+
+
 def decode_entities(c: Column) -> Column:
-    for name, sign in ENTITIES:
+    for name, sign in ENTITIES:  # one search each, c is named once
         c = F.replace(c, F.lit(name), F.lit(sign))
     return c
 
@@ -170,6 +184,12 @@ def bound(c: Column, then) -> Column:
     return F.get(F.transform(F.array(c), then), F.lit(0))
 
 
+def computed(df: DataFrame, **columns: Column) -> DataFrame:
+    """df with columns that are evaluated once, however often they are used after: the optimizer neither merges a
+    generator into what reads it nor moves filters on its output below it."""
+    return df.select("*", F.inline_outer(F.array(F.struct(*(c.alias(n) for n, c in columns.items())))))
+
+
 def char_gram_bag(c: Column, n: int) -> Column:
     """Character n-grams in order, repeats included; shorter text has none. Linear in the text: substring() by place is not."""
     def grams(chars: Column) -> Column:

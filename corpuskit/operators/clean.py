@@ -12,18 +12,19 @@ from corpuskit.functions import text as T
 def normalize(docs: DataFrame, config: Config = DEFAULT, fixes: tuple[str, ...] = ("mojibake", "entities", "controls", "lines")) -> DataFrame:
     """docs with `clean`, the repaired text, and `repairs`, which steps changed it.
 
-    The steps run in order: repair, canonical composition, white space, runs. A null text stays null.
+    The steps run in order: repair, canonical composition, white space, runs; each is evaluated once. A null text stays null.
     """
-    fixed = docs.withColumn("fixed", T.fix_text(F.col("text"), fixes))
-    composed = fixed.withColumn("composed", T.nfc(F.col("fixed")))
-    spaced = composed.withColumn("spaced", T.collapse_ws(F.col("composed")))
-    done = spaced.withColumn("clean", T.collapse_runs(F.col("spaced"), config.run_keep))
-    steps = (("repaired", "text", "fixed"), ("nfc", "fixed", "composed"), ("ws", "composed", "spaced"), ("runs", "spaced", "clean"))
-    return done.withColumn("repairs", F.struct(*((~F.col(a).eqNullSafe(F.col(b))).alias(n) for n, a, b in steps))).drop("fixed", "composed", "spaced")
+    fixed = T.computed(docs, __fixed=T.fix_text(F.col("text"), fixes))
+    composed = T.nfc_column(fixed, "__fixed", "__composed")
+    spaced = T.computed(composed, __spaced=T.collapse_ws(F.col("__composed")))
+    done = T.computed(spaced, clean=T.collapse_runs(F.col("__spaced"), config.run_keep))
+    steps = (("repaired", "text", "__fixed"), ("nfc", "__fixed", "__composed"), ("ws", "__composed", "__spaced"), ("runs", "__spaced", "clean"))
+    repairs = F.struct(*((~F.col(a).eqNullSafe(F.col(b))).alias(n) for n, a, b in steps))
+    return done.withColumn("repairs", repairs).drop("__fixed", "__composed", "__spaced")
 
 
 def min_words(cleaned: DataFrame, least: int = DEFAULT.min_words) -> DataFrame:
-    return cleaned.withColumn("n_words", T.word_count(F.col("clean"))).filter(F.col("n_words") >= least)
+    return T.computed(cleaned, n_words=T.word_count(F.col("clean"))).filter(F.col("n_words") >= least)
 
 
 def drop_reasons(cleaned: DataFrame, least: int = DEFAULT.min_words) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.session import staged
+from corpuskit.session import discard, staged
 
 
 def _larger_to_least(edges: DataFrame) -> DataFrame:
@@ -39,7 +39,8 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60
         if mark == seen or mark[0] == 0:
             break
         seen = mark
-        now = staged(_smaller_to_least(_larger_to_least(now)), "edges")
+        before, now = now, staged(_smaller_to_least(_larger_to_least(now)), "edges")
+        discard(before)
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     nodes = now.select(F.col("u").alias("node"), F.col("v").alias("root"))

@@ -1,11 +1,19 @@
-"""Exact deduplication: the first document of each content key stays."""
+"""Exact deduplication: the first document of each content key stays.
+
+Defined results: the first row by (source_rank, doc_id) stays, nulls first; rows with a null text share one key; of rows
+with the same key, rank and id one stays; a null or repeated doc_id loses no row whose key is its own; an empty table
+gives an empty result; other columns pass through.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpuskit.functions.text import content_key
+from corpuskit.session import staged
 
 ORDER = ("source_rank", "doc_id")
 
@@ -15,14 +23,28 @@ def keyed(docs: DataFrame, mode: str = "normalized") -> DataFrame:
 
 
 def winners(docs: DataFrame, mode: str = "normalized") -> DataFrame:
-    """(content_key, source_rank, doc_id) of each key's first document. Only keys and order are shuffled, and a hot
-    key is one row for each task before the shuffle."""
-    slim = keyed(docs, mode).select("content_key", F.struct(*ORDER).alias("place"))
-    return slim.groupBy("content_key").agg(F.min("place").alias("place")).select("content_key", "place.*")
+    """(content_key, source_rank, doc_id, n): each key's first document, and how many rows are it. Only keys and order
+    are shuffled, and a hot key is one row for each task before either shuffle."""
+    slim = keyed(docs, mode).groupBy("content_key", *ORDER).agg(F.count("*").alias("n"))
+    return slim.groupBy("content_key").agg(F.min(F.struct(*ORDER, "n")).alias("place")).select("content_key", "place.*")
+
+
+def _same_row(a: DataFrame, b: DataFrame) -> Column:
+    return reduce(Column.__and__, (a[c].eqNullSafe(b[c]) for c in ("content_key", *ORDER)))
 
 
 def drop_exact(docs: DataFrame, mode: str = "normalized") -> DataFrame:
-    return docs.join(winners(docs, mode), list(ORDER), "left_semi")
+    """The first row of each content key by (source_rank, doc_id), nulls first; null texts are one key.
+
+    Rows that share key, rank and id are told apart only where there are such: one of them stays, whichever.
+    """
+    first, rows = staged(winners(docs, mode), "winners"), keyed(docs, mode)
+    kept = rows.join(first, _same_row(rows, first), "left_semi")
+    if not first.filter("n > 1").isEmpty():
+        once, again = first.filter("n = 1"), first.filter("n > 1")
+        tied = rows.join(again, _same_row(rows, again), "left_semi").dropDuplicates(["content_key"])
+        kept = rows.join(once, _same_row(rows, once), "left_semi").unionByName(tied)
+    return kept.drop("content_key")
 
 
 def drop_exact_window(docs: DataFrame, mode: str = "normalized") -> DataFrame:
@@ -33,7 +55,8 @@ def drop_exact_window(docs: DataFrame, mode: str = "normalized") -> DataFrame:
 
 def drop_exact_incremental(new: DataFrame, seen: DataFrame, mode: str = "normalized") -> DataFrame:
     """New documents whose key is not among the stored `seen(content_key)`, first of each key."""
-    return drop_exact(keyed(new, mode).join(seen.select("content_key"), "content_key", "left_anti").drop("content_key"), mode)
+    rows, known = keyed(new, mode), seen.select("content_key")
+    return drop_exact(rows.join(known, rows["content_key"].eqNullSafe(known["content_key"]), "left_anti").drop("content_key"), mode)
 
 
 def groups(docs: DataFrame, mode: str = "normalized") -> DataFrame:
@@ -44,10 +67,13 @@ def groups(docs: DataFrame, mode: str = "normalized") -> DataFrame:
 
 
 def rate_attributed(docs: DataFrame, mode: str = "normalized") -> DataFrame:
-    """Share of each source's documents that an earlier document of any source removes."""
-    kept = docs.join(winners(docs, mode).withColumn("kept", F.lit(1)), list(ORDER), "left")
-    n, gone = F.count("*"), F.sum(F.when(F.col("kept").isNull(), 1).otherwise(0))
-    return kept.groupBy("source").agg(n.alias("n_docs"), gone.alias("n_removed"), F.round(gone / n, 6).alias("rate"))
+    """Share of each source's documents that an earlier document of any source removes: one stays for each key."""
+    slim = keyed(docs, mode).select("content_key", "source", F.struct(*ORDER).alias("place"))
+    per = slim.groupBy("content_key", "source").agg(F.count("*").alias("n"), F.min("place").alias("place"))
+    first = per.groupBy("content_key").agg(F.min(F.struct("place", "source")).alias("x")).groupBy(F.col("x.source").alias("source")).agg(F.count("*").alias("n_kept"))
+    n = per.groupBy("source").agg(F.sum("n").alias("n_docs"))
+    both = n.join(first, n["source"].eqNullSafe(first["source"]), "left").select(n["source"], "n_docs", (F.col("n_docs") - F.coalesce("n_kept", F.lit(0))).alias("n_removed"))
+    return both.withColumn("rate", F.round(F.col("n_removed") / F.col("n_docs"), 6))
 
 
 def rate_within(docs: DataFrame, mode: str = "normalized") -> DataFrame:

@@ -15,6 +15,8 @@ from corpuskit.functions.text import char_gram_bag, collapse_ws
 from corpuskit.session import ship, staged
 
 ORDERS = (1, 2, 3)
+#: Rows of a profile that are broadcast as arrays at most (about 60 bytes each); a larger one is joined.
+BROADCAST_ROWS = 4_000_000
 
 
 def prepared(text: Column) -> Column:
@@ -29,18 +31,54 @@ def gram_rows(docs: DataFrame, *keep: str, text: str = "text") -> DataFrame:
     return each.select(*keep, "x.n", F.explode("x.g").alias("gram"))
 
 
+def _count_batches(labels: str):
+    """Counts of packed n-grams by label; a code holds up to three characters of 21 bits."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in pieces(whole, "t"):
+                names = batch.column(labels).dictionary_encode()
+                label = names.indices.to_numpy(zero_copy_only=False)
+                texts = batch.column("t").to_pylist()
+                points = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
+                doc = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
+                for n in ORDERS:
+                    m = max(len(points) - n + 1, 0)
+                    code = np.zeros(m, np.uint64)
+                    for j in range(n):
+                        code = (code << np.uint64(21)) | points[j : j + m]
+                    at = np.flatnonzero(doc[:m] == doc[n - 1 :])
+                    for k, name in enumerate(names.dictionary.to_pylist()):
+                        found, times = np.unique(code[at[label[doc[at]] == k]], return_counts=True)
+                        letters = np.stack([(found >> np.uint64(21 * (n - 1 - j))) & np.uint64(0x1FFFFF) for j in range(n)], axis=1).astype("<u4")
+                        row = letters.tobytes().decode("utf-32-le", "surrogatepass")
+                        grams = [row[i : i + n] for i in range(0, len(row), n)]
+                        columns = [pa.array([name] * len(grams), pa.string()), pa.array(np.full(len(grams), n, np.int32)), pa.array(grams, pa.string()), pa.array(times, pa.int64())]
+                        yield pa.RecordBatch.from_arrays(columns, ["label", "n", "gram", "c"])
+
+    return run
+
+
+def gram_counts(docs: DataFrame, label: str = "lang", text: str = "text") -> DataFrame:
+    """(label, n, gram, c): how often documents of each label hold each character n-gram; counted in the batches first."""
+    ship(docs.sparkSession)
+    ready = docs.select(F.col(label).alias("label"), prepared(F.col(text)).alias("t")).filter("t is not null and label is not null")
+    return ready.mapInArrow(_count_batches("label"), "label string, n int, gram string, c long").groupBy("label", "n", "gram").agg(F.sum("c").alias("c"))
+
+
 def train_profile(docs: DataFrame, label: str = "lang", alpha: float = 0.5, text: str = "text", top: int | None = None) -> DataFrame:
     """(label, n, gram, logp, unknown): smoothed log probabilities of the n-grams a label has, and of those it hasn't.
 
-    top: of each label and order, only the most frequent n-grams.
+    Documents without a label or text don't teach. top: of each label and order, only the most frequent n-grams.
     """
-    counts = gram_rows(docs, label, text=text).groupBy(F.col(label).alias("label"), "n", "gram").agg(F.count("*").alias("c"))
+    counts = staged(gram_counts(docs, label, text), "gram-counts")
     vocabulary = counts.groupBy("n").agg(F.count_distinct("gram").alias("v"))
     if top:
         w = Window.partitionBy("label", "n").orderBy(F.desc("c"), "gram")
         counts = counts.withColumn("place", F.row_number().over(w)).filter(F.col("place") <= top).drop("place")
     totals = counts.groupBy("label", "n").agg(F.sum("c").alias("t"))
-    full = counts.join(totals, ["label", "n"]).join(vocabulary, "n")
+    # a row for each label and order
+    full = counts.join(F.broadcast(totals), ["label", "n"]).join(F.broadcast(vocabulary), "n")
     below = F.col("t") + alpha * F.col("v")
     return full.select("label", "n", "gram", F.log((F.col("c") + alpha) / below).alias("logp"), F.log(alpha / below).alias("unknown"))
 
@@ -67,7 +105,7 @@ def predict_profile_joined(docs: DataFrame, profile: DataFrame, temper: float |
 
 @dataclasses.dataclass
 class Profile:
-    """A profile as arrays, for narrow scoring. Its size is that of the n-gram vocabulary, which `top` bounds."""
+    """A profile as arrays, for narrow scoring. identifier() checks its size first."""
 
     labels: list[str]
     keys: np.ndarray
@@ -122,7 +160,7 @@ class Profile:
 
 
 def predict_profile(docs: DataFrame, profile: Profile, temper: float | None = None, text: str = "text", draws: tuple[int, int] | None = None, seed: int = 0) -> DataFrame:
-    """(doc_id, label, prob) in one narrow pass over a broadcast profile."""
+    """(doc_id, label, prob) in one narrow pass over a broadcast profile; a text without an n-gram has no label."""
     spark = docs.sparkSession
     ship(spark)
     shared = spark.sparkContext.broadcast(profile)
@@ -144,6 +182,14 @@ def predict_profile(docs: DataFrame, profile: Profile, temper: float | None = No
     return docs.select("doc_id", prepared(F.col(text)).alias("t")).mapInArrow(run, "doc_id long, label string, prob double")
 
 
+def identifier(profile: DataFrame, text: str = "clean", most: int = BROADCAST_ROWS):
+    """docs to (doc_id, label, prob) by a staged profile: in one narrow pass if the profile is small enough, else by joins."""
+    if profile.count() <= most:
+        model = Profile.of(profile)
+        return lambda docs: predict_profile(docs, model, text=text)
+    return lambda docs: predict_profile_joined(docs, profile, text=text)
+
+
 def verify(predicted: DataFrame, target: str, least: float = 0.5) -> DataFrame:
     """Documents whose top label is the target with probability `least` or more."""
     return predicted.filter((F.col("label") == target) & (F.col("prob") >= least))

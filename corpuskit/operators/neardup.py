@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 from corpuskit.functions.text import word_grams
 from corpuskit.operators.components import connected
+from corpuskit.operators.relational import sized_join
 from corpuskit.session import ship, staged
 
 PRIME = (1 << 31) - 1
@@ -50,9 +51,9 @@ def hashed(sets: DataFrame, base: str = "md5") -> DataFrame:
 def classes(sets: DataFrame, column: str = "hashes") -> DataFrame:
     """(doc_id, representative): documents of equal sets share the least id; a SHA-256 stands for a set."""
     text = F.concat_ws(",", F.col(column))
-    keys = sets.select("doc_id", F.sha2(text, 256).alias("key"))
-    least = keys.groupBy("key").agg(F.min("doc_id").alias("representative"))
-    return keys.join(least, "key").select("doc_id", "representative")
+    keys = staged(sets.select("doc_id", F.sha2(text, 256).alias("key")), "set-keys")
+    least = staged(keys.groupBy("key").agg(F.min("doc_id").alias("representative"), F.count("*").alias("n")), "set-firsts")
+    return sized_join(keys, least, "key").select("doc_id", "representative")
 
 
 def signatures(hashes: DataFrame, k: int = 64, seed: int = 0) -> DataFrame:
@@ -137,6 +138,37 @@ def verify(pairs: DataFrame, sets: DataFrame, tau: float = 0.8, column: str = "h
     return both.select("a", "b", jaccard(F.col("sa"), F.col("sb")).alias("jaccard")).filter(F.col("jaccard") >= tau)
 
 
+def compared(pairs: DataFrame, sets: DataFrame, column: str = "hashes") -> DataFrame:
+    """(a, b, jaccard) of all pairs; many pairs may share an a."""
+    full = sets.select("doc_id", column)
+    mine = pairs.join(full.toDF("b", "sb"), "b")
+    of = staged(pairs.groupBy("a").agg(F.count("*").alias("n")).join(full.toDF("a", "sa"), "a"), "compared")
+    return sized_join(mine, of, "a").select("a", "b", jaccard(F.col("sa"), F.col("sb")).alias("jaccard"))
+
+
+def bucket_links(buckets: DataFrame, sets: DataFrame, tau: float = 0.8, column: str = "hashes") -> DataFrame:
+    """(a, b, jaccard): verified pairs of one bucket that connect all its verified pairs.
+
+    buckets(bucket, doc_id) is staged. Every member is compared with the least of its bucket, so a bucket of near copies
+    costs its length and not its square. What is alike to the least needs no comparison among itself. Members that are
+    not are compared with all they could still be alike to: Jaccard distance is a metric, so two members whose distances
+    to the least differ by more than 1 - tau are not alike. No verified link between different components is lost.
+    """
+    least = staged(buckets.groupBy("bucket").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).filter("n > 1"), "bucket-firsts")
+    met = staged(sized_join(buckets, least, "bucket").filter("a != doc_id").select("bucket", "a", F.col("doc_id").alias("b")), "bucket-stars")
+    known = staged(compared(met.select("a", "b").distinct(), sets, column), "bucket-compared")
+    loose = known.filter(F.col("jaccard") < tau)
+    found = known.filter(F.col("jaccard") >= tau)
+    if loose.isEmpty():
+        return found
+    unsure = met.join(loose.select("a", "b", F.col("jaccard").alias("j")), ["a", "b"]).select("bucket", "a", "b", "j")
+    beside = met.join(unsure.select("bucket").distinct(), "bucket", "left_semi").join(known, ["a", "b"])
+    left, right = unsure.select("bucket", F.col("b").alias("x"), "j"), beside.select("bucket", F.col("b").alias("y"), F.col("jaccard").alias("k"))
+    reach = (F.abs(F.col("j") - F.col("k")) <= 1 - tau + 1e-9) & (F.col("x") != F.col("y")) & ((F.col("k") >= tau) | (F.col("x") < F.col("y")))
+    pairs = left.join(right, "bucket").filter(reach).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    return found.unionByName(verify(pairs, sets, tau, column))
+
+
 def brute_force(sets: DataFrame, tau: float = 0.0, column: str = "hashes") -> DataFrame:
     """Every pair that shares an element, with its exact Jaccard similarity: the yardstick for small tables."""
     sized = sets.select("doc_id", F.size(column).alias("n"), F.explode(column).alias("x"))
@@ -197,8 +229,9 @@ class NearDuplicates:
         firsts = self.members.filter("doc_id = representative").select("doc_id")
         self.distinct = self.sets.join(firsts, "doc_id", "left_semi")
         self.bands = bands(signatures(self.distinct, k, seed), b, r)
-        self.candidates = candidates(self.bands)
-        self.pairs = staged(verify(self.candidates, self.distinct, tau), "pairs")
+        buckets = staged(self.bands.select(F.xxhash64("band", "key").alias("bucket"), "doc_id"), "buckets")
+        #: Verified pairs, as many as connect what is alike; candidates() and verify() give every pair.
+        self.pairs = staged(bucket_links(buckets, self.distinct, tau), "pairs")
 
     def links(self) -> DataFrame:
         """Verified pairs, and each copy linked to its representative."""

@@ -46,6 +46,30 @@ def salted_join(big: DataFrame, small: DataFrame, on: str, salts: int = 16, spre
     return big.withColumn("__s", salt).join(repeated, [on, "__s"]).drop("__s")
 
 
+#: Keys with more than one part in so many of all rows are hot; there can't be more of them than this.
+HOT_PARTS = 500
+
+
+def sized_join(big: DataFrame, small: DataFrame, on: str, n: str = "n") -> DataFrame:
+    """An inner join of big with one row for each key, of which small[n] says how many rows of big have it.
+
+    Rows of hot keys stay where they are and meet the few hot rows of small in a broadcast, which HOT_PARTS bounds; the
+    rest is shuffled. Nulls meet nulls. small is read three times.
+    """
+    total = small.agg(F.sum(n)).first()[0] or 0
+    hot = F.col(n) > total / HOT_PARTS
+    slim = small.drop(n)
+    if small.filter(hot).isEmpty():
+        return _null_safe(big, slim, on)
+    few = F.broadcast(small.filter(hot).drop(n))
+    rest = big.join(few.select(F.col(on).alias("__k")), F.col(on).eqNullSafe(F.col("__k")), "left_anti")
+    return _null_safe(big, few, on).unionByName(_null_safe(rest, small.filter(~hot).drop(n), on))
+
+
+def _null_safe(big: DataFrame, small: DataFrame, on: str) -> DataFrame:
+    return big.join(small.withColumnRenamed(on, "__k"), F.col(on).eqNullSafe(F.col("__k"))).drop("__k")
+
+
 def share(df: DataFrame, value: str, *by: str) -> DataFrame:
     total = F.sum(value).over(Window.partitionBy(*(by or [F.lit(0)])))
     return df.withColumn("share", F.round(F.col(value) / total, 6))

@@ -28,24 +28,38 @@ def gold(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.col("lang").alias("label"), F.lit(1.0).alias("prob"))
 
 
-def profile_identifier(training: DataFrame, top: int | None = 50_000) -> Identifier:
-    """The profile model, trained on documents with lang."""
-    model = lid.Profile.of(lid.train_profile(training, top=top))
-    return lambda docs: lid.predict_profile(docs, model, text="clean")
+def profile_identifier(training: DataFrame, label: str = "lang", text: str = "text") -> Identifier:
+    """The profile model, trained on labelled documents."""
+    return lid.identifier(staged(lid.train_profile(training, label, text=text), "profile"))
+
+
+def matching(docs: DataFrame, ids: DataFrame, how: str = "left_semi") -> DataFrame:
+    """The rows of docs whose doc_id is among ids (left_anti: is not); nulls meet nulls."""
+    named = ids.select(F.col("doc_id").alias("__id"))
+    return docs.join(named, docs["doc_id"].eqNullSafe(named["__id"]), how)
 
 
 class CorpusRun:
-    """One run over docs(doc_id, source, text, lang). `skip` leaves out phases 1 to 5 by number."""
+    """One run over docs(doc_id, source, text, lang). `skip` leaves out phases 1 to 5 by number.
+
+    identify: the language identifier of phase 3; unless given, the profile model trained on the labelled documents of
+    even doc_id that phase 1 leaves. After phase 1 rows that share a doc_id, or have none, are one document: they stay or go together.
+    """
 
-    def __init__(self, docs: DataFrame, config: Config = DEFAULT, identify: Identifier = gold, skip: tuple[int, ...] = (), universe: str = "all"):
-        if universe == "partition":  # sources already of one language, with some leakage
-            docs = docs.filter((F.col("lang") == config.target) | (F.col("doc_id") % 97 == 0))
-        self.config, self.identify, self.skip = config, identify, skip
+    def __init__(self, docs: DataFrame, config: Config = DEFAULT, identify: Identifier | None = None, skip: tuple[int, ...] = (), base: str = "xx"):
+        self.config, self.skip, self.base = config, skip, base
         self.docs, self.raw = docs, with_roles(docs, config)
+        if identify:
+            self.identify = identify
+
+    @cached_property
+    def identify(self) -> Identifier:
+        return profile_identifier(self.unique.filter("doc_id % 2 = 0"))
 
     def without(self, phase: int) -> CorpusRun:
         """A run that leaves a phase out and shares the stages before it with this one."""
-        other = CorpusRun(self.docs, self.config, self.identify, (*self.skip, phase))
+        identify = self.identify if phase > 1 else self.__dict__.get("identify")
+        other = CorpusRun(self.docs, self.config, identify, (*self.skip, phase), self.base)
         for name, of in (("unique", 1), ("cleaned", 2), ("predicted", 3), ("p3_ids", 3), ("near", 4), ("clusters", 4), ("p4_ids", 4), ("scored", 5)):
             if of < phase:
                 other.__dict__[name] = getattr(self, name)
@@ -73,12 +87,12 @@ class CorpusRun:
 
     @cached_property
     def p3(self) -> DataFrame:
-        return self.cleaned.join(self.p3_ids, "doc_id", "left_semi")
+        return matching(self.cleaned, self.p3_ids)
 
     @cached_property
     def near(self) -> neardup.NearDuplicates:
         c = self.config
-        return neardup.NearDuplicates(self.p3, c.shingle_n, c.k, c.bands, c.rows, c.tau, c.seed, base="md5")
+        return neardup.NearDuplicates(self.p3, c.shingle_n, c.k, c.bands, c.rows, c.tau, c.seed, self.base)
 
     @cached_property
     def clusters(self) -> DataFrame:
@@ -88,11 +102,11 @@ class CorpusRun:
     def p4_ids(self) -> DataFrame:
         if 4 in self.skip:
             return self.p3_ids
-        return staged(self.p3_ids.join(neardup.losers(self.p3, self.clusters), "doc_id", "left_anti"), "p4")
+        return staged(matching(self.p3_ids, neardup.losers(self.p3, self.clusters), "left_anti"), "p4")
 
     @cached_property
     def p4(self) -> DataFrame:
-        return self.cleaned.join(self.p4_ids, "doc_id", "left_semi")
+        return matching(self.cleaned, self.p4_ids)
 
     @cached_property
     def seed(self) -> DataFrame:
@@ -111,7 +125,7 @@ class CorpusRun:
 
     @cached_property
     def corpus(self) -> DataFrame:
-        return self.cleaned.join(self.p5_ids, "doc_id", "left_semi")
+        return matching(self.cleaned, self.p5_ids)
 
     @cached_property
     def released(self) -> DataFrame:
@@ -152,7 +166,7 @@ def composition(docs: DataFrame, by: str = "role") -> DataFrame:
 
 def leakage(run: CorpusRun) -> DataFrame:
     """Documents that phase 3 drops, by predicted label."""
-    gone = run.predicted.join(run.p3_ids, "doc_id", "left_anti")
+    gone = matching(run.predicted, run.p3_ids, "left_anti")
     counts = gone.groupBy("label").agg(F.count("*").alias("n_docs"))
     return counts.crossJoin(F.broadcast(gone.agg(F.count("*").alias("n")))).select("label", "n_docs", F.round(F.col("n_docs") / F.col("n"), 6).alias("share"))
 
@@ -185,7 +199,7 @@ def defects(run: CorpusRun, role: str = "A") -> DataFrame:
     survivors = run.cleaned.filter(F.col("role") == role)
     n_survivors, n_repaired = survivors.count(), survivors.filter("repairs.repaired").count()
     c = run.config
-    near = neardup.NearDuplicates(clean.normalize(own, c), c.shingle_n, c.k, c.bands, c.rows, c.tau, c.seed, base="md5")
+    near = neardup.NearDuplicates(clean.normalize(own, c), c.shingle_n, c.k, c.bands, c.rows, c.tau, c.seed, run.base)
     stats = neardup.cluster_stats(near.clusters()).first()
     part = lambda a, b: round(a / b, 6) if b else 0.0
     rows = [

@@ -13,7 +13,7 @@ from corpuskit.functions import text as T
 from corpuskit.operators import clean, exact, neardup, quality
 from corpuskit.plans import corpus as C
 from corpuskit.plans import objective
-from corpuskit.queries.registry import query, table
+from corpuskit.queries.registry import query, table, version
 from corpuskit.sources import aggregate, pages_as_documents, with_roles
 
 WS = r"[ \t\n\r\f\x0B]+"
@@ -54,7 +54,8 @@ P4 = """best AS (SELECT doc_id, row_number() OVER (PARTITION BY component ORDER
 p4 AS (SELECT * FROM p3 WHERE doc_id NOT IN (SELECT doc_id FROM best WHERE place > 1))"""
 GRAMS = """gr AS (SELECT doc_id, unnest(list_distinct(list_transform(range(1, length(clean) - 3), lambda i: substr(clean, i, 5)))) AS g FROM p4),
 seed AS (SELECT DISTINCT g FROM gr WHERE doc_id IN (SELECT doc_id FROM p4 WHERE source = 'src0' AND n_words >= 200)),
-scored AS (SELECT doc_id, CAST(count(seed.g) AS BIGINT) AS hits, CAST(count(*) AS BIGINT) AS total, count(seed.g) / count(*) AS coverage FROM gr LEFT JOIN seed USING (g) GROUP BY 1)"""
+scored AS (SELECT p4.doc_id, CAST(count(seed.g) AS BIGINT) AS hits, CAST(count(gr.g) AS BIGINT) AS total, CASE WHEN count(gr.g) > 0 THEN count(seed.g) / count(gr.g) ELSE 0 END AS coverage
+ FROM p4 LEFT JOIN gr ON gr.doc_id = p4.doc_id LEFT JOIN seed ON seed.g = gr.g GROUP BY 1)"""
 P5 = """cut AS (SELECT coverage AS least FROM (SELECT coverage, row_number() OVER (ORDER BY coverage) - 1 AS i, count(*) OVER () AS n FROM scored) WHERE i = n * 15 // 100),
 p5 AS (SELECT p4.* FROM p4 JOIN scored USING (doc_id), cut WHERE coverage >= least)"""
 UP3 = f"WITH {RAW}, {P1}, {P2}, {P3}"
@@ -63,14 +64,38 @@ UPSIG = f"WITH RECURSIVE {RAW}, {P1}, {P2}, {P3}, {SETS}, {BRUTE}, {SIG}, {_band
 UP4 = f"{UPSIG}, {CLUSTERS}, {P4}"
 UP5 = f"{UP4}, {GRAMS}, {P5}"
 
+#: The profile model trained on the even documents that phase 1 leaves, and its answers for `asked(doc_id, t)`.
+TRAIN = f"""prep AS (SELECT doc_id, lang, ' ' || trim(regexp_replace(lower(text), '{WS}', ' ', 'g')) || ' ' AS t FROM p1 WHERE doc_id % 2 = 0),
+gm AS (SELECT lang AS label, n, unnest(list_transform(range(1, length(t) - n + 2), lambda i: substr(t, i, n))) AS gram FROM prep, (VALUES (1), (2), (3)) v(n)),
+cnt AS MATERIALIZED (SELECT label, n, gram, count(*) AS c FROM gm GROUP BY ALL), voc AS (SELECT n, count(DISTINCT gram) AS v FROM cnt GROUP BY 1), tot AS (SELECT label, n, sum(c) AS t FROM cnt GROUP BY ALL),
+prof AS (SELECT label, n, gram, ln((c + 0.5) / (t + 0.5 * v)) AS logp, ln(0.5 / (t + 0.5 * v)) AS unk FROM cnt JOIN tot USING (label, n) JOIN voc USING (n))"""
+BAG = """bag AS MATERIALIZED (SELECT doc_id, n, gram, count(*) AS m FROM (SELECT doc_id, n, unnest(list_transform(range(1, length(t) - n + 2), lambda i: substr(t, i, n))) AS gram FROM asked, (VALUES (1), (2), (3)) v(n)) GROUP BY ALL)"""
+SCORE = """unkn AS (SELECT DISTINCT label, n, unk FROM prof), sizes AS (SELECT doc_id, n, sum(m) AS size FROM bag GROUP BY ALL),
+base AS (SELECT doc_id, label, sum(size * unk) AS base FROM sizes JOIN unkn USING (n) GROUP BY ALL),
+gain AS (SELECT doc_id, label, sum(m * (logp - unk)) AS gain FROM bag JOIN prof USING (n, gram) GROUP BY ALL),
+score AS (SELECT doc_id, label, base + coalesce(gain, 0) AS s FROM base LEFT JOIN gain USING (doc_id, label)),
+pred AS MATERIALIZED (SELECT doc_id, label, 1 / sum(exp(s - top)) OVER (PARTITION BY doc_id) AS prob, row_number() OVER (PARTITION BY doc_id ORDER BY s DESC, label) AS place FROM (SELECT *, max(s) OVER (PARTITION BY doc_id) AS top FROM score))"""
+IDENTIFIED = f"{TRAIN}, asked AS (SELECT doc_id, ' ' || trim(regexp_replace(lower(clean), '{WS}', ' ', 'g')) || ' ' AS t FROM p2), {BAG}, {SCORE}"
+#: Phase 3 by that model instead of the labels that documents came with.
+P3_MODEL = f"{IDENTIFIED}, p3 AS MATERIALIZED (SELECT p2.* FROM p2 JOIN pred USING (doc_id) WHERE place = 1 AND label = 'en' AND prob >= 0.5)"
+
+
+def behind_model(sql: str) -> str:
+    return sql.replace(P3, P3_MODEL)
+
+
 _runs: dict[tuple, C.CorpusRun] = {}
 
 
-def run_of(spark, sf_dir: str, **options) -> C.CorpusRun:
-    """One run for each input and session; its stages are written once and read by every report."""
-    key = (spark.sparkContext.applicationId, sf_dir, *sorted(options.items()))
+def run_of(spark, sf_dir: str, identify=C.gold) -> C.CorpusRun:
+    """One run for each input and session; its stages are written once and read by every report.
+
+    Phases 4 and 5 are checked behind the labels the documents came with (gold), reports also behind the profile model
+    (None); shingles are hashed by MD5, which SQL has too.
+    """
+    key = (*version(spark, sf_dir), identify)
     if key not in _runs:
-        _runs[key] = C.CorpusRun(table(spark, sf_dir), **options)
+        _runs[key] = C.CorpusRun(table(spark, sf_dir), identify=identify, base="md5")
     return _runs[key]
 
 
@@ -146,34 +171,38 @@ def p1_approx_rate(spark, d):
     return exact.approx_rate(_roles(spark, d))
 
 
-def _damaged(docs: DataFrame, charset: str) -> DataFrame:
-    """Texts with a carrier tail whose UTF-8 bytes were read as a one-byte charset, one third of them twice."""
-    chosen = docs.filter("doc_id % 16 IN (3, 5, 9)").withColumn("carrier", F.concat("text", F.lit(TAIL)))
+def _damaged(text, charset: str):
+    """text with a carrier tail, its UTF-8 bytes read as a one-byte charset; of every third document twice, of every
+    third not at all: those come back as they are."""
+    carrier = F.concat(text, F.lit(TAIL))
     if charset == "latin":
         once = lambda c: F.decode(F.encode(c, "UTF-8"), "ISO-8859-1")
-        return chosen.withColumn("text", F.when(F.col("doc_id") % 16 == 9, once(once(F.col("carrier")))).otherwise(once(F.col("carrier"))))
-    wide = F.translate(F.decode(F.encode("carrier", "UTF-8"), "ISO-8859-1"), T._PLACES_1252, T._PUNCTUATION_1252)
-    return chosen.withColumn("text", wide)
+        return F.when(F.col("doc_id") % 3 == 0, once(once(carrier))).when(F.col("doc_id") % 3 == 1, once(carrier)).otherwise(carrier)
+    wide = F.translate(F.decode(F.encode(carrier, "UTF-8"), "ISO-8859-1"), T._PLACES_1252, T._PUNCTUATION_1252)
+    return F.when(F.col("doc_id") % 3 == 2, carrier).otherwise(wide)
 
 
-_CARRIERS = "SELECT doc_id, md5(text || '" + TAIL + "') AS repaired FROM documents WHERE doc_id % 16 IN (3, 5, 9)"
+_CARRIERS = "SELECT doc_id, md5(text || '" + TAIL + "') AS repaired FROM documents"
+
+
+def _broken(docs: DataFrame, damage) -> DataFrame:
+    return T.computed(docs.select("doc_id", "text"), broken=damage)
 
 
 @query("p2_repair", _CARRIERS)
 def p2_repair(spark, d):
-    return _damaged(table(spark, d), "latin").select("doc_id", F.md5(T.repair_mojibake(F.col("text"))).alias("repaired"))
+    return _broken(table(spark, d), _damaged(F.col("text"), "latin")).select("doc_id", F.md5(T.repair_mojibake(F.col("broken"))).alias("repaired"))
 
 
 @query("p2_repair_1252", _CARRIERS)
 def p2_repair_1252(spark, d):
-    return _damaged(table(spark, d), "1252").select("doc_id", F.md5(T.repair_mojibake(F.col("text"))).alias("repaired"))
+    return _broken(table(spark, d), _damaged(F.col("text"), "1252")).select("doc_id", F.md5(T.repair_mojibake(F.col("broken"))).alias("repaired"))
 
 
-@query("p2_repair_mixed", "SELECT doc_id, md5(text || '" + TAIL + " €“" + TAIL + "') AS repaired FROM documents WHERE doc_id % 16 IN (3, 5, 9)")
+@query("p2_repair_mixed", "SELECT doc_id, md5(text || '" + TAIL + " €“" + TAIL + "') AS repaired FROM documents")
 def p2_repair_mixed(spark, d):
-    half = _damaged(table(spark, d).withColumn("text", F.lit("")), "latin").select("doc_id", F.col("text").alias("broken"))
-    rows = table(spark, d).join(half, "doc_id").withColumn("text", F.concat("text", F.lit(TAIL + " €“"), "broken"))
-    return rows.select("doc_id", F.md5(T.repair_mojibake(F.col("text"), mixed=True)).alias("repaired"))
+    rows = _broken(table(spark, d), F.concat("text", F.lit(TAIL + " €“"), _damaged(F.lit(""), "latin")))
+    return T.repair_mixed(rows, "broken", "whole").select("doc_id", F.md5("whole").alias("repaired"))
 
 
 @query("p2_fix_entities", "SELECT page_id, md5(replace(replace(replace(replace(replace(replace(replace(replace(replace(html, '&lt;', '<'), '&gt;', '>'), '&quot;', '\"'), '&#39;', ''''), '&apos;', ''''), '&nbsp;', chr(160)), '&copy;', '©'), '&middot;', '·'), '&amp;', '&')) AS fixed FROM pages")
@@ -216,12 +245,10 @@ def p2_minwords(spark, d):
     return run_of(spark, d).cleaned.select("doc_id", "n_words")
 
 
-@query("p2_repair_rate", f"WITH {RAW}, {P1}, {P2}, f AS (SELECT role, CASE WHEN role = 'A' AND doc_id % 16 IN (3, 5, 9) THEN 1 ELSE 0 END AS hit FROM (SELECT role, doc_id, CASE WHEN role = 'A' AND doc_id % 16 IN (3, 5, 9) THEN 5 ELSE 0 END + len(string_split(clean, ' ')) AS n FROM cl) WHERE n >= 50) SELECT role, count(*) AS n_survivors, CAST(sum(hit) AS BIGINT) AS n_repaired, round(sum(hit) / count(*), 6) AS rate_among_survivors FROM f GROUP BY ROLLUP (role)")
+@query("p2_repair_rate", f"WITH {RAW}, {P1}, {P2}, f AS (SELECT role, CASE WHEN doc_id % 3 < 2 THEN 1 ELSE 0 END AS hit FROM (SELECT role, doc_id, 5 + len(string_split(clean, ' ')) AS n FROM cl) WHERE n >= 50) SELECT role, count(*) AS n_survivors, CAST(sum(hit) AS BIGINT) AS n_repaired, round(sum(hit) / count(*), 6) AS rate_among_survivors FROM f GROUP BY ROLLUP (role)")
 def p2_repair_rate(spark, d):
-    docs = run_of(spark, d).unique
-    hit = (F.col("role") == "A") & F.expr("doc_id % 16 IN (3, 5, 9)")
-    broken = F.decode(F.encode(F.concat("text", F.lit(TAIL)), "UTF-8"), "ISO-8859-1")
-    return clean.repair_rate(clean.min_words(clean.normalize(docs.withColumn("text", F.when(hit, broken).otherwise(F.col("text"))))), "role")
+    broken = T.computed(run_of(spark, d).unique.withColumnRenamed("text", "whole"), text=_damaged(F.col("whole"), "latin"))
+    return clean.repair_rate(clean.min_words(clean.normalize(broken)), "role")
 
 
 @query("p2_drop_reasons", f"WITH {RAW}, {P1}, {P2} SELECT CASE WHEN len(string_split(clean, ' ')) < 50 THEN 'short' ELSE 'kept' END AS reason, count(*) AS n_docs FROM cl GROUP BY 1")
@@ -454,30 +481,39 @@ def _retention_sql(by: str) -> str:
     return f"{UP5}, st AS ({_STAGED}), c AS (SELECT {pre}stage, count(*) AS n_docs, CAST(sum(n_words) AS BIGINT) AS n_words FROM st GROUP BY ALL) SELECT {pre}stage, n_docs, n_words, round(100 * n_docs / first_value(n_docs) OVER w, 4) AS cumulative_pct, round(100 * (1 - n_docs / lag(n_docs) OVER w), 4) AS step_drop_pct FROM c WINDOW w AS ({part}ORDER BY {_ORDER})"
 
 
-@query("retention", _retention_sql(""))
+@query("retention", behind_model(_retention_sql("")))
 def retention(spark, d):
-    return C.retention(run_of(spark, d).stage_rows())
+    return C.retention(run_of(spark, d, None).stage_rows())
 
 
-@query("retention_by_source", _retention_sql("role"))
+@query("retention_by_source", behind_model(_retention_sql("role")))
 def retention_by_source(spark, d):
-    return C.retention_by_source(run_of(spark, d).stage_rows())
+    return C.retention_by_source(run_of(spark, d, None).stage_rows())
 
 
-@query("retention_partition")
-def retention_partition(spark, d):
-    """Sources that are already of one language, with the profile identifier."""
-    docs = table(spark, d)
-    run = C.CorpusRun(docs, identify=C.profile_identifier(docs.filter("doc_id % 2 = 0")), universe="partition")
-    return C.retention(run.stage_rows())
+@query("retention_gold", _retention_sql(""))
+def retention_gold(spark, d):
+    """The same behind the labels that documents came with."""
+    return C.retention(run_of(spark, d).stage_rows())
 
 
-@query("composition", f"{UP5} SELECT role, count(*) AS kept_docs, round(count(*) / (SELECT count(*) FROM p5), 6) AS fraction FROM p5 GROUP BY 1")
+@query("composition", behind_model(f"{UP5} SELECT role, count(*) AS kept_docs, round(count(*) / (SELECT count(*) FROM p5), 6) AS fraction FROM p5 GROUP BY 1"))
 def composition(spark, d):
-    return C.composition(run_of(spark, d).corpus)
+    return C.composition(run_of(spark, d, None).corpus)
+
+
+_REFERENCES = "&(lt|gt|quot|#39|apos|nbsp|copy|middot|amp);"
+_CONTROLS = "[\\x00-\\x08\\x0B\\x0C\\x0E-\\x1F\\x7F\\x{FEFF}]|\\r|\\x{2028}|\\x{2029}|\\x{85}"
+_OWN = P3.replace("FROM p2 WHERE lang = 'en'", "FROM cl WHERE role = 'A'")
+_DEFECTS = f"""{UPSIG.replace(P3, _OWN)}, {CLUSTERS}, d AS (
+ SELECT 'exact_attributed' AS defect, (SELECT count(*) FROM raw WHERE role = 'A') AS n_of, (SELECT count(*) FROM raw WHERE role = 'A') - (SELECT count(*) FROM p1 WHERE role = 'A') AS n_defect
+ UNION ALL SELECT 'exact_within', (SELECT count(*) FROM raw WHERE role = 'A'), (SELECT count(*) - count(DISTINCT k) FROM raw WHERE role = 'A')
+ UNION ALL SELECT 'repaired_among_survivors', count(*), count(*) FILTER (regexp_matches(text, '{_REFERENCES}') OR regexp_matches(text, '{_CONTROLS}')) FROM p2 WHERE role = 'A'
+ UNION ALL SELECT 'near_among_exact_unique', (SELECT count(*) FROM p3), count(*) - count(DISTINCT component) FROM clusters)
+ SELECT defect, n_of, n_defect, CASE WHEN n_of > 0 THEN round(n_defect / n_of, 6) ELSE 0 END AS rate FROM d"""
 
 
-@query("defects")
+@query("defects", _DEFECTS)
 def defects(spark, d):
     return C.defects(run_of(spark, d))
 
@@ -505,15 +541,33 @@ def audit_sample(spark, d):
     return sample.join(table(spark, d, "labels"), "doc_id", "left").select("doc_id", "quality")
 
 
-@query("ablation_counts")
+#: What stands for a phase that is left out.
+_LEFT_OUT = {
+    1: (P1, "p1 AS (SELECT * FROM raw)"),
+    2: (" FROM cl WHERE len(string_split(clean, ' ')) >= 50)", " FROM cl)"),
+    3: (P3, "p3 AS (SELECT * FROM p2)"),
+    4: (P4, "p4 AS (SELECT * FROM p3)"),
+    5: (P5, "p5 AS (SELECT * FROM p4)"),
+}
+
+
+def _ablation_sql() -> str:
+    whole = [(0, UP5), *((k, UP5.replace(*_LEFT_OUT[k])) for k in _LEFT_OUT)]
+    return " UNION ALL ".join(f"SELECT {k} AS skipped, ({sql} SELECT count(*) FROM p5) AS n_docs" for k, sql in whole)
+
+
+@query("ablation_counts", _ablation_sql())
 def ablation_counts(spark, d):
     return objective.ablation_counts(run_of(spark, d))
 
 
-@query("targets")
+_TARGETS = ("de", "en", "es", "fr")
+
+
+@query("targets", " UNION ALL ".join(f"SELECT '{t}' AS target, ({UP5.replace(P3, P3.replace('en', t))} SELECT count(*) FROM p5) AS n_docs" for t in _TARGETS))
 def targets(spark, d):
     """Final documents with each language as the target."""
-    rows = [(t, C.CorpusRun(table(spark, d), Config(target=t)).corpus.count()) for t in ("de", "en", "es", "fr")]
+    rows = [(t, C.CorpusRun(table(spark, d), Config(target=t), C.gold, base="md5").corpus.count()) for t in _TARGETS]
     return spark.createDataFrame(rows, "target string, n_docs long")
 
 
@@ -528,5 +582,5 @@ def base_paragraph_dedup(spark, d):
 @query("base_paragraph_pipeline")
 def base_paragraph_pipeline(spark, d):
     docs = table(spark, d)
-    identify = C.profile_identifier(docs.filter("doc_id % 2 = 0"))
-    return objective.paragraph_pipeline(docs, identify, "en", run_of(spark, d).seed)
+    run = run_of(spark, d, None)
+    return objective.paragraph_pipeline(docs, run.identify, "en", run.seed)

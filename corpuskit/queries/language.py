@@ -11,32 +11,23 @@ from pyspark.sql import functions as F
 from corpuskit.functions import metrics
 from corpuskit.operators import exact, lid
 from corpuskit.plans import corpus as C
-from corpuskit.queries.corpus import P1, P2, P3, RAW, WS, run_of
-from corpuskit.queries.registry import query, table
+from corpuskit.queries.corpus import BAG, IDENTIFIED, P1, P2, P3, P3_MODEL, RAW, SCORE, TRAIN, WS, run_of
+from corpuskit.queries.registry import query, table, version
 from corpuskit.session import staged
 from corpuskit.sources import with_roles
 
 LABELS = ["de", "en", "es", "fr"]
 WORDS = 2
-TRAIN = f"""prep AS (SELECT doc_id, lang, ' ' || trim(regexp_replace(lower(text), '{WS}', ' ', 'g')) || ' ' AS t FROM p1 WHERE doc_id % 2 = 0),
-gm AS (SELECT lang AS label, n, unnest(list_transform(range(1, length(t) - n + 2), lambda i: substr(t, i, n))) AS gram FROM prep, (VALUES (1), (2), (3)) v(n)),
-cnt AS MATERIALIZED (SELECT label, n, gram, count(*) AS c FROM gm GROUP BY ALL), voc AS (SELECT n, count(DISTINCT gram) AS v FROM cnt GROUP BY 1), tot AS (SELECT label, n, sum(c) AS t FROM cnt GROUP BY ALL),
-prof AS (SELECT label, n, gram, ln((c + 0.5) / (t + 0.5 * v)) AS logp, ln(0.5 / (t + 0.5 * v)) AS unk FROM cnt JOIN tot USING (label, n) JOIN voc USING (n))"""
 TEST = f"""test AS (SELECT doc_id, lang AS gold, text FROM p1 WHERE doc_id % 2 = 1 QUALIFY row_number() OVER (PARTITION BY lang ORDER BY md5(CAST(doc_id AS VARCHAR)), doc_id) <= 40),
 snip AS (SELECT doc_id, gold, array_to_string(string_split(trim(regexp_replace(text, '{WS}', ' ', 'g')), ' ')[1:{WORDS}], ' ') AS text FROM test),
-sp AS (SELECT doc_id, ' ' || trim(regexp_replace(lower(text), '{WS}', ' ', 'g')) || ' ' AS t FROM snip),
-bag AS (SELECT doc_id, n, gram, count(*) AS m FROM (SELECT doc_id, n, unnest(list_transform(range(1, length(t) - n + 2), lambda i: substr(t, i, n))) AS gram FROM sp, (VALUES (1), (2), (3)) v(n)) GROUP BY ALL)"""
-SCORE = """unkn AS (SELECT DISTINCT label, n, unk FROM prof), sizes AS (SELECT doc_id, n, sum(m) AS size FROM bag GROUP BY ALL),
-base AS (SELECT doc_id, label, sum(size * unk) AS base FROM sizes JOIN unkn USING (n) GROUP BY ALL),
-gain AS (SELECT doc_id, label, sum(m * (logp - unk)) AS gain FROM bag JOIN prof USING (n, gram) GROUP BY ALL),
-score AS (SELECT doc_id, label, base + coalesce(gain, 0) AS s FROM base LEFT JOIN gain USING (doc_id, label)),
-pred AS (SELECT doc_id, label, 1 / sum(exp(s - top)) OVER (PARTITION BY doc_id) AS prob, row_number() OVER (PARTITION BY doc_id ORDER BY s DESC, label) AS place FROM (SELECT *, max(s) OVER (PARTITION BY doc_id) AS top FROM score))"""
+asked AS (SELECT doc_id, ' ' || trim(regexp_replace(lower(text), '{WS}', ' ', 'g')) || ' ' AS t FROM snip),
+{BAG}"""
 PRED = f"WITH {RAW}, {P1}, {TRAIN}, {TEST}, {SCORE}, res AS (SELECT p.doc_id, snip.gold, p.label AS predicted, p.prob FROM pred p JOIN snip USING (doc_id) WHERE place = 1)"
 _made: dict[tuple, DataFrame] = {}
 
 
 def _once(spark, d, name, make):
-    key = (spark.sparkContext.applicationId, d, name)
+    key = (*version(spark, d), name)
     if key not in _made:
         _made[key] = staged(make(), name)
     return _made[key]
@@ -96,23 +87,33 @@ def p3_lid_filter(spark, d):
     return lid.verify(lid.predict_profile(snippets(spark, d), lid.Profile.of(_profile(spark, d))), "en").select("doc_id")
 
 
-def _identified(spark, d) -> DataFrame:
-    docs = run_of(spark, d).cleaned
-    return _once(spark, d, "lid-full", lambda: lid.predict_profile(docs, lid.Profile.of(_profile(spark, d)), text="clean"))
+#: The second pass: the target and the language most like it, told apart by a model trained on these two alone.
+SISTER = "de"
+_SECOND = f"""{TRAIN.replace("WHERE doc_id % 2 = 0", f"WHERE doc_id % 2 = 0 AND lang IN ('en', '{SISTER}')")}, asked AS (SELECT doc_id, ' ' || trim(regexp_replace(lower(clean), '{WS}', ' ', 'g')) || ' ' AS t FROM p3), {BAG}, {SCORE}"""
+_TAGGED = f"WITH {RAW}, {P1}, {P2}, {P3}, {_SECOND}, t AS (SELECT doc_id, label AS variety FROM pred WHERE place = 1)"
 
 
-_TAGGED = f"WITH {RAW}, {P1}, {P2}, {P3}, t AS (SELECT doc_id, CASE WHEN role = 'seed' THEN 'en_formal' ELSE 'en_web' END AS variety FROM p3)"
+def _second_pass(spark, d):
+    """The variety model, trained on the target and its sister variety."""
+    taught = _unique(spark, d).filter(F.col("lang").isin("en", SISTER) & (F.col("doc_id") % 2 == 0))
+    return lid.identifier(_once(spark, d, "lid-second", lambda: lid.train_profile(taught)))
+
+
+@query("p3_filter_model", f"WITH {RAW}, {P1}, {P2}, {P3_MODEL} SELECT doc_id, lang FROM p3")
+def p3_filter_model(spark, d):
+    """Phase 3 by the profile model over whole documents, with the label they came with."""
+    return run_of(spark, d, None).p3.select("doc_id", "lang")
 
 
 @query("p3_tag", f"{_TAGGED} SELECT doc_id, variety FROM t")
 def p3_tag(spark, d):
-    second = run_of(spark, d).p3.select("doc_id", F.when(F.col("role") == "seed", "en_formal").otherwise("en_web").alias("label"))
-    return lid.tag_variety(run_of(spark, d).p3.select("doc_id"), second)
+    docs = run_of(spark, d).p3
+    return lid.tag_variety(docs.select("doc_id"), _second_pass(spark, d)(docs))
 
 
-@query("dialect_coverage", f"{_TAGGED} SELECT v AS variety, count(t.doc_id) AS n_docs FROM (VALUES ('en_web'), ('en_formal'), ('sco')) x(v) LEFT JOIN t ON t.variety = x.v GROUP BY 1")
+@query("dialect_coverage", f"{_TAGGED} SELECT v AS variety, count(t.doc_id) AS n_docs FROM (VALUES ('en'), ('{SISTER}')) x(v) LEFT JOIN t ON t.variety = x.v GROUP BY 1")
 def dialect_coverage(spark, d):
-    return C.variety_counts(p3_tag(spark, d), ["en_web", "en_formal", "sco"])
+    return C.variety_counts(p3_tag(spark, d), ["en", SISTER])
 
 
 @query("p3_leakage", f"WITH {RAW}, {P1}, {P2}, g AS (SELECT lang AS label FROM p2 WHERE lang <> 'en') SELECT label, count(*) AS n_docs, round(count(*) / (SELECT count(*) FROM g), 6) AS share FROM g GROUP BY 1")
@@ -120,10 +121,9 @@ def p3_leakage(spark, d):
     return C.leakage(run_of(spark, d))
 
 
-@query("p3_leakage_profile")
+@query("p3_leakage_profile", f"WITH {RAW}, {P1}, {P2}, {IDENTIFIED}, g AS (SELECT label FROM pred WHERE place = 1 AND NOT (label = 'en' AND prob >= 0.5)) SELECT label, count(*) AS n_docs, round(count(*) / (SELECT count(*) FROM g), 6) AS share FROM g GROUP BY 1")
 def p3_leakage_profile(spark, d):
-    run = C.CorpusRun(table(spark, d), identify=lambda docs: lid.predict_profile(docs, lid.Profile.of(_profile(spark, d)), text="clean"))
-    return C.leakage(run)
+    return C.leakage(run_of(spark, d, None))
 
 
 RANKS = """rk AS (SELECT label, gram, row_number() OVER (PARTITION BY label ORDER BY sum(c) DESC, gram) AS place FROM cnt GROUP BY label, gram QUALIFY place <= 300),

@@ -24,3 +24,10 @@ def query(name: str, sql: str | None = None):
 
 def table(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def version(spark: SparkSession, sf_dir: str) -> tuple:
+    """What tells the session's application and the present files of sf_dir apart from others: results may be kept under it."""
+    root = spark._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    files = root.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(root)
+    return (spark.sparkContext.applicationId, sf_dir, *sorted((f.getPath().getName(), f.getModificationTime(), f.getLen()) for f in files))

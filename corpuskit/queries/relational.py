@@ -227,7 +227,7 @@ both("agg_multi_distinct", "SELECT count(DISTINCT source) AS n_sources, count(DI
 both("agg_filter_clause", "SELECT source, round(count(*) FILTER (WHERE n_chars < 300) / count(*), 6) AS short_share FROM documents GROUP BY source")
 both("agg_having", "SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey HAVING count(*) > 15")
 both("agg_min_by", "SELECT source, max(n_chars) AS longest, min_by(doc_id, doc_id) AS first_id FROM documents GROUP BY source")
-both("agg_mode", "SELECT source, max_by(lang, n * 10 + length(lang)) AS modal FROM (SELECT source, lang, count(*) AS n FROM documents GROUP BY source, lang) GROUP BY source")
+both("agg_mode", "SELECT source, lang AS modal FROM (SELECT source, lang, row_number() OVER (PARTITION BY source ORDER BY n DESC, lang) AS place FROM (SELECT source, lang, count(*) AS n FROM documents GROUP BY source, lang)) WHERE place = 1")
 both("agg_percentile", "SELECT lang, round(percentile(n_chars, 0.5), 4) AS p50, round(percentile(n_chars, 0.9), 4) AS p90 FROM documents GROUP BY lang", "SELECT lang, round(quantile_cont(n_chars, 0.5), 4) AS p50, round(quantile_cont(n_chars, 0.9), 4) AS p90 FROM documents GROUP BY lang")
 both("agg_stddev_corr", "SELECT round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_extendedprice), 6) AS r FROM lineitem")
 both("agg_grouping_sets", "SELECT lang, source, count(*) AS n FROM documents GROUP BY GROUPING SETS ((lang, source), (lang), ())")

@@ -40,12 +40,14 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one of our own where it is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir, or one of our own where it is unset and all runs in one process."""
     sc = spark.sparkContext
     if known := sc.getConf().get("spark.checkpoint.dir"):
         return known
     set_by = sc.getCheckpointDir()
     if set_by is None:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="corpuskit-"))
         set_by = sc.getCheckpointDir()
     return set_by
@@ -55,9 +57,37 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
 
 
+#: Folders of staged tables by application, until they are given up.
+_staged: dict[str, list[str]] = {}
+
+
 def staged(df: DataFrame, name: str) -> DataFrame:
     """Write a DataFrame as Parquet in the shared folder and read it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    _staged.setdefault(spark.sparkContext.applicationId, []).append(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.staged_at = path
+    return out
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete the folders of staged tables that nothing will read again."""
+    for df in tables:
+        delete(df.sparkSession, df.staged_at)
+        _staged[df.sparkSession.sparkContext.applicationId].remove(df.staged_at)
+
+
+def discard_all(spark: SparkSession, but: tuple[DataFrame, ...] = (), since: int = 0) -> None:
+    """Delete the folders staged in this application after the first `since`, but those of the tables named."""
+    every = _staged.get(spark.sparkContext.applicationId, [])
+    kept = {df.staged_at for df in but}
+    for path in [p for p in every[since:] if p not in kept]:
+        delete(spark, path)
+        every.remove(path)

@@ -34,7 +34,8 @@ def test_sound_text_is_left_alone_and_mixed_damage_mended(spark):
     sound = ["Ãltere Â§ 5", "naïve Ã", "日本語 café", "\U0001f600 é", "", None]
     assert apply(spark, T.repair_mojibake, sound) == sound
     half = "ünverletzt – " + "café “x”".encode().decode("latin-1")
-    assert apply(spark, lambda c: T.repair_mojibake(c, mixed=True), [half, "日 " + "é".encode().decode("latin-1")]) == ["ünverletzt – café “x”", "日 é"]
+    docs = spark.createDataFrame([(0, half), (1, "日 " + "é".encode().decode("latin-1")), (2, None)], "i int, t string")
+    assert [r["u"] for r in T.repair_mixed(docs, "t", "u").orderBy("i").collect()] == ["ünverletzt – café “x”", "日 é", None]
 
 
 def test_nfc_equals_the_standard(spark):
