@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.llm.batches import pieces
-from corpuskit.llm.resemblance import resembling
+from corpuskit.llm.resemblance import Resemblance
 from corpuskit.llm.vocab import forget_words
 from corpuskit.operators.components import connected
 from corpuskit.session import ship, staged
@@ -148,7 +148,7 @@ def keep_one(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     Texts are alike at a Jaccard similarity of 0.8 or more over five-word shingles; the three bits bind near_duplicates
     alone. Rows that share a doc_id are one document and stay or go together. Rows without a doc_id stay.
     """
-    rows, alike = resembling(docs, block)
-    named = _components(rows, alike, "node")
-    gone = staged(rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct(), "gone")
+    index = Resemblance(docs, block)
+    named = _components(index.rows, index.links(), "node")
+    gone = staged(index.rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct(), "gone")
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)

@@ -2,6 +2,8 @@ import itertools
 import random
 import re
 
+import numpy as np
+
 from corpuskit.llm import resemblance, simhash
 from tests.conftest import MEDIUM
 from tests.llm.conftest import ODD, frame
@@ -54,17 +56,39 @@ def test_stage_links_every_pair_at_four_fifths(spark, prose):
         assert sorted(r["doc_id"] for r in simhash.keep_one(frame(spark, texts), block).collect()) == want
 
 
-def test_pairs_equal_brute_force_whatever_is_frequent(spark, prose):
-    line = prose(12, 900)
-    texts = [f"{line} {t} {line}" for t in copies(prose) if t]
-    sets = brute_sets(texts)
-    want = {(i, j) for i, j in itertools.combinations(range(len(texts)), 2) if sets[i] != sets[j] and 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j])}
-    assert want
-    for least, most in ((3, 1 << 17), (3, 5), (10**9, 1)):
-        rows, alike = resemblance.resembling(frame(spark, texts), 2048, least, most)
-        node = {r["doc_id"]: r["node"] for r in rows.collect()}
-        found = {(r["a"], r["b"]) for r in alike.collect()}
-        assert {tuple(sorted((node[i], node[j]))) for i, j in want} == found
+def test_likeness_at_the_threshold_meets_and_tallies():
+    """Pairs of sets at exactly 0.8: share a list and tally enough, but for the stated few."""
+    draw, missed = np.random.default_rng(1), 0
+    for _ in range(20):
+        sets = draw.integers(0, 2**64, (200, 90), dtype=np.uint64)
+        left, right = sets[:, :90], np.c_[sets[:, :80], draw.integers(0, 2**64, (200, 10), dtype=np.uint64)]
+        (x, p), (y, q) = (resemblance.marks_and_keys(resemblance.minima(np.full(200, 90), s.ravel())) for s in (left, right))
+        missed += int((((p == q).sum(axis=1) == 0) | ((x == y).sum(axis=1) < resemblance.SAME)).sum())
+    assert missed <= 3  # of 4,000
+
+
+def test_pairs_across_parts_equal_brute_force():
+    draw = np.random.default_rng(2)
+    base = draw.integers(0, 256, (6, resemblance.POSITIONS), dtype=np.uint8)
+    marks = base[draw.integers(0, 6, 60)].copy()
+    other = draw.random(marks.shape) < 0.25
+    marks[other] = draw.integers(0, 256, int(other.sum()), dtype=np.uint8)
+    node, part = np.arange(60) * 7, draw.integers(0, 9, 60)
+    want = {(node[i], node[j]) for i, j in itertools.combinations(range(60), 2) if part[i] != part[j] and (marks[i] == marks[j]).sum() >= resemblance.SAME}
+    assert want == set(zip(*resemblance.across(node, part, marks), strict=True)) != set()
+
+
+def test_a_large_group_of_near_copies_stays_linear(spark, prose):
+    words = prose(60, 1).split()
+    texts = []
+    for i in range(3000):
+        own = list(words)
+        own[i % 60] = f"n{i}"
+        texts.append(" ".join(own))
+    index = resemblance.Resemblance(frame(spark, texts))
+    links = index.links()
+    assert links.count() <= 20 * len(texts)  # the lists a node is posted in
+    assert simhash.keep_one(frame(spark, texts)).count() == 1
 
 
 def test_stage_on_given_documents(spark):
