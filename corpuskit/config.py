@@ -44,6 +44,16 @@ class Config:
             if not ok:
                 raise ValueError(what)
 
+    @classmethod
+    def load(cls, spark, path: str) -> Config:
+        """The settings of a JSON file in any store that Spark reads; settings it doesn't name keep their defaults."""
+        given = json.loads("\n".join(r["value"] for r in spark.read.text(path, wholetext=True).collect()))
+        unknown = set(given) - {f.name for f in dataclasses.fields(cls)}
+        if unknown:
+            raise ValueError(f"unknown settings: {', '.join(sorted(unknown))}")
+        fixed = lambda v: tuple(fixed(x) for x in v) if isinstance(v, list) else v
+        return cls(**{k: fixed(v) for k, v in given.items()})
+
     def digest(self) -> str:
         return hashlib.sha256(json.dumps(dataclasses.asdict(self), sort_keys=True).encode()).hexdigest()
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 PREDICTED = ("gold", "predicted")
@@ -45,26 +45,26 @@ def f1_summary(rows: DataFrame, *by: str) -> DataFrame:
     return cells.groupBy(*by).agg(F.round(F.avg("f1"), 6).alias("macro_f1"), F.round(2 * tp / (2 * tp + fp + fn), 6).alias("micro_f1"))
 
 
-def misses(rows: DataFrame, target: str) -> DataFrame:
+def misses(rows: DataFrame, target: str, *by: str) -> DataFrame:
     """Where the target's missed rows went."""
     gone = rows.filter((F.col("gold") == target) & ~F.col("predicted").eqNullSafe(F.lit(target)))
-    return gone.groupBy("predicted").agg(F.count("*").alias("n"))
+    return gone.groupBy(*by, "predicted").agg(F.count("*").alias("n"))
 
 
-def bootstrap(rows: DataFrame, target: str, draws: int = 500, seed: int = 0, key: str = "doc_id") -> DataFrame:
-    """(low, high): the 2.5 and 97.5 percentiles of the target's F1 over resamples of a small test set.
+def bootstrap(rows: DataFrame, target: str, draws: int = 500, seed: int = 0) -> DataFrame:
+    """(low, high): the 2.5 and 97.5 percentiles of the target's F1 over resamples of a test set.
 
-    Draw i of resample r takes the row at place MD5(seed|r|i) mod n, so it is the same everywhere.
+    F1 needs only the counts of hits, false alarms and misses, so draws fall on these cells laid in a row: draw i of
+    resample r on place MD5(seed|r|i) mod n, the same everywhere. The rows themselves are counted once.
     """
-    placed = rows.withColumn("place", F.row_number().over(Window.orderBy(key)) - 1)
-    n = F.broadcast(rows.agg(F.count("*").alias("n")))
-    spark = rows.sparkSession
-    turns = spark.range(draws).select(F.col("id").alias("r")).crossJoin(n).select("r", "n", F.explode(F.sequence(F.lit(0), F.col("n").cast("int") - 1)).alias("i"))
-    drawn = turns.withColumn("place", F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), "r", "i")), 1, 8), 16, 10).cast("long") % F.col("n"))
-    met = drawn.join(placed, "place")
     is_gold, is_hit = F.col("gold") == target, F.col("predicted").eqNullSafe(F.lit(target))
-    count = lambda c: F.sum(F.when(c, 1).otherwise(0))
-    each = met.groupBy("r").agg(count(is_gold & is_hit).alias("tp"), count(~is_gold & is_hit).alias("fp"), count(is_gold & ~is_hit).alias("fn"))
+    cells = rows.agg(F.count("*").alias("n"), F.count_if(is_gold & is_hit).alias("a"), F.count_if(~is_gold & is_hit).alias("b"), F.count_if(is_gold & ~is_hit).alias("c"))
+    spark = rows.sparkSession
+    turns = spark.range(draws).select(F.col("id").alias("r")).crossJoin(F.broadcast(cells)).filter("n > 0")
+    drawn = turns.select("r", "a", "b", "c", "n", F.explode(F.sequence(F.lit(0), F.col("n").cast("int") - 1)).alias("i"))
+    place = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), "r", "i")), 1, 8), 16, 10).cast("long") % F.col("n")
+    cell = drawn.select("r", "a", "b", "c", place.alias("p"))
+    each = cell.groupBy("r").agg(F.count_if(F.expr("p < a")).alias("tp"), F.count_if(F.expr("p >= a AND p < a + b")).alias("fp"), F.count_if(F.expr("p >= a + b AND p < a + b + c")).alias("fn"))
     f1 = each.select(ratio(2 * F.col("tp"), 2 * F.col("tp") + F.col("fp") + F.col("fn")).alias("f1"))
     return f1.agg(F.round(F.percentile("f1", 0.025), 6).alias("low"), F.round(F.percentile("f1", 0.975), 6).alias("high"))
 

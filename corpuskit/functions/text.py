@@ -4,10 +4,9 @@ from __future__ import annotations
 
 import unicodedata
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.pandas.functions import pandas_udf
 from pyspark.sql.types import StringType
 
 WHITE = "[ \\t\\n\\r\\f\\x0B]+"
@@ -100,16 +99,17 @@ def repair_mixed(df: DataFrame, column: str, to: str, passes: int = 2) -> DataFr
     whole = computed(df, __whole=repair_mojibake(F.col(column), passes))
     asked = computed(whole, __asked=F.when(suspicious(F.col("__whole")), F.col("__whole")))
 
-    @pandas_udf(StringType())
-    def mend(texts: pd.Series) -> pd.Series:
-        return texts.map(lambda t: _segments(t, passes))
+    @F.arrow_udf(StringType())
+    def mend(texts: pa.Array) -> pa.Array:
+        return pa.array([_segments(t, passes) for t in texts.to_pylist()], pa.string())
 
     return asked.withColumn(to, F.coalesce(mend("__asked"), "__whole")).drop("__whole", "__asked")
 
 
-@pandas_udf(StringType())
-def _nfc(texts: pd.Series) -> pd.Series:
-    return texts.map(lambda t: None if t is None else unicodedata.normalize("NFC", t))
+@F.arrow_udf(StringType())
+def _nfc(texts: pa.Array) -> pa.Array:
+    # Arrow's own normaliser leaves marks apart in its composed forms
+    return pa.array([None if t is None else unicodedata.normalize("NFC", t) for t in texts.to_pylist()], pa.string())
 
 
 def nfc(c: Column) -> Column:

@@ -129,37 +129,69 @@ class Profile:
             unknown[n - 1, number[label]] = u
         return cls(labels, keys, gains, unknown)
 
-    def scores(self, texts: list[str], draws: tuple[int, int] | None = None, seed: int = 0, ids: list[int] | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """Log scores and n-gram counts. draws: (trials, n-grams in each): score that many drawn n-grams instead, averaged."""
-        score, size = np.zeros((len(texts), len(self.labels))), np.zeros(len(texts))
-        parts = [gram_hashes(texts, n) for n in ORDERS]
-        doc = np.concatenate([d for d, _ in parts])
-        hashes = np.concatenate([h for _, h in parts])
-        order = np.repeat(np.arange(len(ORDERS)), [len(d) for d, _ in parts])
-        weight = np.ones(len(doc))
-        if draws:
-            by = np.argsort(doc, kind="stable")
-            doc, hashes, order = doc[by], hashes[by], order[by]
-            sizes = np.bincount(doc, minlength=len(texts))
-            first = np.cumsum(sizes) - sizes
-            some = np.flatnonzero(sizes)
-            trial = np.arange(draws[0] * draws[1], dtype=np.uint64)
-            # drawn by hashes of seed, document and turn: the same however rows are dealt
-            own = np.array([(ids[i] if ids[i] is not None else -1) % 2**64 for i in some], np.uint64)
-            spread = mix(own * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed))[:, None] + trial[None, :]
-            place = first[some][:, None] + (mix(spread) % sizes[some][:, None].astype(np.uint64)).astype(np.int64)
-            doc, hashes, order = np.repeat(some, len(trial)), hashes[place.ravel()], order[place.ravel()]
-            weight = np.full(len(doc), 1 / draws[0])
+    def _gains(self, doc: np.ndarray, hashes: np.ndarray, order: np.ndarray, n: int) -> np.ndarray:
+        """Summed log probabilities of n-grams by text and label."""
         at = np.minimum(np.searchsorted(self.keys, hashes), len(self.keys) - 1)
         known = self.keys[at] == hashes
+        out = np.zeros((n, len(self.labels)))
         for j in range(len(self.labels)):
-            value = self.unknown[order, j] + np.where(known, self.gains[at, j], 0.0)
-            score[:, j] = np.bincount(doc, value * weight, len(texts))
-        size = np.bincount(doc, weight, len(texts))
-        return score, size
-
+            out[:, j] = np.bincount(doc, self.unknown[order, j] + np.where(known, self.gains[at, j], 0.0), n)
+        return out
 
-def predict_profile(docs: DataFrame, profile: Profile, temper: float | None = None, text: str = "text", draws: tuple[int, int] | None = None, seed: int = 0) -> DataFrame:
+    def _grams(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        parts = [gram_hashes(texts, n) for n in ORDERS]
+        order = np.repeat(np.arange(len(ORDERS)), [len(d) for d, _ in parts])
+        return np.concatenate([d for d, _ in parts]), np.concatenate([h for _, h in parts]), order
+
+    def scores(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Log scores and n-gram counts."""
+        doc, hashes, order = self._grams(texts)
+        return self._gains(doc, hashes, order, len(texts)), np.bincount(doc, minlength=len(texts)).astype(float)
+
+    def sampled(self, texts: list[str], ids: list[int], draws: Draws) -> tuple[np.ndarray, np.ndarray]:
+        """Posteriors from drawn n-grams, the mean over trials, and how many n-grams were looked at.
+
+        A trial draws in steps and ends early once one label is sure enough. Draws are hashes of seed, document, trial
+        and turn: the same however rows are dealt.
+        """
+        doc, hashes, order = self._grams(texts)
+        by = np.argsort(doc, kind="stable")
+        hashes, order = hashes[by], order[by]
+        sizes = np.bincount(doc, minlength=len(texts))
+        first = np.cumsum(sizes) - sizes
+        some = np.flatnonzero(sizes)
+        own = np.array([(ids[i] if ids[i] is not None else -1) % 2**64 for i in some], np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(draws.seed)
+        mean, looked = np.zeros((len(texts), len(self.labels))), np.zeros(len(texts))
+        for trial in range(draws.trials):
+            score, open_ = np.zeros((len(some), len(self.labels))), np.arange(len(some))
+            for step in range(0, draws.most, draws.step):
+                turn = np.arange(step, min(step + draws.step, draws.most), dtype=np.uint64) + np.uint64(trial << 32)
+                spread = mix(own[open_])[:, None] + turn[None, :]
+                place = first[some[open_]][:, None] + (mix(spread) % sizes[some[open_]][:, None].astype(np.uint64)).astype(np.int64)
+                of = np.repeat(np.arange(len(open_)), len(turn))
+                score[open_] += self._gains(of, hashes[place.ravel()], order[place.ravel()], len(open_))
+                looked[some[open_]] += len(turn)
+                odds = np.exp(score[open_] - score[open_].max(axis=1, keepdims=True))
+                open_ = open_[1 / odds.sum(axis=1) < draws.sure]
+                if not len(open_):
+                    break
+            odds = np.exp(score - score.max(axis=1, keepdims=True))
+            mean[some] += odds / odds.sum(axis=1, keepdims=True) / draws.trials
+        return mean, looked
+
+
+@dataclasses.dataclass(frozen=True)
+class Draws:
+    """How the sampled mode draws: trials, n-grams of a trial at most and in a step, and the probability that ends a trial."""
+
+    trials: int = 7
+    most: int = 1000
+    step: int = 20
+    sure: float = 0.99999
+    seed: int = 0
+
+
+def predict_profile(docs: DataFrame, profile: Profile, temper: float | None = None, text: str = "text", draws: Draws | None = None) -> DataFrame:
     """(doc_id, label, prob) in one narrow pass over a broadcast profile; a text without an n-gram has no label."""
     spark = docs.sparkSession
     ship(spark)
@@ -169,12 +201,15 @@ def predict_profile(docs: DataFrame, profile: Profile, temper: float | None = No
         p = shared.value
         for whole in batches:
             for batch in pieces(whole, "t"):
-                texts, ids = [t or "" for t in batch.column("t").to_pylist()], batch.column("doc_id").to_pylist()
-                score, size = p.scores(texts, draws, seed, ids)
-                if temper:
-                    score /= np.maximum(1.0, size / temper)[:, None]
-                best = score.argmax(axis=1)
-                prob = 1 / np.exp(score - score.max(axis=1, keepdims=True)).sum(axis=1)
+                texts = [t or "" for t in batch.column("t").to_pylist()]
+                if draws:
+                    odds, size = p.sampled(texts, batch.column("doc_id").to_pylist(), draws)
+                    best, prob = odds.argmax(axis=1), odds.max(axis=1)
+                else:
+                    score, size = p.scores(texts)
+                    if temper:
+                        score /= np.maximum(1.0, size / temper)[:, None]
+                    best, prob = score.argmax(axis=1), 1 / np.exp(score - score.max(axis=1, keepdims=True)).sum(axis=1)
                 none = size == 0
                 labels = [None if x else p.labels[b] for b, x in zip(best, none, strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(labels, pa.string()), pa.array(np.where(none, 0.0, prob))], ["doc_id", "label", "prob"])

@@ -46,18 +46,18 @@ def salted_join(big: DataFrame, small: DataFrame, on: str, salts: int = 16, spre
     return big.withColumn("__s", salt).join(repeated, [on, "__s"]).drop("__s")
 
 
-#: Keys with more than one part in so many of all rows are hot; there can't be more of them than this.
+#: Keys with more than one part in so many of all rows are hot; there can't be as many of them.
 HOT_PARTS = 500
 
 
-def sized_join(big: DataFrame, small: DataFrame, on: str, n: str = "n") -> DataFrame:
+def sized_join(big: DataFrame, small: DataFrame, on: str, n: str = "n", parts: int = HOT_PARTS) -> DataFrame:
     """An inner join of big with one row for each key, of which small[n] says how many rows of big have it.
 
-    Rows of hot keys stay where they are and meet the few hot rows of small in a broadcast, which HOT_PARTS bounds; the
-    rest is shuffled. Nulls meet nulls. small is read three times.
+    Rows of hot keys stay where they are and meet the hot rows of small, fewer than `parts`, in a broadcast; the rest is
+    shuffled. Nulls meet nulls. small is read three times.
     """
     total = small.agg(F.sum(n)).first()[0] or 0
-    hot = F.col(n) > total / HOT_PARTS
+    hot = F.col(n) > total / parts
     slim = small.drop(n)
     if small.filter(hot).isEmpty():
         return _null_safe(big, slim, on)

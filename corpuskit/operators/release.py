@@ -5,7 +5,7 @@ from __future__ import annotations
 import datetime as dt
 import json
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpuskit.config import DEFAULT, Config
@@ -21,6 +21,19 @@ def shuffle(docs: DataFrame, seed: int = 0) -> DataFrame:
     return docs.withColumn("shuffle_key", shuffle_key(F.col("doc_id"), seed)).orderBy("shuffle_key", "doc_id")
 
 
+def places(docs: DataFrame, seed: int = 0, digits: int = 3) -> DataFrame:
+    """(doc_id, place): the 1-based place of each document in the shuffled order, without ordering all in one task.
+
+    Prefixes of the key are counted and numbered first, then each document within its prefix.
+    """
+    keyed = docs.select("doc_id", shuffle_key(F.col("doc_id"), seed).alias("k")).withColumn("p", F.substring("k", 1, digits))
+    before = Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)
+    # 16**digits rows at most
+    begins = keyed.groupBy("p").agg(F.count("*").alias("n")).select("p", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("begin"))
+    within = F.row_number().over(Window.partitionBy("p").orderBy("k", "doc_id"))
+    return keyed.join(F.broadcast(begins), "p").select("doc_id", (F.col("begin") + within).alias("place"))
+
+
 def _number(key: Column, digits: int) -> Column:
     return F.conv(F.substring(key, 1, digits), 16, 10).cast("long")
 

@@ -73,7 +73,7 @@ def lid_profile_pred_joined(spark, d):
 @query("lid_sampled")
 def lid_sampled(spark, d):
     test = snippets(spark, d, 10)
-    return _with_gold(test, lid.predict_profile(test, lid.Profile.of(_profile(spark, d)), draws=(7, 60)))
+    return _with_gold(test, lid.predict_profile(test, lid.Profile.of(_profile(spark, d)), draws=lid.Draws()))
 
 
 @query("lid_tempered")
@@ -181,20 +181,53 @@ def lid_misses(spark, d):
     return metrics.misses(benchmark_rows(spark, d), "en")
 
 
-_BOOT = """placed AS (SELECT *, row_number() OVER (ORDER BY doc_id) - 1 AS place, count(*) OVER () AS n FROM res),
-drawn AS (SELECT r, CAST('0x' || substr(md5('0|' || r || '|' || i), 1, 8) AS BIGINT) % n AS place FROM range(500) a(r), range((SELECT count(*) FROM res)) b(i), (SELECT count(*) AS n FROM res)),
-f1s AS (SELECT r, count(*) FILTER (gold = 'en' AND predicted = 'en') AS tp, count(*) FILTER (gold <> 'en' AND predicted = 'en') AS fp, count(*) FILTER (gold = 'en' AND predicted <> 'en') AS fn FROM drawn JOIN placed USING (place) GROUP BY 1),
-ci AS (SELECT quantile_cont(f, 0.025) AS low, quantile_cont(f, 0.975) AS high FROM (SELECT CASE WHEN 2 * tp + fp + fn = 0 THEN 0 ELSE 2 * tp / (2 * tp + fp + fn) END AS f FROM f1s))"""
+def _boot(rows: str, name: str) -> str:
+    """The interval of the target's F1 over resamples of `rows(gold, predicted)`: draws fall on the confusion cells in order."""
+    hit, gold = "coalesce(predicted = 'en', false)", "gold = 'en'"
+    return f"""{name}_n AS (SELECT count(*) FILTER ({gold} AND {hit}) AS a, count(*) FILTER (NOT {gold} AND {hit}) AS b, count(*) FILTER ({gold} AND NOT {hit}) AS c, count(*) AS n FROM {rows}),
+{name}_d AS (SELECT r, a, b, c, CAST('0x' || substr(md5('0|' || r || '|' || i), 1, 8) AS BIGINT) % n AS place FROM {name}_n, range(500) x(r), range((SELECT n FROM {name}_n)) y(i)),
+{name}_f AS (SELECT r, count(*) FILTER (place < a) AS tp, count(*) FILTER (place >= a AND place < a + b) AS fp, count(*) FILTER (place >= a + b AND place < a + b + c) AS fn FROM {name}_d GROUP BY 1),
+{name}_ci AS (SELECT '{name}' AS model, round(quantile_cont(f, 0.025), 6) AS low, round(quantile_cont(f, 0.975), 6) AS high FROM (SELECT CASE WHEN 2 * tp + fp + fn = 0 THEN 0 ELSE 2 * tp / (2 * tp + fp + fn) END AS f FROM {name}_f))"""
 
 
-@query("lid_bootstrap", f"{PRED}, {_BOOT} SELECT round(low, 6) AS low, round(high, 6) AS high FROM ci")
+@query("lid_bootstrap", f"{PRED}, {_boot('res', 'profile')} SELECT low, high FROM profile_ci")
 def lid_bootstrap(spark, d):
     return metrics.bootstrap(benchmark_rows(spark, d), "en")
 
 
-@query("lid_ci_overlap", "SELECT a.m AS model_a, b.m AS model_b, a.l <= b.h AND b.l <= a.h AS overlap FROM (VALUES ('fast', 0.0, 0.286), ('dialect', 0.712, 0.919), ('profile', 0.796, 0.945)) a(m, l, h), (VALUES ('fast', 0.0, 0.286), ('dialect', 0.712, 0.919), ('profile', 0.796, 0.945)) b(m, l, h) WHERE a.m < b.m")
+_RANKED = f"{RANKS}, ranked AS (SELECT doc_id, label FROM dist WHERE met > 0 QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY distance, label) = 1), rres AS (SELECT gold, label AS predicted FROM snip LEFT JOIN ranked USING (doc_id))"
+_WORDED = f"wl AS ({_LISTS}), wh AS (SELECT doc_id, label, len(list_filter(string_split(trim(regexp_replace(lower(text), '{WS}', ' ', 'g')), ' '), lambda t: list_contains(ws, t))) AS hits FROM snip, wl), wres AS (SELECT gold, label AS predicted FROM snip LEFT JOIN (SELECT doc_id, CASE WHEN hits > 0 THEN label END AS label FROM wh QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY hits DESC, label) = 1) USING (doc_id))"
+_THREE = f"{PRED}, {_RANKED}, {_WORDED}, every AS (SELECT 'profile' AS model, gold, predicted FROM res UNION ALL SELECT 'rank_order', gold, predicted FROM rres UNION ALL SELECT 'function_words', gold, predicted FROM wres)"
+
+
+def _compared(spark, d) -> DataFrame:
+    """(model, gold, predicted) of the three identifiers that SQL can follow, over the same snippets."""
+    test = snippets(spark, d)
+    ranks = _once(spark, d, "lid-ranks", lambda: lid.train_ranks(_unique(spark, d).filter("doc_id % 2 = 0")))
+    answers = {"rank_order": lid.predict_rank_order(test, ranks), "function_words": lid.predict_function_words(test)}
+    rows = [benchmark_rows(spark, d).select(F.lit("profile").alias("model"), "gold", "predicted")]
+    for name, got in answers.items():
+        rows.append(test.join(got.select("doc_id", F.col("label").alias("predicted")), "doc_id", "left").select(F.lit(name).alias("model"), "gold", "predicted"))
+    return _once(spark, d, "lid-compared", lambda: reduce(DataFrame.union, rows))
+
+
+@query("lid_ci_overlap", f"{_THREE}, {_boot('res', 'profile')}, {_boot('rres', 'rank_order')}, {_boot('wres', 'function_words')}, ci AS (SELECT * FROM profile_ci UNION ALL SELECT * FROM rank_order_ci UNION ALL SELECT * FROM function_words_ci) SELECT a.model AS model_a, b.model AS model_b, a.low <= b.high AND b.low <= a.high AS overlap FROM ci a, ci b WHERE a.model < b.model")
 def lid_ci_overlap(spark, d):
-    return metrics.ci_overlap(spark.createDataFrame([("fast", 0.0, 0.286), ("dialect", 0.712, 0.919), ("profile", 0.796, 0.945)], "model string, low double, high double"))
+    """Which of the measured intervals of the target's F1 overlap."""
+    rows = _compared(spark, d)
+    each = (metrics.bootstrap(rows.filter(F.col("model") == m), "en").withColumn("model", F.lit(m)) for m in ("profile", "rank_order", "function_words"))
+    return metrics.ci_overlap(staged(reduce(DataFrame.union, each), "intervals"))
+
+
+@query("lid_prf_models", f"{_THREE}, cells AS (SELECT model, l AS label, count(*) FILTER (gold = l AND predicted = l) AS tp, count(*) FILTER (gold <> l AND predicted = l) AS fp, count(*) FILTER (gold = l AND predicted IS DISTINCT FROM l) AS fn FROM every, (VALUES ('de'), ('en'), ('es'), ('fr')) x(l) GROUP BY 1, 2) SELECT model, label, tp, fp, fn, round(CASE WHEN tp + fp = 0 THEN 0 ELSE tp / (tp + fp) END, 6) AS precision, round(CASE WHEN tp + fn = 0 THEN 0 ELSE tp / (tp + fn) END, 6) AS recall, round(CASE WHEN 2 * tp + fp + fn = 0 THEN 0 ELSE 2 * tp / (2 * tp + fp + fn) END, 6) AS f1 FROM cells")
+def lid_prf_models(spark, d):
+    return metrics.prf(_compared(spark, d), "model")
+
+
+@query("lid_misses_models", f"{_THREE} SELECT model, predicted, count(*) AS n FROM every WHERE gold = 'en' AND predicted IS DISTINCT FROM 'en' GROUP BY 1, 2")
+def lid_misses_models(spark, d):
+    """Where each model's missed rows of the target went (null: no answer)."""
+    return metrics.misses(_compared(spark, d), "en", "model")
 
 
 @query("lid_kappa", f"{PRED}, fw_l AS ({_LISTS}), fw AS (SELECT doc_id, label, len(list_filter(string_split(trim(regexp_replace(lower(text), '{WS}', ' ', 'g')), ' '), lambda t: list_contains(ws, t))) AS hits FROM test, fw_l), second AS (SELECT doc_id, CASE WHEN hits > 0 THEN label ELSE 'none' END AS second FROM fw QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY hits DESC, label) = 1), ab AS (SELECT predicted AS first, second FROM res JOIN second USING (doc_id)), t AS (SELECT count(*) AS n, count(*) FILTER (first = second) / count(*) AS po FROM ab), c AS (SELECT sum(x.n * y.n) / any_value(t.n * t.n) AS pe FROM (SELECT first AS l, count(*) AS n FROM ab GROUP BY 1) x JOIN (SELECT second AS l, count(*) AS n FROM ab GROUP BY 1) y USING (l), t) SELECT n, round(po, 6) AS agreement, round((po - pe) / (1 - pe), 6) AS kappa FROM t, c")
@@ -206,7 +239,7 @@ def lid_kappa(spark, d):
 
 def models(spark, d):
     """The benchmark's identifiers: each turns (doc_id, text) into (doc_id, label, prob)."""
-    train = _unique(spark, d).filter("doc_id % 2 = 0").withColumn("text", F.substring("text", 1, 2000))
+    train = _unique(spark, d).filter("doc_id % 2 = 0")
     profile = lid.Profile.of(_profile(spark, d))
     return {
         "fast": lid.train_linear(train, features=1 << 12, grams=(2, 3), iterations=10),
@@ -215,20 +248,33 @@ def models(spark, d):
     }
 
 
-@query("lid_benchmark")
-def lid_benchmark(spark, d):
-    """Accuracy, target F1 with interval, and throughput of the three models on two-word snippets."""
-    test, out = staged(snippets(spark, d), "snippets"), []
+def _benchmarked(spark, d) -> dict[str, tuple[DataFrame, float]]:
+    """The answers of the three models on the same two-word snippets, and the seconds each took."""
+    test, out = staged(snippets(spark, d), "snippets"), {}
     for name, predict in models(spark, d).items():
         began = time.time()
-        rows = staged(_with_gold(test, predict(test)), f"bench-{name}")
-        took = time.time() - began
+        out[name] = (staged(_with_gold(test, predict(test)), f"bench-{name}"), time.time() - began)
+    return out
+
+
+@query("lid_benchmark")
+def lid_benchmark(spark, d):
+    """Accuracy, target F1 with interval, and throughput of the three models; all learn from whole texts."""
+    out = []
+    for name, (rows, took) in _benchmarked(spark, d).items():
         acc, f1 = metrics.accuracy(rows).first(), metrics.prf(rows).filter("label = 'en'").first()
         ci = metrics.bootstrap(rows, "en").first()
         out.append((name, acc["n"], acc["accuracy"], f1["f1"] if f1 else 0.0, ci["low"], ci["high"], acc["n"] / took))
     return spark.createDataFrame(out, "model string, n long, accuracy double, f1 double, low double, high double, docs_per_s double")
 
 
+@query("lid_confusion_models")
+def lid_confusion_models(spark, d):
+    """The confusion matrix of each of the three models, its rows of the target being the misses."""
+    rows = ((name, rows) for name, (rows, _) in _benchmarked(spark, d).items())
+    return reduce(DataFrame.union, (metrics.confusion(x, LABELS).select(F.lit(name).alias("model"), "gold", *LABELS, "other") for name, x in rows))
+
+
 @query("lid_by_length")
 def lid_by_length(spark, d):
     """Accuracy of the profile model on snippets of 1, 2, 3 and 10 words and on whole texts (0)."""

@@ -11,7 +11,7 @@ from corpuskit.functions import metrics
 from corpuskit.operators import charlm, release, tokenizer
 from corpuskit.plans import objective
 from corpuskit.queries.corpus import P1, P2, P3, RAW, UP5, WS, run_of
-from corpuskit.queries.registry import query, table
+from corpuskit.queries.registry import query, table, version
 from corpuskit.session import staged
 
 _TOKENIZERS: dict[tuple, tokenizer.Tokenizer] = {}
@@ -19,10 +19,7 @@ _TOKENIZERS: dict[tuple, tokenizer.Tokenizer] = {}
 
 @query("p6_shuffle", f"{UP5} SELECT doc_id, row_number() OVER (ORDER BY md5('0|' || doc_id), doc_id) AS place FROM p5")
 def p6_shuffle(spark, d):
-    from pyspark.sql import Window
-
-    ranked = release.shuffle(run_of(spark, d).corpus.select("doc_id"))
-    return ranked.select("doc_id", F.row_number().over(Window.orderBy("shuffle_key", "doc_id")).cast("long").alias("place"))
+    return release.places(run_of(spark, d).corpus)
 
 
 @query("p6_split_exact", f"{UP5} SELECT doc_id, CASE WHEN row_number() OVER (ORDER BY md5('0|' || doc_id)) <= (SELECT count(*) FROM p5) * 95 // 100 THEN 'train' ELSE 'val' END AS split FROM p5")
@@ -67,27 +64,32 @@ def tok_pair_counts(spark, d):
 
 @query("tok_first_merge", f"{_PAIRS} SELECT \"left\", \"right\" FROM pr ORDER BY n DESC, \"left\", \"right\" LIMIT 1")
 def tok_first_merge(spark, d):
-    counts = tokenizer.word_counts(run_of(spark, d).corpus).collect()
-    model = tokenizer.train_from_counts([(r["word"], r["n"]) for r in counts], 10_000)
-    return spark.createDataFrame(model.merges[:1], "left string, right string")
+    pairs = tokenizer.pair_counts(tokenizer.word_counts(run_of(spark, d).corpus))
+    return pairs.orderBy(F.desc("n"), "left", "right").limit(1).select("left", "right")
 
 
-def tokenizers(spark, d, vocab: int = 1000) -> dict[str, tokenizer.Tokenizer]:
-    """Curated, curated without evaluation passages, raw source A (control), raw union, and other languages with twice the entries."""
-    run = run_of(spark, d)
+#: Entries of the tokenizers compared, as published: two of one size, and a general one several times as large.
+VOCAB, GENERAL_VOCAB = 16_000, 100_000
+
+
+def tokenizers(spark, d, vocab: int = VOCAB, general: int = GENERAL_VOCAB) -> dict[str, tokenizer.Tokenizer]:
+    """Curated, curated without evaluation passages, raw source A (control), raw union, and a larger one of other languages."""
+    run = run_of(spark, d, None)
     docs = run.raw.withColumn("clean", F.col("text"))
     parts = {
         "curated": (run.corpus, vocab),
         "curated_decontaminated": (release.decontaminate(run.corpus, _sentences(spark, d)), vocab),
         "raw_control": (docs.filter("role = 'A' AND lang = 'en'"), vocab),
         "raw_union": (docs, vocab),
-        "other_languages": (docs.filter("lang != 'en'"), 2 * vocab),
+        "other_languages": (docs.filter("lang != 'en'"), general),
     }
+    out = {}
     for name, (rows, size) in parts.items():
-        key = (spark.sparkContext.applicationId, d, name, size)
+        key = (*version(spark, d), name, size)
         if key not in _TOKENIZERS:
             _TOKENIZERS[key] = tokenizer.train(rows, size)
-    return {k[2]: v for k, v in _TOKENIZERS.items() if k[:2] == (spark.sparkContext.applicationId, d) and k[3] in (vocab, 2 * vocab)}
+        out[name] = _TOKENIZERS[key]
+    return out
 
 
 def _english(spark, d) -> DataFrame:
@@ -112,8 +114,8 @@ def fert_tokenizers(spark, d):
     return table_.crossJoin(other).select("*", F.round(1 - F.col("n_tokens") / F.col("ref"), 6).alias("savings"), F.round(F.col("ref") / F.col("n_tokens"), 6).alias("multiplier")).drop("ref")
 
 
-@query("fert_hist")
-def fert_hist(spark, d):
+@query("fert_hist_trained")
+def fert_hist_trained(spark, d):
     return metrics.fertility_histogram(_counts(spark, d), 0.25, "tokenizer")
 
 
@@ -130,6 +132,12 @@ def fert_bounds(spark, d):
     return metrics.fertility(_bounds(spark, d), "tokenizer")
 
 
+@query("fert_hist", _bounds_sql("bin, count(*) AS n_sentences").replace("FROM c GROUP BY 1", "FROM (SELECT tokenizer, CAST(floor(n_tokens / n_words / 0.25) AS BIGINT) AS bin FROM c) GROUP BY 1, 2"))
+def fert_hist(spark, d):
+    """Sentences by fertility, of the bounds: a token for each word, character or byte."""
+    return metrics.fertility_histogram(_bounds(spark, d), 0.25, "tokenizer")
+
+
 @query("fert_macro", _bounds_sql("round(avg(n_tokens / n_words), 6) AS macro"))
 def fert_macro(spark, d):
     return metrics.fertility(_bounds(spark, d), "tokenizer").select("tokenizer", "macro")

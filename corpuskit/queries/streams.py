@@ -48,18 +48,18 @@ def st_first_seen(spark, d):
     return S.latest(rows, "content_key").select("content_key", "doc_id")
 
 
-@query("st_neardup_static", f"{UPSIG} SELECT CASE WHEN a % 2 = 0 THEN a ELSE b END AS a, CASE WHEN a % 2 = 0 THEN b ELSE a END AS b, round(jaccard, 6) AS jaccard FROM verified WHERE (a + b) % 2 = 1")
+@query("st_neardup_static", f"{UPSIG} SELECT a, b, round(jaccard, 6) AS jaccard FROM verified")
 def st_neardup_static(spark, d):
-    """Odd documents stream in against the released even ones; each batch is verified and its pairs written."""
+    """The even documents are released, the odd ones stream in; each batch meets the index and is appended to it."""
     docs = staged(run_of(spark, d).p3.select("doc_id", "clean"), "near-stream")
-    released = staged(neardup.hashed(neardup.shingles(docs.filter("doc_id % 2 = 0"))), "released")
-    index = staged(neardup.bands(neardup.signatures(released)), "index")
+    sets_of = lambda rows: neardup.hashed(neardup.shingles(rows))
+    index, out = S.BandIndex(spark), new_path(spark, "near-out")
+    index.add(sets_of(docs.filter("doc_id % 2 = 0")), -1).write.parquet(f"{out}/batch=-1")
     new = docs.filter("doc_id % 2 = 1")
-    stream, out = S.read(spark, S.shards(new, "doc_id"), new.schema), new_path(spark, "near-out")
+    stream = S.read(spark, S.shards(new, "doc_id"), new.schema)
 
     def each(rows, batch):
-        sets = neardup.hashed(neardup.shingles(rows))
-        S.verify_batch(sets, released, index).write.mode("overwrite").parquet(f"{out}/batch={batch:06d}")
+        index.add(sets_of(rows), batch).write.mode("overwrite").parquet(f"{out}/batch={batch}")
 
     stream.writeStream.option("checkpointLocation", new_path(spark, "near-state")).trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
     return spark.read.schema("a long, b long, jaccard double").parquet(out).select("a", "b", F.round("jaccard", 6).alias("jaccard"))

@@ -6,6 +6,8 @@ import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -84,10 +86,19 @@ def discard(*tables: DataFrame) -> None:
         _staged[df.sparkSession.sparkContext.applicationId].remove(df.staged_at)
 
 
-def discard_all(spark: SparkSession, but: tuple[DataFrame, ...] = (), since: int = 0) -> None:
-    """Delete the folders staged in this application after the first `since`, but those of the tables named."""
-    every = _staged.get(spark.sparkContext.applicationId, [])
-    kept = {df.staged_at for df in but}
-    for path in [p for p in every[since:] if p not in kept]:
-        delete(spark, path)
-        every.remove(path)
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Deletes in the end what is staged inside, but the tables that the yielded function is called on."""
+    every = _staged.setdefault(spark.sparkContext.applicationId, [])
+    before, kept = set(every), set()
+
+    def keep(df: DataFrame) -> DataFrame:
+        kept.add(df.staged_at)
+        return df
+
+    try:
+        yield keep
+    finally:
+        for path in [p for p in every if p not in before and p not in kept]:
+            delete(spark, path)
+            every.remove(path)

@@ -6,6 +6,7 @@ from __future__ import annotations
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
+from corpuskit.operators.neardup import PRIME, hash_family
 from corpuskit.session import ship
 
 # pure expressions, inlined by the optimizer
@@ -19,13 +20,18 @@ _EXPRESSIONS = {
 }
 
 
+def _signature() -> tuple[str, str, str]:
+    minima = ", ".join(f"array_min(transform(h, x -> (x * {a}L + {c}L) % {PRIME}L))" for a, c in hash_family())
+    return "h ARRAY<BIGINT>", "ARRAY<BIGINT>", f"CASE WHEN size(h) > 0 THEN array({minima}) END"
+
+
 def register(spark: SparkSession, tokenizer=None, profile=None) -> None:
     """Register ck_* functions. ck_token_count and ck_lid exist if a trained tokenizer and a profile are given."""
     from pyspark.sql.functions import udtf
     from pyspark.sql.pandas.functions import pandas_udf
 
     ship(spark)
-    for name, (args, kind, body) in _EXPRESSIONS.items():
+    for name, (args, kind, body) in (_EXPRESSIONS | {"ck_signature": _signature()}).items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({args}) RETURNS {kind} RETURN {body}")
 
     @udtf(returnType="place int, shingle string")
@@ -62,12 +68,3 @@ def register(spark: SparkSession, tokenizer=None, profile=None) -> None:
             return pd.Series([model.value.labels[b] if n else None for b, n in zip(score.argmax(axis=1), size, strict=True)])
 
         spark.udf.register("ck_lid", identify)
-
-
-def signature_expression(k: int = 64, seed: int = 0):
-    """Columns m0 to m(k-1) for an aggregation over exploded hashes `x`: the signature as elementwise minima."""
-    from corpuskit.operators.neardup import PRIME, hash_family
-
-    return [F.min((F.col("x") * a + c) % PRIME).alias(f"m{i}") for i, (a, c) in enumerate(hash_family(k, seed))]
-
-

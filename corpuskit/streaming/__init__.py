@@ -2,15 +2,12 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from corpuskit.functions.text import content_key
 from corpuskit.operators import neardup
-from corpuskit.session import new_path, ship
+from corpuskit.session import new_path
 
 
 def shards(df: DataFrame, key: str, n: int = 4) -> str:
@@ -58,26 +55,35 @@ def exact_dedup_within(docs: DataFrame, arrival: str, horizon: str = "1 hour") -
 
 
 def first_seen(docs: DataFrame) -> DataFrame:
-    """(content_key, doc_id, retracts): the least doc_id of each key so far; a lesser one that comes late retracts the last."""
-    ship(docs.sparkSession)
-
-    def update(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        had = state.get[0] if state.exists else None
-        least = min(int(p["doc_id"].min()) for p in parts)
-        if had is None or least < had:
-            state.update((least,))
-            yield pd.DataFrame({"content_key": [key[0]], "doc_id": [least], "retracts": pd.array([had], dtype="Int64")})
-
-    keyed = docs.select(content_key(F.col("text")).alias("content_key"), "doc_id")
-    return keyed.groupBy("content_key").applyInPandasWithState(update, "content_key string, doc_id long, retracts long", "least long", "update", "NoTimeout")
-
-
-def verify_batch(new_sets: DataFrame, released: DataFrame, index: DataFrame, tau: float = 0.8) -> DataFrame:
-    """(a, b, jaccard): new documents b joined with a released band index, verified against the released sets a."""
-    banded = neardup.bands(neardup.signatures(new_sets)).select(F.col("doc_id").alias("b"), "band", "key")
-    pairs = banded.join(index.select(F.col("doc_id").alias("a"), "band", "key"), ["band", "key"]).select("a", "b").distinct()
-    both = pairs.join(released.toDF("a", "sa"), "a").join(new_sets.toDF("b", "sb"), "b")
-    return both.select("a", "b", neardup.jaccard(F.col("sa"), F.col("sb")).alias("jaccard")).filter(F.col("jaccard") >= tau)
+    """(content_key, doc_id): the least doc_id of each key so far; in update mode a key comes again when that changes."""
+    return docs.groupBy(content_key(F.col("text")).alias("content_key")).agg(F.min("doc_id").alias("doc_id"))
+
+
+class BandIndex:
+    """Sets and bands of the documents seen so far, in a folder that grows by a part for each batch.
+
+    A batch's documents are compared with all parts before it and with each other, then become a part of their own. A
+    batch that comes again writes its part anew and reads only those before it, so retries change nothing.
+    """
+
+    def __init__(self, spark: SparkSession, path: str | None = None, tau: float = 0.8):
+        self.spark, self.path, self.tau = spark, path or new_path(spark, "band-index"), tau
+
+    def _before(self, kind: str, schema: str, batch: int) -> DataFrame:
+        parts = self.spark.read.schema(f"{schema}, batch int").option("basePath", f"{self.path}/{kind}").parquet(f"{self.path}/{kind}")
+        return parts.filter(F.col("batch") < batch).drop("batch")
+
+    def add(self, sets: DataFrame, batch: int) -> DataFrame:
+        """(a, b, jaccard), a < b: pairs at tau or above of sets(doc_id, hashes) among themselves and with earlier ones."""
+        own = f"{self.path}/sets/batch={batch}", f"{self.path}/bands/batch={batch}"
+        sets.select("doc_id", "hashes").write.mode("overwrite").parquet(own[0])
+        new = self.spark.read.schema("doc_id long, hashes array<long>").parquet(own[0])
+        neardup.bands(neardup.signatures(new)).write.mode("overwrite").parquet(own[1])
+        banded = self.spark.read.schema("doc_id long, band int, key string").parquet(own[1])
+        every = self._before("bands", "doc_id long, band int, key string", batch).unionByName(banded)
+        met = banded.toDF("x", "band", "key").join(every.toDF("y", "band", "key"), ["band", "key"]).filter("x != y")
+        pairs = met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+        return neardup.verify(pairs, self._before("sets", "doc_id long, hashes array<long>", batch).unionByName(new), self.tau)
 
 
 def windowed(events: DataFrame, length: str, slide: str | None = None, late: str = "10 minutes") -> DataFrame:

@@ -237,7 +237,7 @@ def test_models_identify_whole_texts_and_draws_do_not_depend_on_partitions(spark
     test = docs.filter("doc_id % 2 = 1").select("doc_id", "lang", lid.snippet(F.col("text"), 10).alias("text"))
     good = lid.predict_profile(test, model).join(test, "doc_id").filter("label = lang").count()
     assert good / test.count() > 0.9
-    a, b = (sorted(lid.predict_profile(t, model, draws=(5, 20)).collect()) for t in (test, test.repartition(5)))
+    a, b = (sorted(lid.predict_profile(t, model, draws=lid.Draws(trials=5, most=40)).collect()) for t in (test, test.repartition(5)))
     assert a == b
     empty = spark.createDataFrame([(1, None)], "doc_id long, text string")
     assert lid.predict_profile(empty, model).first()["prob"] <= 1
