@@ -7,11 +7,11 @@ which landmark n-grams the texts hold, times which the landmarks hold, times the
 
 Texts are lower-cased; a run of anything but letters is one boundary. The training sample is bounded: for each
 language the `PER_LANGUAGE` eligible documents with the least hash of doc_id, of texts of up to `SAMPLE_CHARS`
-characters. Every document is scored over its whole text.
+characters, and `MOST_SAMPLE` over all languages. Every document is scored over its whole text.
 
 Defined results: a null text, or one without a letter, is `und` with score 0; of equal scores the first language in
-order wins; documents without lang don't teach; if nothing teaches, every text is `und`; held_out is false where
-doc_id is null; repeated rows each get a row; an empty table gives an empty result.
+order wins; documents without lang or without a letter don't teach; if nothing teaches, every text is `und`; held_out
+is false where doc_id is null; repeated rows each get a row; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -33,14 +33,31 @@ PER_LANGUAGE, LANDMARKS, SAMPLE_CHARS, RIDGE = 400, 32, 20_000, 1e-3
 STEEP = 6.0
 RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
 
+#: Texts whose n-grams are told apart by 16 bits of a code.
+AT_ONCE = 1 << 16
+#: Sample texts and landmarks over all languages at most; many languages share them evenly.
+MOST_SAMPLE, MOST_LANDMARKS = 40_000, 2_048
+#: Of each language, so many times the sample's size is drawn by hash before it is ranked.
+DRAWN = 8
+
 _LETTER = np.fromiter((chr(i).isalpha() for i in range(65536)), bool, 65536)
 
 
-def grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct n-grams of each text as codes in order, where each text's begin, and which texts hold a letter. At most 65,536 texts.
+def grams(texts: list[str], at_once: int = AT_ONCE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct n-grams of each text as codes in order, where each text's begin, and which texts hold a letter.
 
-    A code holds three 16-bit letters, 0 for a boundary. Letters beyond the basic plane are taken modulo its size.
+    A code holds three 16-bit letters, 0 for a boundary. Letters beyond the basic plane share the numbers of its private
+    area, which holds no letter.
     """
+    parts = [_grams(texts[s : s + at_once]) for s in range(0, len(texts), at_once)] or [_grams([])]
+    if len(parts) == 1:
+        return parts[0]
+    begins = np.cumsum([0, *(len(codes) for codes, _, _ in parts)])
+    first = [f[:-1] + b for (_, f, _), b in zip(parts, begins, strict=False)]
+    return np.concatenate([c for c, _, _ in parts]), np.r_[(*first, begins[-1:])], np.concatenate([x for _, _, x in parts])
+
+
+def _grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     lengths = np.fromiter(map(len, texts), np.int64, len(texts))
     points = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), "<u4")
     doc = np.repeat(np.arange(len(texts), dtype=np.uint64), lengths)
@@ -49,6 +66,7 @@ def grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     if len(points) and points.max() > 0xFFFF:
         high = np.flatnonzero(points > 0xFFFF)
         letter[high] = [chr(x).isalpha() for x in points[high].tolist()]
+        code[high] = np.uint64(0xE000) + points[high].astype(np.uint64) % np.uint64(0x1900)
     code[~letter] = 0
     keep = np.ones(len(code), bool)
     keep[1:] = (code[1:] != 0) | (code[:-1] != 0) | (doc[1:] != doc[:-1])
@@ -75,10 +93,11 @@ class Model:
     """Fitted landmarks and weights."""
 
     def __init__(self, texts: list[str], langs: list[str], landmarks: int = LANDMARKS, ridge: float = RIDGE):
-        self.langs = sorted(set(langs))
+        codes, first, lettered = grams(texts)
+        self.langs = sorted({lang for lang, x in zip(langs, lettered, strict=True) if x})  # a text without a letter doesn't teach
         if not self.langs:
             return
-        codes, first, _ = grams(texts)
+        landmarks = max(1, min(landmarks, MOST_LANDMARKS // len(self.langs)))
         rank: dict[str, int] = {}
         chosen = []
         for k, lang in enumerate(langs):  # texts come in order of their hash
@@ -94,8 +113,9 @@ class Model:
         kernel = self._kernel(codes, first)
         among = kernel[chosen]
         aims = np.where(np.array(langs)[:, None] == np.array(self.langs)[None, :], 1.0, -1.0)
-        left = kernel.T @ kernel / len(texts) + ridge * among + 1e-9 * np.eye(len(chosen))
-        self.weights = np.linalg.solve(left, kernel.T @ aims / len(texts))
+        n = int(lettered.sum())
+        left = kernel.T @ kernel / n + ridge * among + 1e-9 * np.eye(len(chosen))
+        self.weights = np.linalg.solve(left, kernel[lettered].T @ aims[lettered] / n)
 
     def _kernel(self, codes: np.ndarray, first: np.ndarray) -> np.ndarray:
         n = len(first) - 1
@@ -129,12 +149,18 @@ def held_out(doc_id: Column) -> Column:
 
 
 def sample(docs: DataFrame, per_language: int = PER_LANGUAGE, chars: int = SAMPLE_CHARS) -> DataFrame:
-    """(lang, text, turn): the bounded training sample."""
+    """(lang, text, turn, doc_id): the bounded training sample."""
     fit = docs.filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    order = Window.partitionBy("lang").orderBy("turn", "doc_id")
     slim = fit.filter(F.char_length("text") <= chars).select("lang", "doc_id", F.xxhash64("doc_id").alias("turn"))
-    chosen = slim.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= per_language).select("lang", "doc_id", "turn").distinct()
-    # at most per_language rows for each language
+    counts = slim.groupBy("lang").agg(F.count("*").alias("n"))
+    shares = counts.crossJoin(F.broadcast(counts.agg(F.count("*").alias("langs"))))
+    per = F.greatest(F.lit(1), F.least(F.lit(per_language), F.floor(MOST_SAMPLE / F.col("langs"))))
+    # a row for each language; the draw leaves DRAWN times the sample, so that no task ranks a whole language
+    drawn = slim.join(F.broadcast(shares.select("lang", per.alias("per"), (DRAWN * per / F.col("n")).alias("share"))), "lang")
+    drawn = drawn.filter((F.col("turn") / float(1 << 64) + 0.5) <= F.col("share")).select("lang", "doc_id", "turn", "per").distinct()
+    order = Window.partitionBy("lang").orderBy("turn", "doc_id")
+    chosen = drawn.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= F.col("per")).drop("rank", "per")
+    # MOST_SAMPLE rows at most, or one for each language
     return fit.join(F.broadcast(chosen), ["lang", "doc_id"]).select("lang", "text", "turn", "doc_id")
 
 
