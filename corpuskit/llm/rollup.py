@@ -8,15 +8,21 @@ they never need the documents again.
 Commits: a batch writes its ledger, then its deltas, each through Spark's committer, and counts once its deltas have
 the success mark. A committed batch is skipped when it comes again; one that broke off is written anew.
 
+Ledgers lie in buckets of doc_id, and a batch reads the buckets of its own documents alone. compact() sums what is
+committed into a snapshot of live rows and totals; later batches read that and what came after it, so a batch's cost
+follows its documents and not the history. Compacting comes due by itself after `COMPACT_AFTER` batches.
+
 Defined results: inserting a live document revises it, revising one that is not live inserts it, deleting one that is
 not live does nothing; of several changes of one document in a batch the greatest `turn` counts (ties: the greatest
-operation, then count); changes without doc_id or tokenizer are refused with an error; null sources and languages are
-groups of their own; an empty batch commits and changes nothing.
+operation, then count); a document without an id can be inserted, every time anew, and is never revised or deleted:
+such a change, or one without a tokenizer, is refused with an error; null sources and languages are groups of their
+own; an empty batch commits and changes nothing.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -26,12 +32,15 @@ from pyspark.sql import functions as F
 
 from corpuskit.llm.batches import pieces
 from corpuskit.llm.vocab import fertility_model, vocab_path, word_bpe
-from corpuskit.session import new_path, ship
+from corpuskit.operators.relational import sized_join
+from corpuskit.session import new_path, ship, staged
 
 KEY = ["doc_id", "tokenizer"]
 GROUP = ["source", "lang", "tokenizer"]
 MEASURES = ["n_docs", "n_tokens", "n_chars"]
-LEDGER = "doc_id long, tokenizer string, source string, lang string, n_docs long, n_tokens long, n_chars long"
+#: Folders that a ledger is dealt into by doc_id, and batches after which they are summed.
+BUCKETS, COMPACT_AFTER = 32, 16
+LEDGER = "doc_id long, tokenizer string, source string, lang string, n_docs long, n_tokens long, n_chars long, bucket int"
 CHANGES = "doc_id long, tokenizer string, source string, lang string, op string, turn long, n_tokens long, n_chars long"
 DELTAS = "source string, lang string, tokenizer string, n_docs long, n_tokens long, n_chars long"
 
@@ -39,48 +48,81 @@ DELTAS = "source string, lang string, tokenizer string, n_docs long, n_tokens lo
 class Rollup:
     """Totals in a folder that all executors share."""
 
-    def __init__(self, spark: SparkSession, path: str):
-        self.spark, self.path = spark, path.rstrip("/")
+    def __init__(self, spark: SparkSession, path: str, buckets: int = BUCKETS, compact_after: int = COMPACT_AFTER):
+        self.spark, self.path, self.buckets, self.compact_after = spark, path.rstrip("/"), buckets, compact_after
 
     def _exists(self, path: str) -> bool:
         place = self.spark._jvm.org.apache.hadoop.fs.Path(path)
         return place.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(place)
 
-    def committed(self) -> list[str]:
-        root = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/deltas")
+    def _done(self, kind: str) -> list[str]:
+        """Names under a folder that have the success mark."""
+        root = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{kind}")
         system = root.getFileSystem(self.spark._jsc.hadoopConfiguration())
         if not system.exists(root):
             return []
         return sorted(s.getPath().getName() for s in system.listStatus(root) if self._exists(f"{s.getPath().toString()}/_SUCCESS"))
 
+    def committed(self) -> list[str]:
+        return self._done("deltas")
+
+    def _snapshot(self) -> tuple[str | None, set[str]]:
+        """The last snapshot and the batches in it. Its list of batches is written last."""
+        done = self._done("snapshots")
+        if not done:
+            return None, set()
+        return done[-1], {r[0] for r in self.spark.read.schema("batch string").parquet(f"{self.path}/snapshots/{done[-1]}").collect()}
+
     def _read(self, kind: str, schema: str) -> DataFrame:
-        paths = [f"{self.path}/{kind}/{b}" for b in self.committed()]
-        return self.spark.read.schema(schema).parquet(*paths) if paths else self.spark.createDataFrame([], schema)
+        """Committed rows: those of the last snapshot and of the batches after it."""
+        last, within = self._snapshot()
+        paths = [f"{self.path}/{kind}/{b}" for b in self.committed() if b not in within]
+        paths += [f"{self.path}/snapshot-{kind}/{last}"] if last else []
+        parts = [self.spark.read.schema(schema).parquet(p) for p in paths]
+        return reduce(DataFrame.unionByName, parts) if parts else self.spark.createDataFrame([], schema)
 
     def live(self) -> DataFrame:
         """The live row of each document and tokenizer: what the signed ledger sums to."""
-        rows = self._read("ledger", LEDGER).groupBy(*KEY, "source", "lang").agg(*(F.sum(c).alias(c) for c in MEASURES))
+        rows = self._read("ledger", LEDGER).groupBy(*KEY, "bucket", "source", "lang").agg(*(F.sum(c).alias(c) for c in MEASURES))
         return rows.filter("n_docs > 0")
 
+    def _write_ledger(self, rows: DataFrame, path: str) -> None:
+        placed = rows.withColumn("bucket", F.pmod(F.xxhash64("doc_id"), F.lit(self.buckets)).cast("int"))
+        # documents without an id would else all lie in one bucket's one task
+        spread = F.when(F.col("doc_id").isNull(), F.pmod(F.xxhash64("source", "lang", "n_tokens", "n_chars"), F.lit(self.buckets))).otherwise(0)
+        placed.repartition("bucket", spread).write.mode("overwrite").partitionBy("bucket").parquet(path)
+
     def apply(self, batch: str, changes: DataFrame) -> bool:
         """Commit a batch of changes; False if it is committed already."""
         if self._exists(f"{self.path}/deltas/{batch}/_SUCCESS"):
             return False
-        refused = F.raise_error(F.lit("a change needs doc_id and tokenizer"))
-        checked = changes.withColumn("doc_id", F.when(F.col("doc_id").isNull() | F.col("tokenizer").isNull(), refused).otherwise(F.col("doc_id")))
+        refused = F.raise_error(F.lit("a change needs a tokenizer, and a doc_id unless it inserts"))
+        wrong = F.col("tokenizer").isNull() | (F.col("doc_id").isNull() & ~F.col("op").eqNullSafe(F.lit("insert")))
+        checked = changes.withColumn("tokenizer", F.when(wrong, refused).otherwise(F.col("tokenizer")))
         order = Window.partitionBy(*KEY).orderBy(F.desc("turn"), F.desc("op"), F.desc("n_tokens"), F.desc("n_chars"), F.desc("source"), F.desc("lang"))
-        last = checked.withColumn("rank", F.row_number().over(order)).filter("rank = 1")
-        plus = last.filter("op != 'delete'").select(*KEY, "source", "lang", F.lit(1).cast("long").alias("n_docs"), "n_tokens", "n_chars")
-        ledger = plus
+        last = checked.filter("doc_id is not null").withColumn("rank", F.row_number().over(order)).filter("rank = 1")
+        plus = last.filter("op != 'delete'").drop("rank").unionByName(checked.filter("doc_id is null"))
+        ledger = plus.select(*KEY, "source", "lang", F.lit(1).cast("long").alias("n_docs"), "n_tokens", "n_chars")
         if self.committed():
-            was = self.live().join(last.select(*KEY), KEY, "left_semi")
-            ledger = plus.unionByName(was.select(*KEY, "source", "lang", *((-F.col(c)).alias(c) for c in MEASURES)))
-        ledger.write.mode("overwrite").parquet(f"{self.path}/ledger/{batch}")
+            touched = last.select(F.pmod(F.xxhash64("doc_id"), F.lit(self.buckets)).cast("int").alias("b")).distinct().collect()  # BUCKETS rows at most
+            was = self.live().filter(F.col("bucket").isin([r[0] for r in touched])).join(last.select(*KEY), KEY, "left_semi")
+            ledger = ledger.unionByName(was.select(*KEY, "source", "lang", *((-F.col(c)).alias(c) for c in MEASURES)))
+        self._write_ledger(ledger, f"{self.path}/ledger/{batch}")
         rows = self.spark.read.schema(LEDGER).parquet(f"{self.path}/ledger/{batch}")
         deltas = rows.groupBy(*GROUP).agg(*(F.sum(c).alias(c) for c in MEASURES)).filter("n_docs != 0 or n_tokens != 0 or n_chars != 0")
         deltas.write.mode("overwrite").parquet(f"{self.path}/deltas/{batch}")
+        if len(set(self.committed()) - self._snapshot()[1]) >= self.compact_after:
+            self.compact()
         return True
 
+    def compact(self) -> None:
+        """Sum all committed batches into a snapshot. It counts once its list of batches has the success mark."""
+        batches = self.committed()
+        name = f"{len(self._done('snapshots')):08d}"
+        self._write_ledger(self.live().drop("bucket"), f"{self.path}/snapshot-ledger/{name}")
+        self.totals().select(*GROUP, *MEASURES).write.mode("overwrite").parquet(f"{self.path}/snapshot-deltas/{name}")
+        self.spark.createDataFrame([(b,) for b in batches], "batch string").write.mode("overwrite").parquet(f"{self.path}/snapshots/{name}")
+
     def totals(self) -> DataFrame:
         """(source, lang, tokenizer, n_docs, n_tokens, n_chars) over all committed batches; groups that came to nothing are left out."""
         rows = self._read("deltas", DELTAS).groupBy(*GROUP).agg(*(F.sum(c).alias(c) for c in MEASURES))
@@ -136,18 +178,20 @@ def count(docs: DataFrame, versions: tuple[str, ...] = VERSIONS, vocab: str | No
 def maintained(docs: DataFrame, path: str | None = None, vocab: str | None = None) -> DataFrame:
     """The rollup after three batches: all documents inserted under the first tokenizer version; revised counts, each
     document's end token included; exact repeats deleted and every document inserted under the second version. Each
-    batch comes twice, as it does after a retry; the second time it changes nothing."""
+    batch comes twice, as it does after a retry; the second time it changes nothing. Rows that share a doc_id are one
+    document; rows without one are counted under both versions, without an end token, and never taken for repeats."""
     spark = docs.sparkSession
     path = path or new_path(spark, "rollup")
-    counted = count(docs.filter("doc_id is not null"), vocab=vocab)
+    counted = count(docs, vocab=vocab)
     counted.write.parquet(f"{path}/counted")
     counted = spark.read.schema(counted.schema).parquet(f"{path}/counted")
     first, second = (counted.filter(F.col("tokenizer") == v) for v in VERSIONS)
+    known = first.filter("doc_id is not null")
     change = lambda rows, op, extra=0: rows.select(*KEY, "source", "lang", F.lit(op).alias("op"), F.lit(0).cast("long").alias("turn"), (F.col("n_tokens") + extra).alias("n_tokens"), "n_chars")
-    originals = first.groupBy("copy").agg(F.min("doc_id").alias("original"))
-    repeats = first.join(originals, "copy").filter("doc_id != original")
+    originals = staged(known.groupBy("copy").agg(F.min("doc_id").alias("original"), F.count("*").alias("n")).filter("n > 1"), "originals")
+    repeats = sized_join(known, originals, "copy").filter("doc_id != original")
     state = Rollup(spark, path)
-    steps = (("0", change(first, "insert")), ("1", change(first, "revise", 1)), ("2", change(repeats, "delete").unionByName(change(second, "insert"))))
+    steps = (("0", change(first, "insert")), ("1", change(known, "revise", 1)), ("2", change(repeats, "delete").unionByName(change(second, "insert"))))
     for batch, changes in steps:
         for _ in range(2):
             state.apply(batch, changes)
