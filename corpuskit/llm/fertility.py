@@ -5,8 +5,9 @@ of its tokens that are byte pieces, and the entropy of its tokens. Bands for eac
 quartiles of these figures over all documents that pass the base rules: a document is rejected where a figure lies
 beyond the fences. Entropy grows with length, so its bands are those of a language and a length class (powers of two).
 
-Defined results: a null or empty text has no word and fails the base rules; a null language is `und`; a language or
-class with fewer than `MIN_GROUP` documents has no band and rejects none; repeated rows each count; no rows, no result.
+Defined results: a null or empty text has no word and fails the base rules; a null language is `und`; a language with
+fewer than `MIN_GROUP` documents takes the bands of all documents, and a length class of a language that of all
+languages; where these are too few as well there is no band; repeated rows each count; no rows, no result.
 """
 
 from __future__ import annotations
@@ -14,11 +15,13 @@ from __future__ import annotations
 import itertools
 import re
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from corpuskit.llm.batches import mix, pieces
 from corpuskit.llm.vocab import fertility_model, vocab_path
@@ -26,7 +29,7 @@ from corpuskit.session import ship, staged
 
 WINDOW, MIN_WORDS, MOST_REPEATED = 8, 20, 30
 #: Fences lie this many interquartile ranges out; a range counts as the least width at least.
-FENCE = 4.0
+FENCE = 2.0
 LEAST_WIDTH = {"chars_per_token": 0.2, "byte_share": 0.02, "entropy": 0.25}
 MIN_GROUP = 50
 #: Bands that are broadcast at most; more are joined by a shuffle.
@@ -108,9 +111,8 @@ def measure(docs: DataFrame, keep: list[str], vocab: str | None = None) -> DataF
     ship(docs.sparkSession)
     path = vocab_path("piece_bpe_32k.model", vocab)
     names = list(dict.fromkeys([*keep, "text"]))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
-    run = _measure(path, keep)
-    return docs.select(*names).mapInArrow(run, f"{schema}, {FIGURES}")
+    schema = StructType([*docs.select(*keep).schema.fields, *StructType.fromDDL(FIGURES).fields])
+    return docs.select(*names).mapInArrow(_measure(path, keep), schema)
 
 
 def _with_base(figures: DataFrame) -> DataFrame:
@@ -127,14 +129,17 @@ def _with_base(figures: DataFrame) -> DataFrame:
     )
 
 
-def _fences(rows: DataFrame, by: list[str], figures: list[str]) -> DataFrame:
-    """Lower and upper fences; the figures are rounded, so a group's state is the counts of a few thousand values."""
+def _fences(rows: DataFrame, by: list[str], figures: list[str], mark: str) -> DataFrame:
+    """Lower and upper fences of each group that has enough documents, named after figure and mark.
+
+    The figures are rounded, so a group's state is the counts of a few thousand values.
+    """
     rows = rows.withColumns({c: F.round(c, 3) for c in figures})
     some = rows.groupBy(*by).agg(F.count("*").alias("n"), *(F.percentile(c, [0.25, 0.75]).alias(c) for c in figures)).filter(F.col("n") >= MIN_GROUP)
     out = []
     for c in figures:
         width = FENCE * F.greatest(F.col(c)[1] - F.col(c)[0], F.lit(LEAST_WIDTH[c]))
-        out += [(F.col(c)[0] - width).alias(f"{c}_low"), (F.col(c)[1] + width).alias(f"{c}_high")]
+        out += [(F.col(c)[0] - width).alias(f"{c}_low{mark}"), (F.col(c)[1] + width).alias(f"{c}_high{mark}")]
     return some.select(*by, *out)
 
 
@@ -145,16 +150,19 @@ def _small(fences: DataFrame) -> DataFrame:
 
 
 def judge(figures: DataFrame) -> DataFrame:
-    """figures (read more than once) with base_failed and kept."""
+    """figures (read more than once) with base_failed, kept, and which band each rejected one is beyond."""
     rows = _with_base(figures)
     slim = _with_base(figures.select("lang", *COUNTS, "entropy")).filter("not base_failed")
-    a = _small(_fences(slim, ["band"], ["chars_per_token", "byte_share"]))
-    b = _small(_fences(slim, ["band", "length_class"], ["entropy"]))
-    judged = rows.join(a, "band", "left").join(b, ["band", "length_class"], "left")
-    verdict = ~F.col("base_failed")
+    own, every = ["chars_per_token", "byte_share"], F.lit(0).alias("every")
+    judged = rows.withColumn("every", F.lit(0))
+    for by, of, mark in ((["band"], own, ""), (["every"], own, "_all"), (["band", "length_class"], ["entropy"], ""), (["length_class"], ["entropy"], "_all")):
+        judged = judged.join(_small(_fences(slim.select("*", every), by, of, mark)), by, "left")
+    beyond = {}
     for c in LEAST_WIDTH:
-        verdict &= F.coalesce(F.col(c).between(F.col(f"{c}_low"), F.col(f"{c}_high")), F.lit(True))
-    return judged.withColumn("kept", verdict)
+        low, high = (F.coalesce(f"{c}_{side}", f"{c}_{side}_all") for side in ("low", "high"))
+        beyond[f"beyond_{c}"] = ~F.col("base_failed") & ~F.coalesce(F.col(c).between(low, high), F.lit(True))
+    marked = judged.withColumns(beyond)
+    return marked.withColumn("kept", ~reduce(Column.__or__, (F.col(c) for c in beyond), F.col("base_failed")))
 
 
 def quality(docs: DataFrame, vocab: str | None = None) -> DataFrame:
@@ -167,10 +175,10 @@ def quality(docs: DataFrame, vocab: str | None = None) -> DataFrame:
 
 def keep_good(docs: DataFrame, vocab: str | None = None) -> DataFrame:
     """docs without the rejected rows; the rows are measured once and wait in the shared folder for the bands."""
-    clash = {*COUNTS, "entropy", "base_failed", "band", "length_class", "chars_per_token", "byte_share", "kept"}
-    plain = docs.select(*(F.col(f"`{c}`").alias(f"in_{c}" if c in clash else c) for c in docs.columns))
+    inner = {c: c if c in ("text", "lang") else f"in_{i}" for i, c in enumerate(docs.columns)}  # no name of ours begins so
+    plain = docs.select(*(F.col(f"`{c.replace('`', '``')}`").alias(n) for c, n in inner.items()))
     rows = staged(measure(plain, plain.columns, vocab), "measured")
-    return judge(rows).filter("kept").select(*(F.col(f"in_{c}" if c in clash else c).alias(c) for c in docs.columns))
+    return judge(rows).filter("kept").select(*(F.col(n).alias(c) for c, n in inner.items()))
 
 
 def words_of(text: str | None) -> list[str]:

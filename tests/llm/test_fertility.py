@@ -2,6 +2,8 @@ import math
 import re
 from collections import Counter
 
+from pyspark.sql import functions as F
+
 from corpuskit.llm import fertility
 from tests.conftest import SMALL
 from tests.llm.conftest import ODD, frame
@@ -49,13 +51,15 @@ def test_bands_reject_outliers_of_their_language(spark, prose):
     docs = frame(spark, [*clean, odd])
     kept = {r["doc_id"]: r["kept"] for r in fertility.quality(docs).collect()}
     assert kept[80] is False and all(kept[i] for i in range(80))
+    mixed = docs.withColumn("lang", F.when(F.col("doc_id") == 80, "zz").otherwise(F.col("lang")))
+    assert {r["doc_id"]: r["kept"] for r in fertility.quality(mixed).collect()}[80] is False  # the bands of all documents
     few = {r["doc_id"]: r["kept"] for r in fertility.quality(docs.filter("doc_id >= 70")).collect()}
     assert few[80] is True  # too few documents for a band
 
 
 def test_filter_keeps_columns_with_clashing_names_and_nulls(spark, prose):
-    docs = frame(spark, [prose(60, 1), "short", None]).selectExpr("*", "5 AS n_words", "true AS kept", "'x' AS band")
+    docs = frame(spark, [prose(60, 1), "short", None]).selectExpr("*", "5 AS n_words", "true AS kept", "false AS in_kept", "'x' AS band", "1 AS entropy_low", "2 AS in_0", "named_struct('a b', 3) AS `odd name`", "4 AS every")
     out = fertility.keep_good(docs)
-    assert out.columns == docs.columns
+    assert out.columns == docs.columns and out.schema.simpleString() == docs.schema.simpleString()
     assert [(r["doc_id"], r["n_words"], r["band"]) for r in out.collect()] == [(0, 5, "x")]
     assert fertility.quality(docs.limit(0)).count() == 0
