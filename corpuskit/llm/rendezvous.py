@@ -4,8 +4,8 @@ Every shard scores a key by -weight / ln(u), u a uniform number drawn from the k
 greatest score wins. A shard added to the end wins some keys and changes no other, one taken from the end only gives
 up its own. All in built-in expressions.
 
-Slots: within a shard, rows are ordered by a hash bucket of the key, then key, then text. Buckets are counted and
-numbered first, so that no task has to rank a whole shard.
+Slots: within a shard, rows are ordered by a hash bucket of key and text, then key, then text. Buckets are counted and
+numbered first, so that no task has to rank a whole shard, nor all rows of one key.
 
 Defined results: null and empty texts have size 16 and checksum 0; a null doc_id is a key of its own kind and all
 such rows share a shard; repeated rows share a shard and get slots of their own; no rows, no result. Other columns
@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 SHARDS, SIZE_OF_ROW = 40, 16
 #: Hash buckets a shard is ranked in.
-BUCKETS = 64
+BUCKETS = 1024
 
 
 def _score(key: Column, shard: int, weight: float) -> Column:
@@ -49,7 +49,7 @@ def assign(docs: DataFrame, weights: list[float] | None = None, grown: list[floa
     key = F.col("doc_id")
     rows = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"), (F.octet_length(text) + SIZE_OF_ROW).cast("long").alias("size"), F.crc32(text).alias("text_crc32")
-    ).select("*", shard_of(key, weights).alias("shard"), shard_of(key, grown).alias("grown_shard"), F.pmod(F.xxhash64(key, F.lit("slot")), F.lit(buckets)).alias("bucket"))
+    ).select("*", shard_of(key, weights).alias("shard"), shard_of(key, grown).alias("grown_shard"), F.pmod(F.xxhash64(key, "text_crc32", "size"), F.lit(buckets)).alias("bucket"))
     counts = rows.groupBy("shard", "bucket").agg(F.count("*").alias("n"))
     before = Window.partitionBy("shard").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select("shard", "bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("begin"))
