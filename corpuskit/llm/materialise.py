@@ -102,6 +102,8 @@ def _lay(path: str, length: int):
             return batch
 
         with word_bpe(path) as model:
+            if len(model.closes) > 1 << 16:
+                raise ValueError(f"ids of {path} don't fit in 16 bits")
             for whole in batches:
                 for batch in pieces(whole, "text"):
                     for doc, ids in zip(batch.column("doc_id").to_pylist(), model.ids(batch.column("text").to_pylist()), strict=True):
