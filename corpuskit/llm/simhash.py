@@ -28,7 +28,7 @@ from corpuskit.llm.batches import pieces
 from corpuskit.llm.resemblance import Resemblance
 from corpuskit.llm.vocab import forget_words
 from corpuskit.operators.components import connected
-from corpuskit.session import ship, staged
+from corpuskit.session import scratch, ship, staged
 
 SEED, SHINGLE, MAX_BITS = 42, 3, 3
 #: Members of a posting list compared in one unit; a longer list is cut into blocks and every pair of blocks is a unit.
@@ -148,7 +148,8 @@ def keep_one(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     Texts are alike at a Jaccard similarity of 0.8 or more over five-word shingles; the three bits bind near_duplicates
     alone. Rows that share a doc_id are one document and stay or go together. Rows without a doc_id stay.
     """
-    index = Resemblance(docs, block)
-    named = _components(index.rows, index.links(), "node")
-    gone = staged(index.rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct(), "gone")
+    with scratch(docs.sparkSession) as keep:
+        index = Resemblance(docs, block)
+        named = _components(index.rows, index.links(), "node")
+        gone = keep(staged(index.rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct(), "gone"))
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
