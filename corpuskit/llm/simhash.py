@@ -6,6 +6,9 @@ positions hold one triple whole: those inside the first four positions and those
 meet in a posting list are tallied over all eight positions, those with fewer than five shared bytes go, and the
 rest is verified by differing bits. A list leaves its task as links to one member of each linked set, never as pairs.
 
+A long list is posted anew: its pairs must share two bytes more, so it is cut by every two of the other five positions.
+What is long even then shares five bytes, and is compared in blocks.
+
 Defined results: a null or empty text has no word and the fingerprint zero; equal texts share a fingerprint; a null
 doc_id keeps its row and never names a component, unless no other id is in it (then the component is null); repeated
 rows come back as often as they went in; an empty table gives an empty result. Other columns are not read.
@@ -28,10 +31,11 @@ from corpuskit.llm.batches import pieces
 from corpuskit.llm.resemblance import Resemblance
 from corpuskit.llm.vocab import forget_words
 from corpuskit.operators.components import connected
+from corpuskit.operators.relational import sized_join
 from corpuskit.session import scratch, ship, staged
 
 SEED, SHINGLE, MAX_BITS = 42, 3, 3
-#: Members of a posting list compared in one unit; a longer list is cut into blocks and every pair of blocks is a unit.
+#: Members of a posting list compared in one unit; a longer list is posted anew, and cut into blocks if that is of no use.
 BLOCK = 2048
 TRIPLES = [t for half in (range(4), range(4, 8)) for t in itertools.combinations(half, 3)]
 _WORD = re.compile(rb"[^\x20\x09-\x0D]+")
@@ -72,9 +76,21 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_fingerprint_batches, "doc_id long, print long")
 
 
+def _byte(value: Column, place: int) -> Column:
+    return F.shiftrightunsigned(value, 8 * place).bitwiseAND(F.lit(255))
+
+
 def _keys(value: Column) -> Column:
-    byte = [F.shiftrightunsigned(value, 8 * p).bitwiseAND(F.lit(255)) for p in range(8)]
-    return F.array(*(F.lit(k << 24).cast("long") + byte[a] * 65536 + byte[b] * 256 + byte[c] for k, (a, b, c) in enumerate(TRIPLES)))
+    return F.array(*(F.lit(k << 24).cast("long") + _byte(value, a) * 65536 + _byte(value, b) * 256 + _byte(value, c) for k, (a, b, c) in enumerate(TRIPLES)))
+
+
+def _longer_keys(value: Column, key: Column) -> Column:
+    """The keys of a member of a list with two more positions each."""
+    def of(triple: tuple[int, ...]) -> Column:
+        rest = itertools.combinations([p for p in range(8) if p not in triple], 2)
+        return F.array(*((key * 16 + i) * 65536 + _byte(value, a) * 256 + _byte(value, b) for i, (a, b) in enumerate(rest)))
+
+    return F.get(F.array(*map(of, TRIPLES)), F.shiftright(key, 24).cast("int"))
 
 
 def linked_sets(values: np.ndarray, max_bits: int = MAX_BITS) -> list[tuple[int, int]]:
@@ -115,15 +131,27 @@ def _link_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield pa.RecordBatch.from_arrays([pa.array(np.array(x, np.uint64).view(np.int64)) for x in (a, b)], ["a", "b"])
 
 
+def _met(keyed: DataFrame) -> DataFrame:
+    """(print, key, members) of the lists with two members or more."""
+    sizes = staged(keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").withColumn("members", F.col("n")), "lists")
+    return sized_join(keyed, sizes, "key")
+
+
 def links(prints: DataFrame, block: int = BLOCK) -> DataFrame:
     """(a, b) over distinct fingerprints in column `print`: enough links to connect all that are linked."""
-    keyed = prints.select("print", F.explode(_keys(F.col("print"))).alias("key"))
-    sizes = keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
-    blocks = F.ceil(F.col("n") / block).cast("int")
-    met = keyed.join(sizes, "key").select("key", "print", blocks.alias("blocks"), F.pmod(F.xxhash64("print"), blocks).cast("int").alias("own"))
-    units = met.select("key", "print", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    out = "a long, b long"
+    whole = lambda met: met.filter(F.col("members") <= block).groupBy("key").agg(F.collect_list("print").alias("prints")).select("prints")
+    first = _met(prints.select("print", F.explode(_keys(F.col("print"))).alias("key")))
+    found = whole(first).mapInArrow(_link_batches, out)
+    long = staged(first.filter(F.col("members") > block).select("print", F.explode(_longer_keys(F.col("print"), F.col("key"))).alias("key")), "long-lists")
+    if long.isEmpty():
+        return found
+    second = _met(long)
+    blocks = F.ceil(F.col("members") / block).cast("int")
+    dealt = second.filter(F.col("members") > block).select("key", "print", blocks.alias("blocks"), F.pmod(F.xxhash64("print"), blocks).cast("int").alias("own"))
+    units = dealt.select("key", "print", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
     lists = units.groupBy("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")).agg(F.collect_list("print").alias("prints"))
-    return lists.select("prints").mapInArrow(_link_batches, "a long, b long")
+    return found.unionByName(whole(second).unionByName(lists.select("prints")).mapInArrow(_link_batches, out))
 
 
 def _components(rows: DataFrame, linked: DataFrame, node: str) -> DataFrame:
@@ -138,8 +166,9 @@ def _components(rows: DataFrame, linked: DataFrame, node: str) -> DataFrame:
 def near_duplicates(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs(doc_id, text)."""
     rows = staged(fingerprints(docs), "prints")
-    of = _components(rows, links(rows.select("print").distinct(), block), "print")
-    return rows.join(of, "print").select("doc_id", F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), "component_id")
+    of = _components(rows, links(staged(rows.select("print").distinct(), "distinct-prints"), block), "print")
+    of = staged(of.join(rows.groupBy("print").agg(F.count("*").alias("n")), "print"), "components")
+    return sized_join(rows, of, "print").select("doc_id", F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, block: int = BLOCK) -> DataFrame:

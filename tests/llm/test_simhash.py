@@ -1,9 +1,12 @@
 import itertools
+import random
 import re
 
 import xxhash
 
 from corpuskit.llm import simhash
+from corpuskit.operators.components import connected
+from corpuskit.session import staged
 from tests.llm.conftest import COLUMNS, ODD, frame
 
 
@@ -55,6 +58,22 @@ def test_index_meets_every_pair_within_three_bits():
         assert any(set(t) <= set(positions) for t in simhash.TRIPLES)
 
 
+def test_hot_lists_are_cut_and_lose_nothing(spark):
+    """Fingerprints that all share three bytes, and a group that shares five, in lists far longer than a block."""
+    draw = random.Random(3)
+    values = {0xABCDEF << 40 | draw.randrange(1 << 40) for _ in range(300)} | {0xABCDEF1234 << 24 | draw.randrange(1 << 24) for _ in range(150)}
+    for v in list(values)[:120]:
+        for _ in range(draw.randrange(1, 5)):
+            v ^= 1 << draw.randrange(64)
+            values.add(v)
+    want = brute_components(sorted(values))
+    signed = lambda v: v - (1 << 64) if v >> 63 else v
+    prints = staged(spark.createDataFrame([(signed(v),) for v in values], "print long"), "prints")
+    for block in (20, 2048):
+        root = {r["node"] % (1 << 64): r["root"] for r in connected(simhash.links(prints, block)).collect()}
+        assert {frozenset(x for x in root if root[x] == k) for k in set(root.values())} == {frozenset(x for x in want if want[x] == k) for k in set(want.values()) if sum(y == k for y in want.values()) > 1}
+
+
 def test_null_ids_repeated_rows_and_empty_tables(spark):
     docs = spark.createDataFrame([(None, "a b c", "en", "s", 1), (5, "a b c", "en", "s", 1), (5, "a b c", None, None, None), (None, "other", "en", "s", 1)], COLUMNS)
     rows = [(r["doc_id"], r["component_id"]) for r in simhash.near_duplicates(docs).collect()]
