@@ -41,6 +41,8 @@ _PER_SUBSTITUTION = 4
 #: Bytes of benchmark text in one broadcast.
 BLOCK_BYTES = 16_000_000
 _FILTER_BITS = 20
+#: Hits that are brought to their diagonals at once.
+HITS = 500_000
 FOUND = "doc_id long, item_id long, doc_word long, item_word long, length long, matches long"
 
 
@@ -91,11 +93,12 @@ class Seeds:
             at, own = at[some], own[some]
             low, high = np.searchsorted(keys, own), np.searchsorted(keys, own, side="right")
             some = np.flatnonzero(high > low)
-            n = (high - low)[some]
-            if len(n):
-                entry = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(low[some], n)
-                where = np.repeat(at[some], n)
-                met.append(np.stack([words.doc[where], item[entry], where - place[entry]], axis=1))
+            upto = np.cumsum((high - low)[some])
+            for part in np.split(some, np.searchsorted(upto, np.arange(HITS, upto[-1] if len(upto) else 0, HITS))):
+                n = (high - low)[part]  # a word repeated in both would meet itself everywhere: few hits at once, of few diagonals
+                entry = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(low[part], n)
+                where = np.repeat(at[part], n)
+                met.append(np.unique(np.stack([words.doc[where], item[entry], where - place[entry]], axis=1), axis=0))
         best: dict[tuple[int, int], tuple] = {}
         for doc, k, diagonal in np.unique(np.concatenate(met), axis=0).tolist() if met else []:
             item = self.items[k]

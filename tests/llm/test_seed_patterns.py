@@ -68,3 +68,9 @@ def test_verbatim_run_before_weaker_words():
     item = [f"w{i}" for i in range(120)]
     texts = [" ".join(w if i < 20 or draw.random() < 0.7 else "other" for i, w in enumerate(item)) for _ in range(100)]
     assert len(find(texts, [" ".join(item)])) == 100
+
+
+def test_one_repeated_word_stays_bounded(monkeypatch):
+    monkeypatch.setattr(S, "HITS", 1000)
+    got = find(["a " * 5000, "b " * 200 + "a " * 20], ["a " * 300])
+    assert got[0, 0][4] == 300 and got[1, 0][4] == 20
