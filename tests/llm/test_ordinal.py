@@ -1,8 +1,11 @@
+import math
+import re
+
 import numpy as np
 import pyarrow as pa
 
 from corpuskit.llm import ordinal
-from tests.conftest import MEDIUM
+from tests.conftest import MEDIUM, SMALL
 from tests.llm.conftest import ODD, frame
 
 
@@ -24,6 +27,23 @@ def test_slope_equals_numeric_differences():
         assert abs(slope[i] - (loss(pars + e) - loss(pars - e)) / 2e-6) < 1e-5
 
 
+def test_grades_equal_a_plain_count(spark):
+    """Word features from Python strings: those of the shape come from features() of a text without words."""
+    docs, labels = (spark.read.parquet(f"{SMALL}/{t}.parquet") for t in ("documents", "labels"))
+    model = ordinal.fit(docs, labels)
+    got = {r["doc_id"]: r for r in ordinal.grade(docs, labels, model).collect()}
+    for r in docs.collect():
+        numbers, _ = ordinal.features(pa.array([r["text"]]))
+        words = {w: ordinal.features(pa.array([w]))[0] for w in set(re.findall(r"[a-z0-9\x80-\U0010ffff]+", r["text"].lower()))}
+        alone = [set(x.tolist()) for x in words.values()]
+        assert all(a & set(numbers.tolist()) for a in alone)  # each word's feature is there
+        score = sum(model.weights[i] for i in numbers.tolist())
+        above = [1 / (1 + math.exp(t - score)) for t in model.thresholds]
+        assert abs(got[r["doc_id"]]["expected_grade"] - sum(above)) < 1e-5
+        assert abs(got[r["doc_id"]]["tail_probability"] - above[-1]) < 1e-5
+        assert got[r["doc_id"]]["kept"] == (round(above[-1], 6) >= 0.5)
+
+
 def test_thresholds_are_ordered_and_toxic_and_poor_texts_go(spark):
     docs, labels = (spark.read.parquet(f"{MEDIUM}/{t}.parquet") for t in ("documents", "labels"))
     model = ordinal.fit(docs, labels)

@@ -1,6 +1,9 @@
+import math
+import struct
 import zlib
 from collections import Counter, defaultdict
 
+import xxhash
 from pyspark.sql import functions as F
 
 from corpuskit.llm import rendezvous
@@ -22,6 +25,18 @@ def test_sizes_checksums_slots_and_growth(spark):
     assert 0.5 / 41 < moved < 2 / 41
 
 
+def test_every_shard_is_the_one_of_greatest_score(spark):
+    """Against scores computed apart: -weight / ln(u), u from 52 bits of XXH64 over key and shard."""
+    weights = [1.0, 2.5, 0.5, 1.0]
+    got = dict(spark.range(500).select("id", rendezvous.shard_of(F.col("id"), weights)).collect())
+
+    def score(key, shard):
+        h = xxhash.xxh64(struct.pack("<i", shard), seed=xxhash.xxh64(struct.pack("<q", key), seed=42).intdigest()).intdigest()
+        return -weights[shard] / math.log(((h >> 12) + 0.5) / (1 << 52))
+
+    assert got == {k: max(range(4), key=lambda i: score(k, i)) for k in range(500)}
+
+
 def test_weights_set_the_shares_and_partitioning_changes_nothing(spark):
     ids = spark.range(20_000).select(F.col("id").alias("doc_id"))
     shard = rendezvous.shard_of(F.col("doc_id"), [1.0, 3.0, 0.0])
