@@ -37,38 +37,49 @@ def timed(make) -> tuple[float, object]:
     return round(time.time() - began, 3), got
 
 
-def main() -> None:
-    sf = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
-    spark = session()
-    from corpuskit.operators import clean, lid, tokenizer
+#: Published documents per second, of one laptop with 12 cores on 1.37 million documents.
+PUBLISHED = {"phase1_exact_dedup": 16_531, "phase2_clean": 597, "phase3_identify": 1_286, "phase4_near_dedup": 3_593, "phase5_quality": 3_031}
+
+
+def phases(docs: DataFrame, vocab: int) -> tuple[dict[str, float], dict[str, int]]:
+    """Seconds of each phase of a corpus run, and the documents it took. Every phase reads all that the one before kept."""
+    from corpuskit.operators import tokenizer
     from corpuskit.plans.corpus import CorpusRun
 
-    docs = spark.read.parquet(f"{sf}/documents.parquet")
-    n = docs.count()
-    docs = docs.repartition(max(8, n // 1000), F.xxhash64("doc_id"))
-    docs.select(F.sum(F.length("text"))).collect()
-    timed(lambda: clean.normalize(docs.limit(50)))  # starts the Python workers
-    run = CorpusRun(docs)
-    seconds: dict[str, float] = {}
+    run, seconds, taken = CorpusRun(docs), {}, {"phase1_exact_dedup": docs.count()}
     seconds["phase1_exact_dedup"], _ = timed(lambda: run.unique)
     seconds["phase2_clean"], _ = timed(lambda: run.cleaned.select("doc_id"))
-    train = run.cleaned.filter("doc_id % 2 = 0")
-    seconds["phase3_train_profile"], model = timed(lambda: lid.Profile.of(lid.train_profile(train.limit(1000), text="clean", top=20_000)))
-    seconds["phase3_identify"], _ = timed(lambda: lid.predict_profile(run.cleaned, model, text="clean"))
-    run.p3_ids.count()
+    seconds["phase3_train_profile"], _ = timed(lambda: run.identify)
+    seconds["phase3_identify"], _ = timed(lambda: run.p3_ids)
     seconds["phase4_near_dedup"], _ = timed(lambda: run.p4_ids)
     seconds["phase5_quality"], _ = timed(lambda: run.p5_ids)
-    vocab = int(os.environ.get("BENCH_VOCAB", "4000"))
     seconds["phase6_split_tokenizer"], _ = timed(lambda: tokenizer.train(run.released.filter("split = 'train'"), vocab))
-    seen = {"phase1_exact_dedup": n, "phase2_clean": run.unique.count(), "phase3_identify": run.cleaned.count(), "phase4_near_dedup": run.p3_ids.count(), "phase5_quality": run.p4_ids.count()}
-    rates = {k: round(v / seconds[k]) for k, v in seen.items()}
+    taken |= {"phase2_clean": run.unique.count(), "phase3_identify": run.cleaned.count(), "phase4_near_dedup": run.p3_ids.count(), "phase5_quality": run.p4_ids.count(), "final": run.p5_ids.count()}
+    return seconds, taken
+
+
+def main() -> None:
+    sf = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
+    vocab = int(os.environ.get("BENCH_VOCAB", "16000"))
+    spark = session()
+    from corpuskit.session import scratch
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    n = docs.count()
+    docs = docs.repartition(max(8, n // 1000), F.xxhash64("doc_id"))
+    # a run of a minute is half start-up: the same phases over the same table twice, both told, the second counted
+    with scratch(spark):
+        first, _ = phases(docs, vocab)
+    seconds, taken = phases(docs, vocab)
+    rates = {k: round(taken[k] / seconds[k]) for k in PUBLISHED}
     try:
         from corpuskit.llm.queries import queries
     except ImportError:
         queries = dict
     for name, query in queries().items():
         seconds[name], _ = timed(lambda q=query: q(spark, sf))
-    print(json.dumps({"metric": "total", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "docs_per_sec": rates, "docs": {"raw": n, **{k: v for k, v in seen.items()}, "final": run.p5_ids.count()}, "sf": os.path.basename(sf.rstrip("/"))}))
+    told = {"first_run": first, "docs_per_sec": rates, "docs_per_sec_published": PUBLISHED, "docs": taken, "vocab": vocab}
+    print(json.dumps({"metric": "total", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, **told, "sf": os.path.basename(sf.rstrip("/"))}))
     sys.stdout.flush()
     spark.stop()
 

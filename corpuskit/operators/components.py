@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from corpuskit.session import discard, staged
@@ -23,24 +23,29 @@ def _smaller_to_least(edges: DataFrame) -> DataFrame:
     return moved.union(least.select("u", F.col("m").alias("v"))).distinct()
 
 
+def _counted(edges: DataFrame) -> tuple[DataFrame, tuple]:
+    """The edges, staged, and their number and an order-free hash sum, observed as they were written."""
+    seen = Observation()
+    out = staged(edges.observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")), "edges")
+    return out, (seen.get["n"], seen.get["h"])
+
+
 def connected(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """(node, root) for every node on an edge; root is the least node reachable.
 
     Every round is two shuffles of the remaining edges, written to the shared folder so that lineage stays
-    short. It ends when a round changes nothing, told by a count and an order-free hash sum of the edge set.
+    short. It ends when a round changes nothing, told by a count and a hash sum of the edge set.
     Self loops, reversed and repeated edges are allowed; an edge with a null end is ignored. No edges: no rows.
     """
-    now = staged(
-        edges.select(F.col(a).alias("u"), F.col(b).alias("v")).filter("u is not null and v is not null and u != v").distinct(), "edges"
-    )
-    seen = None
+    now, mark = _counted(edges.select(F.col(a).alias("u"), F.col(b).alias("v")).filter("u is not null and v is not null and u != v").distinct())
     for _ in range(max_rounds):
-        mark = now.select(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if mark == seen or mark[0] == 0:
+        if mark[0] == 0:
             break
-        seen = mark
-        before, now = now, staged(_smaller_to_least(_larger_to_least(now)), "edges")
+        before, known = now, mark
+        now, mark = _counted(_smaller_to_least(_larger_to_least(before)))
         discard(before)
+        if mark == known:
+            break
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     nodes = now.select(F.col("u").alias("node"), F.col("v").alias("root"))

@@ -21,6 +21,8 @@ from corpuskit.operators.relational import sized_join
 from corpuskit.session import ship, staged
 
 PRIME = (1 << 31) - 1
+#: A set that more than one part in so many of all pairs is in is broadcast to them.
+HOT_SETS = 50
 
 
 def hash_family(k: int = 64, seed: int = 0) -> list[tuple[int, int]]:
@@ -48,12 +50,20 @@ def hashed(sets: DataFrame, base: str = "md5") -> DataFrame:
     return sets.select("doc_id", F.array_sort(F.array_distinct(F.transform("shingles", of))).alias("hashes"))
 
 
+def _firsts(keys: DataFrame) -> DataFrame:
+    """(key, representative, n), staged: the least document of each set, and how many have it."""
+    return staged(keys.groupBy("key").agg(F.min("doc_id").alias("representative"), F.count("*").alias("n")), "set-firsts")
+
+
+def _set_key(column: str = "hashes") -> Column:
+    """A SHA-256 that stands for a set."""
+    return F.sha2(F.concat_ws(",", F.col(column)), 256).alias("key")
+
+
 def classes(sets: DataFrame, column: str = "hashes") -> DataFrame:
-    """(doc_id, representative): documents of equal sets share the least id; a SHA-256 stands for a set."""
-    text = F.concat_ws(",", F.col(column))
-    keys = staged(sets.select("doc_id", F.sha2(text, 256).alias("key")), "set-keys")
-    least = staged(keys.groupBy("key").agg(F.min("doc_id").alias("representative"), F.count("*").alias("n")), "set-firsts")
-    return sized_join(keys, least, "key").select("doc_id", "representative")
+    """(doc_id, representative): documents of equal sets share the least id."""
+    keys = staged(sets.select("doc_id", _set_key(column)), "set-keys")
+    return sized_join(keys, _firsts(keys), "key").select("doc_id", "representative")
 
 
 def signatures(hashes: DataFrame, k: int = 64, seed: int = 0) -> DataFrame:
@@ -139,11 +149,11 @@ def verify(pairs: DataFrame, sets: DataFrame, tau: float = 0.8, column: str = "h
 
 
 def compared(pairs: DataFrame, sets: DataFrame, column: str = "hashes") -> DataFrame:
-    """(a, b, jaccard) of all pairs; many pairs may share an a."""
+    """(a, b, jaccard) of all pairs, which are staged; many may share an a."""
     full = sets.select("doc_id", column)
     mine = pairs.join(full.toDF("b", "sb"), "b")
-    of = staged(pairs.groupBy("a").agg(F.count("*").alias("n")).join(full.toDF("a", "sa"), "a"), "compared")
-    return sized_join(mine, of, "a").select("a", "b", jaccard(F.col("sa"), F.col("sb")).alias("jaccard"))
+    both = sized_join(mine, full.toDF("a", "sa"), "a", parts=HOT_SETS, sizes=pairs.groupBy("a").agg(F.count("*").alias("n")))
+    return both.select("a", "b", jaccard(F.col("sa"), F.col("sb")).alias("jaccard"))
 
 
 def bucket_links(buckets: DataFrame, sets: DataFrame, tau: float = 0.8, column: str = "hashes") -> DataFrame:
@@ -156,7 +166,7 @@ def bucket_links(buckets: DataFrame, sets: DataFrame, tau: float = 0.8, column:
     """
     least = staged(buckets.groupBy("bucket").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).filter("n > 1"), "bucket-firsts")
     met = staged(sized_join(buckets, least, "bucket").filter("a != doc_id").select("bucket", "a", F.col("doc_id").alias("b")), "bucket-stars")
-    known = staged(compared(met.select("a", "b").distinct(), sets, column), "bucket-compared")
+    known = staged(compared(staged(met.select("a", "b").distinct(), "bucket-pairs"), sets, column), "bucket-compared")
     loose = known.filter(F.col("jaccard") < tau)
     found = known.filter(F.col("jaccard") >= tau)
     if loose.isEmpty():
@@ -224,10 +234,12 @@ class NearDuplicates:
 
     def __init__(self, docs: DataFrame, n: int = 3, k: int = 64, b: int = 16, r: int = 4, tau: float = 0.8, seed: int = 0, base: str = "xx", text: str = "clean"):
         self.docs, self.tau = docs, tau
-        self.sets = staged(hashed(shingles(docs, n, text), base), "shingles")
-        self.members = staged(classes(self.sets), "classes")
-        firsts = self.members.filter("doc_id = representative").select("doc_id")
-        self.distinct = self.sets.join(firsts, "doc_id", "left_semi")
+        keyed = staged(hashed(shingles(docs, n, text), base).select("doc_id", "hashes", _set_key()), "shingles")
+        firsts = _firsts(keyed)
+        #: (doc_id, representative) of the documents that are not the only ones with their set.
+        self.members = sized_join(keyed.select("doc_id", "key"), firsts.filter("n > 1"), "key").select("doc_id", "representative")
+        self.sets = keyed.select("doc_id", "hashes")
+        self.distinct = self.sets.join(firsts.select(F.col("representative").alias("doc_id")), "doc_id", "left_semi")
         self.bands = bands(signatures(self.distinct, k, seed), b, r)
         buckets = staged(self.bands.select(F.xxhash64("band", "key").alias("bucket"), "doc_id"), "buckets")
         #: Verified pairs, as many as connect what is alike; candidates() and verify() give every pair.

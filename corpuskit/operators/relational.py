@@ -50,20 +50,20 @@ def salted_join(big: DataFrame, small: DataFrame, on: str, salts: int = 16, spre
 HOT_PARTS = 500
 
 
-def sized_join(big: DataFrame, small: DataFrame, on: str, n: str = "n", parts: int = HOT_PARTS) -> DataFrame:
-    """An inner join of big with one row for each key, of which small[n] says how many rows of big have it.
+def sized_join(big: DataFrame, small: DataFrame, on: str, n: str = "n", parts: int = HOT_PARTS, sizes: DataFrame | None = None) -> DataFrame:
+    """An inner join of big with small on a column of which small has few rows for each value, big any number.
 
-    Rows of hot keys stay where they are and meet the hot rows of small, fewer than `parts`, in a broadcast; the rest is
-    shuffled. Nulls meet nulls. small is read three times.
+    small[n], or sizes(on, n), says how many rows of big have a value. Rows of hot values stay where they are and meet
+    the hot rows of small in a broadcast: of fewer than `parts` values, which go through the driver; the rest is
+    shuffled. Nulls meet nulls.
     """
-    total = small.agg(F.sum(n)).first()[0] or 0
-    hot = F.col(n) > total / parts
-    slim = small.drop(n)
-    if small.filter(hot).isEmpty():
+    slim, sizes = (small.drop(n), small) if sizes is None else (small, sizes)
+    total, most = sizes.agg(F.sum(n), F.max(n)).first()
+    if not total or most * parts <= total:
         return _null_safe(big, slim, on)
-    few = F.broadcast(small.filter(hot).drop(n))
-    rest = big.join(few.select(F.col(on).alias("__k")), F.col(on).eqNullSafe(F.col("__k")), "left_anti")
-    return _null_safe(big, few, on).unionByName(_null_safe(rest, small.filter(~hot).drop(n), on))
+    values = [r[0] for r in sizes.filter(F.col(n) * parts > total).select(on).collect()]
+    hot = F.coalesce(F.col(on).isin([v for v in values if v is not None]), F.lit(None in values))
+    return _null_safe(big.filter(hot), F.broadcast(slim.filter(hot)), on).unionByName(_null_safe(big.filter(~hot), slim.filter(~hot), on))
 
 
 def _null_safe(big: DataFrame, small: DataFrame, on: str) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
@@ -102,3 +103,10 @@ def scratch(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
         for path in [p for p in every if p not in before and p not in kept]:
             delete(spark, path)
             every.remove(path)
+        settle(spark)
+
+
+def settle(spark: SparkSession) -> None:
+    """Let the driver notice plans that are done: their shuffle files go only when their objects are collected."""
+    gc.collect()
+    spark._jvm.System.gc()
