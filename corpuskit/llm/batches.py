@@ -54,6 +54,9 @@ class _Powers:
 
 
 _up, _down = _Powers(_BASE), _Powers(_INVERSE)
+#: The first n powers of an odd number, and of its inverse: a sum over words i to j of word x power, times the inverse
+#: power of i, is the same wherever the words stand.
+ups, downs = _up.upto, _down.upto
 
 
 def pieces(batch: pa.RecordBatch, column: str, limit: int = PIECE_BYTES) -> Iterator[pa.RecordBatch]:
