@@ -6,6 +6,7 @@ themselves. Pairs between representatives are complete; class members follow thr
 
 from __future__ import annotations
 
+import math
 import random
 from collections.abc import Iterator
 from functools import reduce
@@ -275,24 +276,37 @@ def cluster_sizes(clusters: DataFrame) -> DataFrame:
     return clusters.groupBy("component").agg(F.count("*").alias("size")).groupBy("size").agg(F.count("*").alias("n_clusters"))
 
 
-def vector_pairs(vectors: DataFrame, least: float = 0.9, planes: int = 16, tables: int = 8, seed: int = 0) -> DataFrame:
-    """(a, b, cosine) of near vectors in vectors(vec_id, embedding), by random hyperplane buckets and exact cosine."""
+def tables_for(least: float, planes: int, recall: float) -> int:
+    """Hash tables so that a pair of cosine `least` meets in one of them with probability `recall`."""
+    agree = (1 - math.acos(least) / math.pi) ** planes
+    return math.ceil(math.log(1 - recall) / math.log(1 - agree))
+
+
+def vector_pairs(vectors: DataFrame, least: float = 0.9, planes: int = 12, recall: float = 0.999, seed: int = 0) -> DataFrame:
+    """(a, b, cosine) of near vectors in vectors(vec_id, embedding), by random hyperplane buckets and exact cosine.
+
+    A pair at the threshold is met with probability `recall`, a nearer one more surely. Null, empty and zero vectors are
+    near none.
+    """
     ship(vectors.sparkSession)
+    tables = tables_for(least, planes, recall)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        normals = None
         for batch in batches:
             if not batch.num_rows:
                 continue
             m = np.stack([np.asarray(x, np.float64) for x in batch.column("embedding").to_pylist()])
-            normals = np.random.default_rng(seed).normal(size=(tables * planes, m.shape[1]))
+            if normals is None:
+                normals = np.random.default_rng(seed).normal(size=(tables * planes, m.shape[1]))
             bits = (m @ normals.T > 0).reshape(len(m), tables, planes)
             keys = (bits << np.arange(planes)).sum(axis=2) + (np.arange(tables) << planes)
             yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array(keys.tolist(), pa.list_(pa.int64()))], ["vec_id", "keys"])
 
-    keyed = vectors.mapInArrow(run, "vec_id long, keys array<long>").select("vec_id", F.explode("keys").alias("key"))
-    pairs = keyed.toDF("a", "key").join(keyed.toDF("b", "key"), "key").filter("a < b").select("a", "b").distinct()
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q), F.lit(0.0), lambda s, z: s + z)
-    full = vectors.select("vec_id", "embedding", F.sqrt(dot(F.col("embedding"), F.col("embedding"))).alias("norm"))
+    full = vectors.select("vec_id", "embedding", F.sqrt(dot(F.col("embedding"), F.col("embedding"))).alias("norm")).filter("norm > 0")
+    keyed = full.select("vec_id", "embedding").mapInArrow(run, "vec_id long, keys array<long>").select("vec_id", F.explode("keys").alias("key"))
+    pairs = keyed.toDF("a", "key").join(keyed.toDF("b", "key"), "key").filter("a < b").select("a", "b").distinct()
     both = pairs.join(full.toDF("a", "ea", "na"), "a").join(full.toDF("b", "eb", "nb"), "b")
     return both.select("a", "b", (dot(F.col("ea"), F.col("eb")) / (F.col("na") * F.col("nb"))).alias("cosine")).filter(F.col("cosine") >= least)
 

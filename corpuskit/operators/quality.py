@@ -10,8 +10,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpuskit.config import DEFAULT
+from corpuskit.functions import metrics
 from corpuskit.functions.grams import distinct, gram_hashes, pieces
 from corpuskit.functions.text import char_grams, word_count
+from corpuskit.operators import charlm
 from corpuskit.operators.order_stats import value_at
 from corpuskit.session import ship, staged
 
@@ -134,6 +136,22 @@ def auc(scored: DataFrame, labels: DataFrame, column: str = "coverage", label: s
     return below.agg(F.sum("pos").alias("n_pos"), F.sum("neg").alias("n_neg"), F.round(F.sum(F.col("pos") * (F.col("below") + F.col("neg") / 2)) / (F.sum("pos") * F.sum("neg")), 6).alias("auc"))
 
 
+def evaluate_drop(scored: DataFrame, kept: DataFrame, labels: DataFrame, label: str = "quality") -> DataFrame:
+    """(n_labelled, n_poor, n_dropped, n_hit, precision, recall) of a drop as a finder of poor documents (label 0)."""
+    rows = scored.select("doc_id").join(labels.select("doc_id", label), "doc_id").join(kept.select("doc_id", F.lit(1).alias("k")).distinct(), "doc_id", "left")
+    poor, gone = F.col(label) == 0, F.col("k").isNull()
+    cells = rows.agg(F.count("*").alias("n_labelled"), F.count_if(poor).alias("n_poor"), F.count_if(gone).alias("n_dropped"), F.count_if(poor & gone).alias("n_hit"))
+    hit = F.col("n_hit")
+    return cells.withColumns({"precision": F.round(metrics.ratio(hit, F.col("n_dropped")), 6), "recall": F.round(metrics.ratio(hit, F.col("n_poor")), 6)})
+
+
+def perplexity_score(docs: DataFrame, seed: DataFrame, order: int = 4, text: str = "clean") -> DataFrame:
+    """(doc_id, coverage): the alternative score, from a character model of the clean seed: 2 to the power of minus the
+    bits of a character, so that it lies between 0 and 1 and the better texts have more. No text: 0."""
+    scored = charlm.score(docs, charlm.train(seed, order, text=text), text)
+    return scored.select("doc_id", F.when(F.col("n_chars") > 0, F.pow(F.lit(2.0), -F.col("bits_per_char"))).otherwise(0.0).alias("coverage"))
+
+
 def train_classifier(docs: DataFrame, labels: DataFrame, features: int = 1 << 16, n: int = 3, text: str = "clean"):
     """The trained alternative: logistic regression on hashed character n-grams. Returns (doc_id, probability) of a DataFrame."""
     from pyspark.ml.classification import LogisticRegression

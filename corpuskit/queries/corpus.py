@@ -14,6 +14,7 @@ from corpuskit.operators import clean, exact, neardup, quality
 from corpuskit.plans import corpus as C
 from corpuskit.plans import objective
 from corpuskit.queries.registry import query, table, version
+from corpuskit.session import staged
 from corpuskit.sources import aggregate, pages_as_documents, with_roles
 
 WS = r"[ \t\n\r\f\x0B]+"
@@ -385,9 +386,17 @@ def p4_mllib(spark, d):
     return neardup.mllib_candidates(run_of(spark, d).near.distinct)
 
 
-@query("p4_vectors")
+_DAMPED = """v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings
+ UNION ALL SELECT vec_id + 1000000000, list_transform(embedding, lambda x, i: CASE WHEN i % 8 = 0 THEN 0.0 ELSE CAST(x AS DOUBLE) END) FROM embeddings)"""
+
+
+@query("p4_vectors", f"WITH {_DAMPED} SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(a.e, b.e) >= 0.9")
 def p4_vectors(spark, d):
-    return neardup.vector_pairs(table(spark, d, "embeddings").select("vec_id", "embedding"), 0.95)
+    """Near vectors among the given ones and copies of them without every eighth component: the given ones have none."""
+    given = table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("embedding"))
+    damped = F.transform("embedding", lambda x, i: F.when(i % 8 == 7, 0.0).otherwise(x))
+    copies = given.select((F.col("vec_id") + 1_000_000_000).alias("vec_id"), damped.alias("embedding"))
+    return neardup.vector_pairs(given.unionByName(copies), 0.9).select("a", "b")
 
 
 @query("p5_seed", f"{UP4} SELECT doc_id, n_words FROM p4 WHERE source = 'src0' AND n_words >= 200")
@@ -463,6 +472,22 @@ def p5_auc(spark, d):
     return quality.auc(run_of(spark, d).scored, table(spark, d, "labels"))
 
 
+@query("p5_drop_quality", f"{UP5}, r AS (SELECT quality = 0 AS poor, p5.doc_id IS NULL AS gone FROM scored JOIN labels USING (doc_id) LEFT JOIN p5 USING (doc_id)), c AS (SELECT count(*) AS n_labelled, count(*) FILTER (poor) AS n_poor, count(*) FILTER (gone) AS n_dropped, count(*) FILTER (poor AND gone) AS n_hit FROM r) SELECT *, round(CASE WHEN n_dropped > 0 THEN n_hit / n_dropped ELSE 0 END, 6) AS precision, round(CASE WHEN n_poor > 0 THEN n_hit / n_poor ELSE 0 END, 6) AS recall FROM c")
+def p5_drop_quality(spark, d):
+    """How well what phase 5 drops agrees with the documents rated poor."""
+    run = run_of(spark, d)
+    return quality.evaluate_drop(run.scored, run.p5_ids, table(spark, d, "labels"))
+
+
+@query("p5_perplexity")
+def p5_perplexity(spark, d):
+    """The same measures with the character model's score instead of coverage."""
+    run = run_of(spark, d)
+    scored = staged(quality.perplexity_score(run.p4, run.seed), "perplexity")
+    kept = quality.drop_bottom(scored, run.config.drop_percent)
+    return quality.evaluate_drop(scored, kept, table(spark, d, "labels")).crossJoin(quality.auc(scored, table(spark, d, "labels")).select("auc"))
+
+
 @query("p5_classifier")
 def p5_classifier(spark, d):
     run = run_of(spark, d)

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
 #: Bytes of an Arrow batch: rows of long texts would else be buffered by tens of megabytes for each task.
-ARROW_BYTES, _ARROW = "8m", "spark.sql.execution.arrow.maxBytesPerBatch"
+ARROW_BYTES, _ARROW = "2m", "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def ship(spark: SparkSession) -> None:
@@ -106,6 +106,22 @@ def scratch(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
         settle(spark)
 
 
+def staged_paths(spark: SparkSession) -> list[str]:
+    """Folders staged in this application that are still there."""
+    return list(_staged.get(spark.sparkContext.applicationId, []))
+
+
+def delete_unread(paths: list[str], docs: DataFrame) -> None:
+    """Delete those of the staged folders that docs doesn't read."""
+    spark = docs.sparkSession
+    read = {f.rsplit("/", 2)[-2] for f in docs.inputFiles()}  # every folder has a name of its own
+    every = _staged.get(spark.sparkContext.applicationId, [])
+    for path in [p for p in paths if p in every and p.rsplit("/", 1)[-1] not in read]:
+        delete(spark, path)
+        every.remove(path)
+    settle(spark)
+
+
 def settle(spark: SparkSession) -> None:
     """Let the driver notice plans that are done: their shuffle files go only when their objects are collected."""
     gc.collect()

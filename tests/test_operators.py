@@ -1,17 +1,22 @@
 import itertools
+import json
+import os
 import random
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from corpuskit import session
 from corpuskit.config import Config
 from corpuskit.functions import grams, metrics
 from corpuskit.operators import charlm, clean, exact, lid, neardup, order_stats, quality, release, tokenizer
 from corpuskit.operators.components import connected
+from corpuskit.operators.relational import sized_join
 from corpuskit.plans import corpus, objective
-from corpuskit.session import new_path
+from corpuskit.session import new_path, scratch, staged
 from tests.conftest import SMALL
 
 
@@ -36,6 +41,31 @@ def test_cleaning_is_idempotent_and_dedup_modes_differ(spark, run):
     assert sorted(r["doc_id"] for r in exact.drop_exact(docs, "raw").collect()) == [1, 2]
 
 
+def test_repeated_and_null_ids_lose_no_row_and_keep_no_copy(spark):
+    rows = [(1, "a", 0), (1, "a", 0), (2, "a", 0), (2, "b", 0), (2, "b", 1), (None, "c", 0), (None, "a", 0), (None, None, 3), (7, None, 3), (8, "B", 0), (9, "d", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source_rank int")
+    for mode in ("normalized", "raw"):
+        form = lambda df: sorted(map(str, df.select("doc_id", F.lower("text"), "source_rank").collect()))
+        fast, window = form(exact.drop_exact(docs, mode)), form(exact.drop_exact_window(docs, mode))
+        assert fast == window and len(fast) == len({None if t is None else t.lower() if mode == "normalized" else t for _, t, _ in rows})
+    assert exact.drop_exact(docs.limit(0)).count() == 0
+    seen = exact.keyed(docs.filter("doc_id = 7 OR text = 'c'")).select("content_key")
+    assert sorted(r["text"].lower() for r in exact.drop_exact_incremental(docs, seen).collect()) == ["a", "b", "d"]
+    unique = spark.createDataFrame([(i, f"t{i % 3}", 0) for i in range(9)], "doc_id long, text string, source_rank int")
+    assert sorted(r["doc_id"] for r in exact.drop_exact(unique).collect()) == [0, 1, 2]
+
+
+def test_config_file(spark):
+    path = new_path(spark, "config")
+    spark.createDataFrame([(json.dumps({"target": "de", "bands": 8, "roles": [["src1", "A"]]}, indent=1),)], "value string").coalesce(1).write.text(path)
+    config = Config.load(spark, path)
+    assert (config.target, config.bands, config.roles, config.rows) == ("de", 8, (("src1", "A"),), Config().rows)
+    assert config.digest() != Config().digest()
+    spark.createDataFrame([('{"colour": 1}',)], "value string").coalesce(1).write.mode("overwrite").text(path)
+    with pytest.raises(ValueError, match="colour"):
+        Config.load(spark, path)
+
+
 def test_config_is_checked_and_hashed():
     assert Config().digest() == Config().digest() != Config(seed=1).digest()
     for bad in ({"bands": 32}, {"tau": 0.0}, {"drop_percent": 100}, {"key_mode": "x"}):
@@ -117,6 +147,10 @@ def test_signatures_agree_and_estimate_within_error(spark):
     assert np.sqrt(np.mean(np.square(errors))) <= 0.0625 * 1.3
 
 
+def test_tables_follow_threshold_and_recall():
+    assert neardup.tables_for(0.95, 12, 0.999) < neardup.tables_for(0.9, 12, 0.999) < neardup.tables_for(0.9, 12, 0.9999)
+
+
 def test_s_curve_values():
     assert neardup.s_curve_value(0.8, 16, 4) == pytest.approx(0.99978, abs=1e-5)
     assert neardup.s_curve_value(0.5, 16, 4) == pytest.approx(0.64393, abs=1e-5)
@@ -135,6 +169,48 @@ def test_copies_make_no_pairs_and_longest_stays(spark):
     assert stats["n_covered"] - stats["n_clusters"] == stats["n_removed"] == 2
 
 
+def test_a_bucket_of_fifty_thousand_near_copies_costs_its_length(spark):
+    ids = spark.range(50_000)
+    common = F.sequence(F.lit(1), F.lit(40)).cast("array<long>")
+    sets = staged(ids.select(F.col("id").alias("doc_id"), F.array_append(common, F.col("id") + 1000).alias("hashes")), "sets")
+    buckets = staged(ids.select(F.lit(7).cast("long").alias("bucket"), F.col("id").alias("doc_id")), "buckets")
+    found = neardup.bucket_links(buckets, sets)
+    assert found.count() == 49_999 and found.filter("a != 0").isEmpty()
+
+
+def test_links_of_a_bucket_connect_all_its_pairs(spark):
+    draw = random.Random(9)
+    base = list(range(30))
+    lists = [sorted(set(base) - set(draw.sample(base, draw.randrange(8))) | {100 * i + k for k in range(draw.randrange(4))}) for i in range(60)]
+    sets = staged(sets_of(spark, lists), "sets")
+    buckets = staged(sets.select(F.lit(1).cast("long").alias("bucket"), "doc_id"), "buckets")
+    true = neardup.brute_force(sets, 0.8)
+    roots = lambda links: {r["node"]: r["root"] for r in connected(links).collect()}
+    assert roots(neardup.bucket_links(buckets, sets)) == roots(true) and not true.isEmpty()
+
+
+def test_near_vectors_are_met(spark):
+    draw = np.random.default_rng(4)
+    m = draw.normal(size=(300, 48))
+    other = m + draw.normal(size=m.shape) * 0.45  # cosine about 0.91
+    rows = [(i, [float(x) for x in v]) for i, v in enumerate(np.r_[m, other])] + [(1000, [0.0] * 48), (1001, None)]
+    cosine = lambda x, y: float(x @ y / np.linalg.norm(x) / np.linalg.norm(y))
+    want = {(i, 300 + i) for i in range(300) if cosine(m[i], other[i]) >= 0.9}
+    got = {(r["a"], r["b"]) for r in neardup.vector_pairs(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), 0.9).collect()}
+    assert got <= want and len(got) >= 0.99 * len(want) and len(want) > 100
+
+
+def test_joins_of_hot_keys_equal_plain_ones(spark):
+    big = spark.createDataFrame([(k, i) for i, k in enumerate([1] * 500 + [None] * 100 + list(range(2, 60)))], "k long, v long")
+    small = big.groupBy("k").agg(F.count("*").alias("n"), F.max("v").alias("most"))
+    got = sized_join(big, small, "k", parts=10)
+    assert "BroadcastExchange" in got._jdf.queryExecution().executedPlan().toString()
+    key = lambda df: sorted(map(str, df.select("k", "v", "most").collect()))
+    want = big.join(small.withColumnRenamed("k", "j"), F.col("k").eqNullSafe(F.col("j")))
+    assert key(got) == key(sized_join(big, small, "k", parts=10**6)) == key(want) and got.count() == 658
+    assert sized_join(big, small.drop("n"), "k", parts=10, sizes=small.select("k", "n")).count() == 658
+
+
 def test_star_links_are_a_subset(run):
     banded = neardup.bands(neardup.signatures(run.near.sets))
     every = {tuple(r) for r in neardup.candidates(banded).collect()}
@@ -231,6 +307,24 @@ def test_zipped_json_lines(spark):
 # language
 
 
+def test_a_profile_too_large_to_broadcast_is_joined(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    profile = lid.stage_profile(docs.filter("doc_id % 2 = 0"))
+    asked = docs.filter("doc_id % 2 = 1")
+    answers = [{r["doc_id"]: (r["label"], round(r["prob"], 6)) for r in lid.identifier(profile, "text", most)(asked).collect()} for most in (10**9, 1)]
+    assert answers[0] == answers[1]
+
+
+def test_trials_end_early_and_agree_with_whole_texts(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").orderBy("doc_id").collect()
+    model = lid.Profile.of(lid.stage_profile(spark.read.parquet(f"{SMALL}/documents.parquet")))
+    texts = [f" {' '.join(r['text'].lower().split())} " for r in docs if len(r["text"]) > 500]
+    whole = model.scores(texts)[0].argmax(axis=1)
+    odds, looked = model.sampled(texts, list(range(len(texts))), lid.Draws(trials=3))
+    assert (odds.argmax(axis=1) == whole).mean() > 0.98 and np.allclose(odds.sum(axis=1), 1)
+    assert looked.mean() < 0.5 * 3 * lid.Draws().most
+
+
 def test_models_identify_whole_texts_and_draws_do_not_depend_on_partitions(spark):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet")
     model = lid.Profile.of(lid.train_profile(docs.filter("doc_id % 2 = 0"), top=3000))
@@ -257,6 +351,16 @@ def cells(spark, counts):
     return metrics.prf_from_counts(spark.createDataFrame(counts, "tp long, fp long, fn long")).collect()
 
 
+def test_bootstrap_draws_from_the_cells(spark):
+    rows = [("en", "en")] * 30 + [("en", "de")] * 5 + [("de", "en")] * 3 + [("de", "de")] * 22 + [("en", None)]
+    got = metrics.bootstrap(spark.createDataFrame(rows, "gold string, predicted string"), "en").first()
+    draw, f1s = np.random.default_rng(0), []
+    for _ in range(2000):
+        tp, fp, fn, _ = draw.multinomial(61, np.array([30, 3, 6, 22]) / 61)
+        f1s.append(2 * tp / (2 * tp + fp + fn))
+    assert abs(got["low"] - np.quantile(f1s, 0.025)) < 0.02 and abs(got["high"] - np.quantile(f1s, 0.975)) < 0.02
+
+
 def test_printed_f1s_recompute(spark):
     rows = cells(spark, [(3, 0, 37), (29, 1, 11), (38, 8, 2), (0, 0, 0)])
     assert [round(r["f1"], 4) for r in sorted(rows, key=lambda r: r["f1"])] == [0.0, 0.1395, 0.8286, 0.8837]
@@ -318,6 +422,48 @@ def test_merges_equal_a_plain_trainer():
     assert tokenizer.train_from_counts(counts, 100_000).merges[:60] == naive_merges(counts, 60)
 
 
+def test_words_left_in_the_cluster_give_the_same_merges(spark):
+    draw = random.Random(5)
+    counts = {"".join(draw.choices("abcdef", weights=[9, 7, 5, 3, 2, 1], k=draw.randrange(1, 9))): draw.randrange(1, 60) for _ in range(80)}
+    table = spark.createDataFrame(sorted(counts.items()), "word string, n long")
+    here = tokenizer.train_from_counts(sorted(counts.items()), 259 + 7 + 25)
+    assert len(here.merges) == 25 and tokenizer.train_distributed(table, 259 + 7 + 25).merges == here.merges
+    docs = spark.createDataFrame([(" ".join([w] * n),) for w, n in counts.items()], "clean string")
+    assert tokenizer.train(docs, 259 + 7 + 8, most=5).merges == here.merges[:8]
+
+
+def test_batches_of_merges_equal_one_by_one():
+    """Whatever is merged at once, in the order of a plain trainer."""
+    draw = random.Random(6)
+    for _ in range(30):
+        counts = [("".join(draw.choices("abcdefgh", k=draw.randrange(2, 6))), draw.randrange(1, 40)) for _ in range(40)]
+        words, merges = [([tokenizer.START, *w], n) for w, n in counts], []
+        while True:
+            pairs = Counter()
+            for s, n in words:
+                for p in zip(s, s[1:], strict=False):
+                    pairs[p] += n
+            top = sorted(((x, y, n) for (x, y), n in pairs.items()), key=lambda r: (-r[2], r[0], r[1]))
+            onward, before = {}, {}
+            for x, y, n in top:
+                onward[x], before[y] = max(n, onward.get(x, 0)), max(n, before.get(y, 0))
+            batch = tokenizer.safe_batch(top, onward, before, 2, 10**6)
+            if not batch:
+                break
+            merges += batch
+            rows = pa.RecordBatch.from_arrays([pa.array([s for s, _ in words]), pa.array([n for _, n in words])], ["s", "n"])
+            words = [(r["s"], r["n"]) for b in tokenizer._merge_batches(batch)(iter([rows])) for r in b.to_pylist()]
+        assert merges == naive_merges(counts, 10**6)
+
+
+def test_joined_character_counts_score_alike(spark, run):
+    val, train = run.released.filter("split = 'val'").select("doc_id", "clean"), run.released.filter("split = 'train'")
+    val = val.unionByName(spark.createDataFrame([(-1, ""), (-2, "x"), (-3, None)], "doc_id long, clean string"))
+    bits = lambda model: {r["doc_id"]: (round(r["bits"], 4), r["n_chars"]) for r in charlm.score(val, model).collect()}
+    joined = charlm.train(train, 3, most=10)
+    assert isinstance(joined, charlm.GramCounts) and bits(joined) == bits(charlm.train(train, 3))
+
+
 def test_tokenizer_is_saved_and_counts_tokens(spark, run):
     model = tokenizer.train(run.corpus, 400)
     path = new_path(spark, "tok")
@@ -343,3 +489,52 @@ def test_objective_prefers_the_cleaner_corpus(spark, run):
     best, found = objective.search({"raw": raw, "curated": run.corpus}, sents, alpha=0.1, beta=1.0, gamma=1.0, target="en", n_min=10, vocab=350, share=True)
     assert best == "curated" and found["raw"].impurity > found["curated"].impurity == 0
     assert objective.search({"raw": raw}, sents, alpha=1, beta=1, gamma=1, target="en", n_min=10**6, vocab=350)[0] is None
+
+
+# a whole run
+
+
+def test_phase_three_is_the_trained_model_unless_told_otherwise(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    blind = corpus.CorpusRun(docs)
+    right = blind.predicted.join(docs.select("doc_id", "lang"), "doc_id").filter("label = lang").count()
+    assert 0.9 < right / blind.predicted.count() <= 1
+    assert blind.p3_ids.count() == blind.predicted.filter("label = 'en' AND prob >= 0.5").count()
+
+
+def test_a_source_of_one_language_with_leakage_loses_the_leakage(spark):
+    """Sources that are partitions of the target language already, with every 17th other document among them."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    leaky = docs.filter("lang = 'en' OR doc_id % 17 = 0")
+    run = corpus.CorpusRun(leaky, identify=corpus.profile_identifier(docs.filter("doc_id % 2 = 0")))
+    rows = {r["stage"]: r for r in corpus.retention(run.stage_rows()).collect()}
+    assert rows["p3"]["step_drop_pct"] < 5 and [rows[s]["n_docs"] for s in corpus.STAGES] == sorted((r["n_docs"] for r in rows.values()), reverse=True)
+
+
+def test_rows_without_an_id_and_odd_texts_go_through(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "source", "text", "lang")
+    odd = [(None, "src1", "the of and to in " * 40, "en"), (10_000, None, None, None), (10_001, "src0", "", "en"), (10_001, "src2", "x" * 5000, "fr")]
+    both = docs.unionByName(spark.createDataFrame(odd, docs.schema))
+    run = corpus.CorpusRun(both, identify=corpus.gold)
+    stages = {(r["stage"], r["doc_id"]) for r in run.stage_rows().filter("doc_id IS NULL OR doc_id >= 10000").collect()}
+    assert {("raw", None), ("p1", None), ("p2", None), ("p3", None), ("p4", None), ("raw", 10_000), ("p1", 10_000)} <= stages
+    assert ("p2", 10_000) not in stages and corpus.CorpusRun(both.limit(0), identify=corpus.gold).p4_ids.count() == 0
+
+
+# staged tables
+
+
+def test_scratch_deletes_what_is_not_kept(spark):
+    with scratch(spark) as keep:
+        gone, kept = staged(spark.range(3), "gone"), keep(staged(spark.range(4), "kept"))
+    assert kept.count() == 4 and not os.path.exists(gone.staged_at.replace("file:", ""))
+
+
+def test_an_own_folder_is_refused_where_executors_are_elsewhere():
+    class Context:
+        master = "spark://somewhere:7077"
+        getConf = staticmethod(lambda: {})
+        getCheckpointDir = staticmethod(lambda: None)
+
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        session.shared_dir(type("S", (), {"sparkContext": Context})())

@@ -28,7 +28,7 @@ def test_query_equals_its_sql(spark, duck, name):
     assert rows(got) == rows(want)
 
 
-@pytest.mark.parametrize("name", ["p1_approx_rate", "p4_mllib", "p4_vectors", "p5_filter_approx", "defects", "agg_approx_distinct", "agg_top_k_sketch", "agg_sketch_merge", "lid_sampled", "lid_cascade", "st_late", "scan_binary", "sort_within"])
+@pytest.mark.parametrize("name", ["p1_approx_rate", "p4_mllib", "p5_perplexity", "lid_confusion_models", "fert_hist_trained", "p5_filter_approx", "agg_approx_distinct", "agg_top_k_sketch", "agg_sketch_merge", "lid_sampled", "lid_cascade", "st_late", "scan_binary", "sort_within"])
 def test_queries_without_sql_run(spark, name):
     df = QUERIES[name](spark, SMALL)
     assert df.columns and df.count() >= 0

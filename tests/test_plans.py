@@ -3,7 +3,7 @@
 import pytest
 
 from corpuskit import sqlfuncs
-from corpuskit.operators import exact, neardup, tokenizer
+from corpuskit.operators import clean, exact, neardup, release, tokenizer
 from corpuskit.queries import QUERIES
 from corpuskit.sources import with_roles
 from tests.conftest import SMALL
@@ -31,6 +31,19 @@ def test_no_cartesian_product(spark, name):
     assert "CartesianProduct" not in text and "BroadcastNestedLoopJoin" not in text
 
 
+def test_each_step_of_cleaning_is_evaluated_once(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    text = clean.min_words(clean.normalize(docs))._jdf.queryExecution().optimizedPlan().toString()
+    # two passes of repair, a guard each; one guard for composition, one for suspicion in each pass
+    assert text.count("RLIKE(") <= 6 and text.count("regexp_replace(") <= 5 and text.count("translate(") <= 2 and text.count("split(") == 1
+    assert len(text) < 5000
+
+
+def test_places_need_no_single_task(spark):
+    text = plan(release.places(spark.read.parquet(f"{SMALL}/documents.parquet")))
+    assert "hashpartitioning(p" in text
+
+
 def test_hashes_are_made_once_for_all_minima(spark):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet").withColumnRenamed("text", "clean")
     sets = neardup.hashed(neardup.shingles(docs))
@@ -46,4 +59,6 @@ def test_sql_functions(spark):
     assert (row["c"], row["s"], round(row["j"], 4), row["g"]) == ("x aaa", 2, 0.3333, 2) and row["t"] == len(model.encode("low lower"))
     assert spark.sql("SELECT * FROM ck_shingle_rows('a b c d', 3)").count() == 2
     assert spark.sql("SELECT * FROM ck_tokens('low')").count() == len(model.encode("low"))
+    minima = spark.sql("SELECT ck_signature(array(5L, 7L, 5L)) AS s").first()["s"]
+    assert minima == [min((x * a + c) % neardup.PRIME for x in (5, 7)) for a, c in neardup.hash_family()]
     assert spark.sql("SELECT count(DISTINCT ck_content_key(text)) FROM ck_docs").first()[0] == exact.winners(with_roles(spark.table("ck_docs"))).count()
