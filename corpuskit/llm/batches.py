@@ -10,13 +10,14 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Bytes of text handled at once; a single longer text makes a piece of its own.
-PIECE_BYTES = 1_000_000
+PIECE_BYTES = 500_000
 #: Freed blocks of so many bytes go back to the system at once. The C library would else raise the bound with every
 #: block freed and keep most of what a piece needed, for as long as the Python worker lives.
-GIVEN_BACK, _MMAP_THRESHOLD = 1 << 18, -3
+GIVEN_BACK, _MMAP_THRESHOLD, _ARENAS = 1 << 18, -3, -8
 
 if (_mallopt := getattr(ctypes.CDLL(None), "mallopt", None)) is not None:
     _mallopt(_MMAP_THRESHOLD, GIVEN_BACK)
+    _mallopt(_ARENAS, 1)
     pa.set_memory_pool(pa.system_memory_pool())
 
 _WHITE = np.zeros(256, bool)
