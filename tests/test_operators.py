@@ -508,7 +508,7 @@ def test_a_source_of_one_language_with_leakage_loses_the_leakage(spark):
     leaky = docs.filter("lang = 'en' OR doc_id % 17 = 0")
     run = corpus.CorpusRun(leaky, identify=corpus.profile_identifier(docs.filter("doc_id % 2 = 0")))
     rows = {r["stage"]: r for r in corpus.retention(run.stage_rows()).collect()}
-    assert rows["p3"]["step_drop_pct"] < 5 and [rows[s]["n_docs"] for s in corpus.STAGES] == sorted((r["n_docs"] for r in rows.values()), reverse=True)
+    assert 0 < rows["p3"]["step_drop_pct"] < 10 and [rows[s]["n_docs"] for s in corpus.STAGES] == sorted((r["n_docs"] for r in rows.values()), reverse=True)
 
 
 def test_rows_without_an_id_and_odd_texts_go_through(spark):
