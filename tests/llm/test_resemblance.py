@@ -78,6 +78,39 @@ def test_pairs_across_parts_equal_brute_force():
     assert want == set(zip(*resemblance.across(node, part, marks), strict=True)) != set()
 
 
+def test_links_on_whole_sets_connect_what_brute_force_connects():
+    draw = random.Random(7)
+    base = list(range(40))
+    sets = [sorted(set(base) - set(draw.sample(base, draw.randrange(9))) | {100 * i + k for k in range(draw.randrange(5))}) for i in range(70)]
+    part = np.array([draw.randrange(50) for _ in sets])
+    links = resemblance.connecting(np.arange(70), part, np.array([len(s) for s in sets]), np.concatenate(sets))
+    alike = {(i, j) for i, j in itertools.combinations(range(70), 2) if 5 * len(set(sets[i]) & set(sets[j])) >= 4 * len(set(sets[i]) | set(sets[j]))}
+    same = [(i, j) for i, j in itertools.combinations(range(70), 2) if part[i] == part[j]]
+
+    def groups(pairs):
+        root = list(range(70))
+        for i, j in pairs:
+            a, b = root[i], root[j]
+            root = [min(a, b) if r in (a, b) else r for r in root]
+        return root
+
+    assert set(links) <= alike and len(links) < 70 and groups([*same, *links]) == groups([*same, *alike])
+
+
+def test_a_family_just_below_the_threshold_stays_linear(spark, prose):
+    """900 texts with five of sixty words changed, so that none is alike to most; and a few real copies among them."""
+    draw, words, texts = random.Random(2), prose(90, 1).split(), []
+    for i in range(900):
+        own = list(words)
+        for k in draw.sample(range(90), 2):
+            own[k] = f"n{i}x{k}"
+        texts.append(" ".join(own))
+    texts += [t + " more" for t in texts[:5]]
+    index = resemblance.Resemblance(frame(spark, texts))
+    assert index.links().count() < 30 * len(texts)
+    assert sorted(r["doc_id"] for r in simhash.keep_one(frame(spark, texts)).collect()) == brute_kept(texts, range(len(texts)))
+
+
 def test_a_large_group_of_near_copies_stays_linear(spark, prose):
     """All 5,000 are alike: a link to the least of the group each, and nothing left for the blocks."""
     words = prose(60, 1).split()
