@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.session import discard, staged
@@ -24,10 +24,9 @@ def _smaller_to_least(edges: DataFrame) -> DataFrame:
 
 
 def _counted(edges: DataFrame) -> tuple[DataFrame, tuple]:
-    """The edges, staged, and their number and an order-free hash sum, observed as they were written."""
-    seen = Observation()
-    out = staged(edges.observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")), "edges")
-    return out, (seen.get["n"], seen.get["h"])
+    """The edges, staged, and their number and an order-free hash sum."""
+    out = staged(edges, "edges")
+    return out, tuple(out.select(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
 
 
 def connected(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
