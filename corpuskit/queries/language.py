@@ -41,8 +41,8 @@ def _profile(spark, d) -> DataFrame:
     return _once(spark, d, "lid-profile", lambda: lid.train_profile(_unique(spark, d).filter("doc_id % 2 = 0")))
 
 
-def snippets(spark, d, words: int = WORDS) -> DataFrame:
-    rows = lid.test_set(_unique(spark, d))
+def snippets(spark, d, words: int = WORDS, unique: DataFrame | None = None) -> DataFrame:
+    rows = lid.test_set(unique or _unique(spark, d))
     return rows.select("doc_id", F.col("lang").alias("gold"), (lid.snippet(F.col("text"), words) if words else F.col("text")).alias("text"))
 
 
@@ -51,8 +51,9 @@ def _with_gold(test: DataFrame, predicted: DataFrame) -> DataFrame:
 
 
 def benchmark_rows(spark, d, words: int = WORDS) -> DataFrame:
-    test = snippets(spark, d, words)
-    return _once(spark, d, f"lid-bench-{words}", lambda: _with_gold(test, lid.predict_profile(test, lid.Profile.of(_profile(spark, d)))))
+    """Answers of the profile model over test snippets, drawn from the documents anew for each query; only the model is kept."""
+    test = snippets(spark, d, words, exact.drop_exact(with_roles(table(spark, d))))
+    return _with_gold(test, lid.predict_profile(test, lid.Profile.of(_profile(spark, d))))
 
 
 @query("lid_profile", f"WITH {RAW}, {P1}, {TRAIN} SELECT label, CAST(n AS INTEGER) AS n, gram, round(logp, 6) AS logp, round(unk, 6) AS unknown FROM prof")
