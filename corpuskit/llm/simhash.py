@@ -53,21 +53,25 @@ def shingle_hashes(text: bytes) -> list[int]:
     return [digest(joined[s:e], SEED) for s, e in zip([0, *(x + 1 for x in ends)], ends[SHINGLE - 1 :], strict=False)]
 
 
+def prints_of(column: pa.Array) -> np.ndarray:
+    """The fingerprint of each text as a signed number."""
+    found = [shingle_hashes(t) for t in pc.fill_null(column.cast(pa.binary()), b"").to_pylist()]
+    counts = np.fromiter(map(len, found), np.int64, len(found))
+    flat = np.fromiter(itertools.chain.from_iterable(found), np.uint64, int(counts.sum()))
+    prints = np.zeros(len(found), np.uint64)
+    if len(flat):
+        some = np.flatnonzero(counts)
+        bits = np.unpackbits(flat.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
+        ones = np.add.reduceat(bits, (np.cumsum(counts) - counts)[some], axis=0, dtype=np.int64)
+        prints[some] = np.packbits(2 * ones > counts[some][:, None], axis=1).view(">u8").ravel()
+    return prints.view(np.int64)
+
+
 def _fingerprint_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     forget_words()
     for whole in batches:
         for batch in pieces(whole, "text"):
-            texts = pc.fill_null(batch.column("text").cast(pa.binary()), b"").to_pylist()
-            found = [shingle_hashes(t) for t in texts]
-            counts = np.fromiter(map(len, found), np.int64, len(found))
-            flat = np.fromiter(itertools.chain.from_iterable(found), np.uint64, int(counts.sum()))
-            prints = np.zeros(len(found), np.uint64)
-            if len(flat):
-                some = np.flatnonzero(counts)
-                bits = np.unpackbits(flat.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
-                ones = np.add.reduceat(bits, (np.cumsum(counts) - counts)[some], axis=0, dtype=np.int64)
-                prints[some] = np.packbits(2 * ones > counts[some][:, None], axis=1).view(">u8").ravel()
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(prints.view(np.int64))], ["doc_id", "print"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(prints_of(batch.column("text")))], ["doc_id", "print"])
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
@@ -171,14 +175,27 @@ def near_duplicates(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     return sized_join(rows, of, "print").select("doc_id", F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def alike(index: Resemblance, block: int = BLOCK) -> DataFrame:
+    """(a, b), staged: nodes whose fingerprints are equal or linked, if an exact check finds them alike."""
+    held = staged(index.prints.groupBy("print", "node").agg(F.count("*").alias("n")).select("print", "node"), "print-nodes")
+    firsts = staged(held.groupBy("print").agg(F.min("node").alias("first"), F.count("*").alias("n")), "print-firsts")
+    equal = sized_join(held, firsts.filter("n > 1"), "print").filter("node != first").select(F.col("first").alias("x"), F.col("node").alias("y"))
+    linked = links(firsts.select("print"), block)
+    near = linked.join(firsts.select(F.col("print").alias("a"), F.col("first").alias("x")), "a").join(firsts.select(F.col("print").alias("b"), F.col("first").alias("y")), "b").select("x", "y")
+    pairs = equal.unionByName(near).filter("x != y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    return staged(index.verified(staged(pairs, "print-pairs")), "print-links")
+
+
 def keep_one(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     """docs without the later documents of each component of texts alike; the document with the least doc_id stays.
 
-    Texts are alike at a Jaccard similarity of 0.8 or more over five-word shingles; the three bits bind near_duplicates
-    alone. Rows that share a doc_id are one document and stay or go together. Rows without a doc_id stay.
+    Texts are alike at a Jaccard similarity of 0.8 or more over five-word shingles. Fingerprints within three bits link
+    them first, each link checked exactly; no number of bits meets all such pairs, so the index of resemblance adds what
+    three bits leave apart. Rows that share a doc_id are one document and stay or go together. Rows without a doc_id stay.
     """
     with scratch(docs.sparkSession) as keep:
-        index = Resemblance(docs, block)
-        named = _components(index.rows, index.links(), "node")
+        index = Resemblance(docs, block, prints_of)
+        linked = alike(index, block).unionByName(index.links())
+        named = _components(index.rows, linked, "node")
         gone = keep(staged(index.rows.join(named, "node").filter("doc_id != component_id").select("doc_id").distinct(), "gone"))
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)

@@ -86,3 +86,17 @@ def test_keep_one_passes_columns_through(spark, prose):
     kept = simhash.keep_one(docs)
     assert kept.columns == docs.columns
     assert sorted(r["doc_id"] for r in kept.collect()) == [0, 2]
+
+
+def test_keep_one_links_by_fingerprints(spark, prose, monkeypatch):
+    """Without the index of resemblance, near copies within three bits still go, and only those that are alike."""
+    base = prose(900, 1)
+    words = base.split()
+    near = [" ".join(words[:-k]) for k in range(1, 6)]
+    texts = [base, base, *near, *(prose(80, s) for s in range(50, 70)), "", "..."]
+    prints = [brute_print(t) for t in texts]
+    close = [i for i in range(2, 7) if (prints[i] ^ prints[0]).bit_count() <= 3]
+    assert len(close) > 1
+    monkeypatch.setattr(simhash.Resemblance, "links", lambda self: spark.createDataFrame([], "a long, b long"))
+    kept = {r["doc_id"] for r in simhash.keep_one(frame(spark, texts)).collect()}
+    assert 0 in kept and not kept & {1, *close} and set(range(7, len(texts))) <= kept
