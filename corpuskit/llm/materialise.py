@@ -36,8 +36,8 @@ from corpuskit.session import new_path, ship, staged
 LENGTH, END, PAD = 4096, 1, 0
 ROWS, KEY, ROUNDS = 2048, 20_240_607, 6
 STRIDE = 2 * LENGTH + 1
-#: Level of the compression in which sequences wait and travel.
-LEVEL = 5
+#: Level of the compression in which sequences wait and travel: of 8 kB of ids the fifth makes 1 % less in nearly three times the time.
+LEVEL = 2
 #: Input splits whose first numbers are broadcast at most (12 bytes each); those of more splits are joined by a shuffle.
 BROADCAST_PARTS = 1_000_000
 _SPAN = "doc_id long, start long, length int, offset int, ids_crc32 long"
@@ -77,28 +77,33 @@ class Permutation:
 def _lay(path: str, length: int):
     end = np.array([END], "<u2").tobytes()
     pad = np.array([PAD], "<u2").tobytes()
+    kinds = {"doc_id": pa.int64(), "start": pa.int64(), "length": pa.int32(), "offset": pa.int32(), "ids_crc32": pa.int64()}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press = zstandard.ZstdCompressor(LEVEL)
         part, local = TaskContext.get().partitionId(), 0
-        held, filled, spans = [], 0, []
+        held, filled = [], 0
         rows: list[tuple] = []
+        spans, ends = tuple([] for _ in kinds), [0]
 
         def close() -> None:
             nonlocal filled, local
             record = b"".join(held) + pad * (length - filled)
-            rows.append((local, press.compress(record), list(spans)))
+            rows.append((local, press.compress(record)))
             held.clear()
-            spans.clear()
+            ends.append(len(spans[0]))
             filled, local = 0, local + 1
 
         def out() -> pa.RecordBatch:
-            kind = pa.list_(pa.struct([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int32()), ("offset", pa.int32()), ("ids_crc32", pa.int64())]))
+            whole = pa.StructArray.from_arrays([pa.array(x[: ends[-1]], t) for x, t in zip(spans, kinds.values(), strict=True)], list(kinds))
             batch = pa.RecordBatch.from_arrays(
-                [pa.array([part] * len(rows), pa.int32()), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], kind)],
+                [pa.array([part] * len(rows), pa.int32()), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), whole)],
                 ["part", "local", "packed", "spans"],
             )
             rows.clear()
+            for x in spans:  # those of the sequence that is not full yet stay
+                del x[: ends[-1]]
+            ends[:] = [0]
             return batch
 
         with word_bpe(path) as model:
@@ -112,7 +117,8 @@ def _lay(path: str, length: int):
                         while at < n:
                             take = min(n - at, length - filled)
                             own = ids[2 * at : 2 * (at + take)]
-                            spans.append({"doc_id": doc, "start": at, "length": take, "offset": filled, "ids_crc32": zlib.crc32(own)})
+                            for x, value in zip(spans, (doc, at, take, filled, zlib.crc32(own)), strict=True):
+                                x.append(value)
                             held.append(own)
                             at, filled = at + take, filled + take
                             if filled == length:
