@@ -91,3 +91,11 @@ def test_bins_are_best_fit(lengths, most):
         if not free[b]:
             del free[b]
         assert len(free) == bins.open <= most
+
+
+def test_words_of_one_part_and_separators_get_the_tokenizers_own_ids():
+    texts = ["Plain words, don't 3rd été", "a\x1cb c", "a b\x1d", "\x1e", "one\x1ftwo three", "", "xylophonequartz"]
+    own = word_bpe(vocab_path("word_bpe_49k.json")).ids([*texts, None])
+    t = Tokenizer.from_file(vocab_path("word_bpe_49k.json"))
+    t.encode_special_tokens = True
+    assert [np.frombuffer(x, "<u4").tolist() for x in own] == [*(t.encode(x, add_special_tokens=False).ids for x in texts), []]
